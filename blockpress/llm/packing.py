@@ -28,6 +28,8 @@ from blockpress.llm.common import free_columns, slices, stored
 from blockpress.llm.tokens import encoder
 
 PIECES = "doc_id long, piece int, start long, length long, ids_crc32 long, part int, nth long"
+#: Bytes of text tokenised in one step.
+BATCH_BYTES = 6 << 20
 
 
 class CapacityTree:
@@ -109,15 +111,14 @@ def pieces_of(docs: DataFrame, tokenizer: str, capacity: int, end_id: int = 0, b
 
     def cut(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         enc, part = encoder(tokenizer, byte_level), TaskContext.get().partitionId()
-        end, seen = np.array([end_id], "<u4"), defaultdict(int)
-        for batch in slices(batches, "text"):
-            rows = []
-            for doc_id, ids in zip(batch.column("doc_id").to_pylist(), enc.ids(batch.column("text").fill_null("").to_pylist()), strict=True):
-                raw = np.concatenate([ids, end]).astype("<u4").tobytes()
-                for k, at in enumerate(range(0, len(raw) // 4, capacity)):
-                    part_raw = raw[4 * at : 4 * (at + capacity)]
-                    size = len(part_raw) // 4
-                    rows.append((doc_id, k, at, size, zlib.crc32(part_raw), part, seen[size]))
+        seen: dict[int, int] = defaultdict(int)
+        for batch in slices(batches, "text", BATCH_BYTES):
+            ids, at = enc.encode_ended(batch.column("text"), end_id)
+            view, rows = memoryview(ids.astype("<u4").tobytes()), []
+            for doc_id, lo, hi in zip(batch.column("doc_id").to_pylist(), at[:-1].tolist(), at[1:].tolist(), strict=True):
+                for k, begin in enumerate(range(lo, hi, capacity)):
+                    size = min(capacity, hi - begin)
+                    rows.append((doc_id, k, begin - lo, size, zlib.crc32(view[4 * begin : 4 * (begin + size)]), part, seen[size]))
                     seen[size] += 1
             cols = list(zip(*rows, strict=True))
             types = [pa.int64(), pa.int32(), pa.int64(), pa.int64(), pa.int64(), pa.int32(), pa.int64()]

@@ -28,9 +28,62 @@ def op8_best_fit_packing(spark: SparkSession, sf_dir: str) -> DataFrame:
     return best_fit_pack(table(spark, sf_dir, "documents"), vocabulary("word_bpe_49k.json"), 2048)
 
 
+def op2_minhash_fingerprints(spark: SparkSession, sf_dir: str) -> DataFrame:
+    from blockpress.llm.minhash import edited_fingerprints
+
+    return edited_fingerprints(table(spark, sf_dir, "documents"))
+
+
+def op3_token_counts(spark: SparkSession, sf_dir: str) -> DataFrame:
+    from blockpress.llm.token_count import count_tokens
+
+    return count_tokens(table(spark, sf_dir, "documents"), vocabulary("piece_bpe_32k.model"))
+
+
+def op4_simhash_near_dedup(spark: SparkSession, sf_dir: str) -> DataFrame:
+    from blockpress.llm.simhash import near_duplicates
+
+    return near_duplicates(table(spark, sf_dir, "documents"))
+
+
+#: Rules on urls, and hosts that are blocked where no rule fits.
+URL_RULES = (("com", "/", "allow"), ("example.com", "/en/", "block"), ("www.example.com", "/en/", "allow"), ("net", "/es/", "block"), ("net", "/fr/", "block"))
+LISTED_HOSTS = ("spam-farm.example.org", "cheap-pills.example.com", "adult-x.example.net")
+
+
+def op6_url_filter(spark: SparkSession, sf_dir: str) -> DataFrame:
+    from blockpress.llm.url_filter import Rule, filter_urls
+
+    return filter_urls(table(spark, sf_dir, "pages"), [Rule(*r) for r in URL_RULES], LISTED_HOSTS)
+
+
+def op7_language_id(spark: SparkSession, sf_dir: str) -> DataFrame:
+    from blockpress.llm.language_id import TextModel, document_evidence, identify, training_rows
+
+    docs = table(spark, sf_dir, "documents")
+    return identify(document_evidence(docs), TextModel.fit(training_rows(docs)))
+
+
+def op9_decontamination(spark: SparkSession, sf_dir: str) -> DataFrame:
+    from blockpress.llm.decontaminate import contaminated
+
+    return contaminated(table(spark, sf_dir, "documents"), table(spark, sf_dir, "benchmark"))
+
+
+def op10_chat_format(spark: SparkSession, sf_dir: str) -> DataFrame:
+    from blockpress.llm.chat import conversation_digests, format_conversations
+
+    turns = table(spark, sf_dir, "conversations").select("conv_id", "turn", "role", "text")
+    probe = spark.range(2).selectExpr("-1L as conv_id", "id as turn", "if(id = 0, 'user', 'assistant') as role", "'</s>[INST] ok [/INST]' as text")
+    return conversation_digests(format_conversations(turns.unionByName(probe)))
+
+
 def queries() -> dict[str, Callable[[SparkSession, str], DataFrame]]:
-    return {f.__name__: f for f in (op5_token_binary, op8_best_fit_packing)}
+    made = (op2_minhash_fingerprints, op3_token_counts, op4_simhash_near_dedup, op5_token_binary, op6_url_filter, op7_language_id, op8_best_fit_packing, op9_decontamination, op10_chat_format)
+    return {f.__name__: f for f in made}
 
 
 def oracle_sql() -> dict[str, str]:
-    return {}
+    from blockpress.llm.sql import OP6, OP10
+
+    return {"op6_url_filter": OP6, "op10_chat_format": OP10}

@@ -12,6 +12,7 @@ empty file.
 
 from __future__ import annotations
 
+import uuid
 import zlib
 from collections.abc import Iterator
 
@@ -22,7 +23,7 @@ from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 from pyspark.sql.window import Window
 
-from blockpress.llm.common import free_columns, shared_dir, slices, stored
+from blockpress.llm.common import free_columns, shared_dir, slices
 from blockpress.llm.tokens import encoder
 
 # fixed values: ids to a word, by selector
@@ -30,6 +31,8 @@ COUNTS = (60, 30, 20, 15, 12, 10, 8, 7, 6, 5, 4, 3, 2)
 ESCAPE = len(COUNTS)
 #: Ids that a block holds at least, but for the last one of a shard.
 BLOCK_IDS = 1 << 16
+#: Bytes of text tokenised in one step.
+BATCH_BYTES = 6 << 20
 
 FILE_SCHEMA = "shard int, block long, doc_ids array<long>, lengths array<long>, n_ids long, words binary"
 
@@ -108,26 +111,31 @@ def write_token_file(docs: DataFrame, path: str, tokenizer: str, end_id: int = 0
 
     def blocks(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         enc, shard, block = encoder(tokenizer, byte_level), TaskContext.get().partitionId(), 0
-        end = np.array([end_id], np.uint32)
         doc_ids: list = []
+        sizes: list[np.ndarray] = []
         parts: list[np.ndarray] = []
         held = 0
 
         def flush() -> pa.RecordBatch:
-            ids = np.concatenate(parts) if parts else np.zeros(0, np.uint32)
-            cols = [[shard], [block], [doc_ids], [[len(p) for p in parts]], [len(ids)], [pack(ids).astype("<u8").tobytes()]]
+            ids = np.concatenate(parts)
+            cols = [[shard], [block], [doc_ids], [np.concatenate(sizes)], [len(ids)], [pack(ids).astype("<u8").tobytes()]]
             types = [pa.int32(), pa.int64(), pa.list_(pa.int64()), pa.list_(pa.int64()), pa.int64(), pa.binary()]
             return pa.record_batch([pa.array(c, t) for c, t in zip(cols, types, strict=True)], names=["shard", "block", "doc_ids", "lengths", "n_ids", "words"])
 
-        for batch in slices(batches, "text"):
-            texts = batch.column("text").fill_null("").to_pylist()
-            for doc_id, ids in zip(batch.column("doc_id").to_pylist(), enc.ids(texts), strict=True):
-                doc_ids.append(doc_id)
-                parts.append(np.concatenate([ids, end]))
-                held += len(parts[-1])
+        for batch in slices(batches, "text", BATCH_BYTES):
+            ids, at = enc.encode_ended(batch.column("text"), end_id)
+            names, lo, n = batch.column("doc_id").to_pylist(), 0, batch.num_rows
+            while lo < n:  # blocks end with the document that fills them
+                hi = min(n, int(np.searchsorted(at, at[lo] + BLOCK_IDS - held, side="left")))
+                hi = max(hi, lo + 1)
+                doc_ids += names[lo:hi]
+                sizes.append(np.diff(at[lo : hi + 1]))
+                parts.append(ids[at[lo] : at[hi]])
+                held += int(at[hi] - at[lo])
+                lo = hi
                 if held >= BLOCK_IDS:
                     yield flush()
-                    doc_ids, parts, held, block = [], [], 0, block + 1
+                    doc_ids, sizes, parts, held, block = [], [], [], 0, block + 1
         if parts:
             yield flush()
 
@@ -176,12 +184,7 @@ def document_digests(spark, path: str) -> DataFrame:
 
 def encode_to_file_and_back(docs: DataFrame, tokenizer: str, end_id: int = 0) -> DataFrame:
     """Write a token file to shared storage, read it back, and give what it holds of each document."""
-    import uuid
-
     spark = docs.sparkSession
     path = f"{shared_dir(spark).rstrip('/')}/token-file-{uuid.uuid4().hex}"
     write_token_file(docs, path, tokenizer, end_id)
     return document_digests(spark, path)
-
-
-__all__ = ["document_digests", "encode_to_file_and_back", "pack", "read_token_file", "stored", "unpack", "write_token_file"]

@@ -1,9 +1,11 @@
 """Exact token ids through the ``tokenizers`` library, with a cache of blank-free pieces.
 
-A piece is what stands between spaces and line feeds. For the two vocabularies used here the
-library's own pre-tokenizers never join characters across such a boundary, so the ids of a text are
-the ids of its pieces; each distinct piece goes through the library once in a Python worker. Texts
-for which that could fail (byte-level vocabulary, two blanks in a row) go through it whole.
+A piece is what stands between spaces, line feeds and, in texts without runs of punctuation, before
+full stops and commas. For the two kinds of vocabulary used here (byte-level BPE whose words carry
+their leading space; BPE with word ends and white space dropped) the library's own pre-tokenizers
+never join characters across such a place, so the ids of a text are the ids of its pieces. Arrow
+cuts the texts and numbers their distinct pieces, and each distinct piece goes through the library
+once in a Python worker. Texts for which that could fail go through the library whole.
 """
 
 from __future__ import annotations
@@ -11,15 +13,20 @@ from __future__ import annotations
 import re
 
 import numpy as np
+import pyarrow as pa
+import pyarrow.compute as pc
 
 #: Distinct pieces that a worker keeps.
-CACHE_PIECES = 1_000_000
-_BLANKS = re.compile(r"\s\s")
+CACHE_PIECES = 1_200_000
 _BLANK = re.compile(r"\s")
+#: Places where a full stop or comma could belong to a longer run of signs.
+_RUNS = r"(^|[^\pL\pN])[.,]|[.,][^\pL\pN \n]"
+_BLANKS = r"[\s\pZ\x{85}\x{0b}\x{1c}-\x{1f}]{2}"
+_CUT = "\0"
 
 
 class Encoder:
-    """``ids(texts)``: a uint32 array for each text."""
+    """``encode(texts)``: all ids of an array of texts, and offsets by text."""
 
     def __init__(self, path: str, byte_level: bool):
         from tokenizers import Tokenizer
@@ -27,64 +34,114 @@ class Encoder:
         self.tok = Tokenizer.from_file(path)
         self.tok.encode_special_tokens = True  # their strings in a text are ordinary text
         self.byte_level = byte_level
-        self.cache: dict[str, bytes] = {}
         self.mark = "\n" if byte_level else " 0 "
-        self.mark_id = self._whole(["\n" if byte_level else "0"])[0]
-        if len(self.mark_id) != 1:
+        mark = self._whole(["\n" if byte_level else "0"])[0]
+        if len(mark) != 1:
             raise ValueError("the separator must be one id")
-        self.mark_id = int(self.mark_id[0])
+        self.mark_id = int(mark[0])
+        self._reset()
+
+    def _reset(self) -> None:
+        self.cache: dict[str, int] = {"": 0}
+        self.ids = np.zeros(1 << 16, np.uint32)
+        self.begin = np.zeros(1 << 16, np.int64)
+        self.size = np.zeros(1 << 16, np.int32)
+        self.used = 0
 
     def _whole(self, texts: list[str]) -> list[np.ndarray]:
         return [np.array(e.ids, np.uint32) for e in self.tok.encode_batch_fast(texts, add_special_tokens=False)]
 
+    def _keep(self, pieces: list[str], ids: np.ndarray, size: np.ndarray) -> None:
+        n, k = len(self.cache), len(pieces)
+        while self.used + len(ids) > len(self.ids):
+            self.ids = np.concatenate([self.ids, np.zeros_like(self.ids)])
+        while n + k > len(self.begin):
+            self.begin = np.concatenate([self.begin, np.zeros_like(self.begin)])
+            self.size = np.concatenate([self.size, np.zeros_like(self.size)])
+        self.ids[self.used : self.used + len(ids)] = ids
+        self.begin[n : n + k] = self.used + np.cumsum(size) - size
+        self.size[n : n + k] = size
+        self.used += len(ids)
+        self.cache.update(zip(pieces, range(n, n + k), strict=True))
+
     def _learn(self, pieces: list[str]) -> None:
         """Encode new pieces: many in one text, kept apart by a separator that never merges."""
-        if len(self.cache) > CACHE_PIECES:
-            self.cache.clear()
-        plain, odd = [], []
-        for p in pieces:
-            (odd if not p or ("0" in p if not self.byte_level else _BLANK.search(p[1:])) else plain).append(p)
-        for lo in range(0, len(plain), 4000):
-            part = plain[lo : lo + 4000]
+        if self.byte_level:
+            odd = [p for p in pieces if _BLANK.search(p, 1) or p == "\n"]
+        else:
+            odd = [p for p in pieces if "0" in p]
+        plain = pieces
+        if odd:
+            apart = set(odd)
+            plain = [p for p in pieces if p not in apart]
+        for lo in range(0, len(plain), 1000):
+            part = plain[lo : lo + 1000]
             ids = self._whole([self.mark.join(part)])[0]
             cut = np.flatnonzero(ids == self.mark_id)
             if len(cut) != len(part) - 1:
                 odd += part
                 continue
-            raw, ends = ids.tobytes(), [*(cut * 4).tolist(), len(ids) * 4]
-            begin = 0
-            for p, end in zip(part, ends, strict=True):
-                self.cache[p] = raw[begin:end]
-                begin = end + 4
+            size = np.diff(np.concatenate([[-1], cut, [len(ids)]])) - 1
+            self._keep(part, np.delete(ids, cut), size)
         if odd:
-            self.cache.update((p, a.tobytes()) for p, a in zip(odd, self._whole(odd), strict=True))
-
-    def ids(self, texts: list[str]) -> list[np.ndarray]:
-        lf = np.array([self.mark_id], np.uint32).tobytes() if self.byte_level else b""
-        split, whole = [], {}
-        for k, text in enumerate(texts):
-            if self.byte_level:
-                if _BLANKS.search(text):
-                    whole[k] = text
-                    split.append(())
-                else:
-                    split.append([line.replace(" ", "\0 ").split("\0") for line in text.split("\n")] if "\0" not in text else None)
-                    if split[-1] is None:
-                        whole[k] = text
-                        split[-1] = ()
-            else:
-                split.append([[p for p in text.replace("\n", " ").split(" ") if p]])
-        new = {p for lines in split for line in lines for p in line} - self.cache.keys()
-        if len(self.cache) + len(new) > CACHE_PIECES:
-            self.cache.clear()
-            new = {p for lines in split for line in lines for p in line}
-        self._learn(list(new))
-        get = self.cache.__getitem__
-        out = [np.frombuffer(lf.join([b"".join(map(get, line)) for line in lines]), np.uint32) for lines in split]
-        if whole:
-            for k, a in zip(whole, self._whole(list(whole.values())), strict=True):
-                out[k] = a
-        return out
+            arrays = self._whole(odd)
+            self._keep(odd, np.concatenate(arrays), np.array([len(a) for a in arrays]))
+
+    def encode(self, texts: pa.Array) -> tuple[np.ndarray, np.ndarray]:
+        if isinstance(texts, pa.ChunkedArray):
+            texts = texts.combine_chunks()
+        texts = texts.cast(pa.large_string()).fill_null("")
+        data = texts.buffers()[2]
+        unsafe = pc.match_substring(texts, _CUT) if data is not None and _CUT.encode() in memoryview(data).tobytes() else pa.array(np.zeros(len(texts), bool))
+        if self.byte_level:
+            unsafe = pc.or_(unsafe, pc.match_substring_regex(texts, _BLANKS))
+        whole = np.flatnonzero(unsafe.to_numpy(zero_copy_only=False))
+        kept = pc.if_else(unsafe, "", texts) if len(whole) else texts
+        signs = pc.replace_substring(pc.replace_substring(kept, ".", _CUT + "."), ",", _CUT + ",")
+        kept = pc.if_else(pc.match_substring_regex(kept, _RUNS), kept, signs)
+        if self.byte_level:
+            kept = pc.replace_substring(pc.replace_substring(kept, " ", _CUT + " "), "\n", f"{_CUT}\n{_CUT}")
+        else:
+            kept = pc.replace_substring(pc.replace_substring(kept, " ", _CUT), "\n", _CUT)
+        lists = pc.split_pattern(kept, _CUT)
+        coded = lists.flatten().dictionary_encode()
+        distinct = coded.dictionary.to_pylist()
+        if len(self.cache) > CACHE_PIECES:
+            self._reset()
+        known = self.cache
+        new = [p for p in distinct if p not in known]
+        if new:
+            self._learn(new)
+        slot = np.fromiter(map(known.__getitem__, distinct), np.int64, len(distinct))
+        index = coded.indices.to_numpy()
+        size = self.size[slot][index]
+        ends = np.cumsum(size, dtype=np.int64)
+        lead = self.begin[slot][index] - (ends - size)
+        total = int(ends[-1]) if len(ends) else 0
+        at = np.arange(total)
+        at += np.repeat(lead, size)
+        ids = self.ids[at]
+        places = lists.offsets.to_numpy() - lists.offsets[0].as_py()
+        offsets = np.concatenate([[0], ends])[places]
+        if len(whole):
+            parts = [ids[a:b] for a, b in zip(offsets, offsets[1:], strict=False)]
+            for k, a in zip(whole.tolist(), self._whole(texts.take(pa.array(whole)).to_pylist()), strict=True):
+                parts[k] = a
+            ids = np.concatenate(parts)
+            offsets = np.concatenate([[0], np.cumsum([len(p) for p in parts])])
+        return ids, offsets
+
+    def encode_ended(self, texts: pa.Array, end_id: int) -> tuple[np.ndarray, np.ndarray]:
+        """As ``encode``, with ``end_id`` behind each text's ids."""
+        ids, offsets = self.encode(texts)
+        n = len(offsets) - 1
+        ends = offsets[1:] + np.arange(1, n + 1)
+        out = np.empty(len(ids) + n, np.uint32)
+        own = np.ones(len(out), bool)
+        own[ends - 1] = False
+        out[own] = ids
+        out[ends - 1] = end_id
+        return out, np.concatenate([[0], ends])
 
 
 _encoders: dict[str, Encoder] = {}
