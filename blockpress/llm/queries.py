@@ -28,6 +28,12 @@ def op8_best_fit_packing(spark: SparkSession, sf_dir: str) -> DataFrame:
     return best_fit_pack(table(spark, sf_dir, "documents"), vocabulary("word_bpe_49k.json"), 2048)
 
 
+def op1_suffix_dedup(spark: SparkSession, sf_dir: str) -> DataFrame:
+    from blockpress.llm.suffix_dedup import removal_digests
+
+    return removal_digests(table(spark, sf_dir, "documents"))
+
+
 def op2_minhash_fingerprints(spark: SparkSession, sf_dir: str) -> DataFrame:
     from blockpress.llm.minhash import edited_fingerprints
 
@@ -79,7 +85,7 @@ def op10_chat_format(spark: SparkSession, sf_dir: str) -> DataFrame:
 
 
 def queries() -> dict[str, Callable[[SparkSession, str], DataFrame]]:
-    made = (op2_minhash_fingerprints, op3_token_counts, op4_simhash_near_dedup, op5_token_binary, op6_url_filter, op7_language_id, op8_best_fit_packing, op9_decontamination, op10_chat_format)
+    made = (op1_suffix_dedup, op2_minhash_fingerprints, op3_token_counts, op4_simhash_near_dedup, op5_token_binary, op6_url_filter, op7_language_id, op8_best_fit_packing, op9_decontamination, op10_chat_format)
     return {f.__name__: f for f in made}
 
 

@@ -1,8 +1,75 @@
-"""From raw documents to packed sequences: language ID, near-duplicates, repeats, benchmark leaks, packing."""
+"""From raw documents to packed training sequences.
 
-STAGES = []
+Five stages, each on all that the stage before kept: language ID, SimHash near-duplicates, repeated
+strings, benchmark leaks, best-fit packing. ``run`` writes each stage's rows as Parquet to shared
+storage and reads them again as the next stage's documents.
+"""
+
+from __future__ import annotations
+
+from pyspark.sql import DataFrame, SparkSession
+from pyspark.sql import functions as F
+
+from blockpress.llm.common import stored, table
+from blockpress.llm.queries import vocabulary
+
+
+def language_id(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
+    """Documents in a known language; the text model is fitted on the documents themselves."""
+    from blockpress.llm.language_id import TextModel, document_evidence, identify, training_rows
+
+    found = identify(document_evidence(docs), TextModel.fit(training_rows(docs)))
+    # a row goes by its id: of repeated ids with different texts all stay if one is kept
+    gone = found.groupBy("doc_id").agg(F.max("kept").alias("kept")).where("not kept").select(F.col("doc_id").alias("gone"))
+    return docs.join(gone, docs["doc_id"].eqNullSafe(gone["gone"]), "left_anti").select(*docs.columns)
+
+
+def near_dedup(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
+    """One document of each group of near-duplicates: the one with the least id; rows with an equal id count once."""
+    from blockpress.llm.simhash import near_duplicates
+
+    groups = near_duplicates(docs)
+    least = groups.where(F.col("doc_id").eqNullSafe(F.col("component_id"))).select(F.col("doc_id").alias("kept")).distinct()
+    return docs.join(least, docs["doc_id"].eqNullSafe(least["kept"]), "left_semi").select(*docs.columns)
+
+
+def repeat_removal(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
+    """Texts without the strings of 200 bytes that occur elsewhere too."""
+    from blockpress.llm.suffix_dedup import without_repeats
+
+    return without_repeats(docs)
+
+
+def decontamination(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
+    """Documents that hold no passage of the benchmark."""
+    from blockpress.llm.decontaminate import drop_contaminated
+
+    return drop_contaminated(docs, table(spark, sf_dir, "benchmark"))
+
+
+def packing(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
+    """Sequences of at most 2048 tokens: each piece of each document and its place."""
+    from blockpress.llm.packing import best_fit_pack
+
+    return best_fit_pack(docs, vocabulary("word_bpe_49k.json"), 2048)
+
+
+STAGES = [
+    ("language ID", language_id),
+    ("SimHash near-dedup", near_dedup),
+    ("suffix-array dedup", repeat_removal),
+    ("benchmark decontamination", decontamination),
+    ("best-fit packing", packing),
+]
+
+#: Tokens, fingerprints and the language model are beyond SQL; tests hold each stage against brute force.
 ORACLE_SQL = None
 
 
-def run(spark, sf_dir):
-    raise NotImplementedError
+def run(spark: SparkSession, sf_dir: str) -> DataFrame:
+    docs = table(spark, sf_dir, "documents")
+    for k, (_, stage) in enumerate(STAGES):
+        docs = stage(spark, docs, sf_dir)
+        if k < len(STAGES) - 1:
+            docs = stored(docs, f"stage-{k}")
+    return docs
