@@ -7,26 +7,10 @@ tables in shared storage, so a lost executor costs a task and not the lineage.
 
 from __future__ import annotations
 
-import tempfile
-import uuid
-
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
-
-def shared_dir(spark) -> str:
-    where = spark.conf.get("spark.checkpoint.dir", None)
-    if not where:
-        where = getattr(shared_dir, "own", None) or tempfile.mkdtemp(prefix="shared-")
-        shared_dir.own = where
-    return where
-
-
-def kept(df: DataFrame, name: str) -> DataFrame:
-    """``df`` written once to the shared folder and read back."""
-    path = f"{shared_dir(df.sparkSession).rstrip('/')}/{name}-{uuid.uuid4().hex}"
-    df.write.parquet(path)
-    return df.sparkSession.read.schema(df.schema).parquet(path)
+from blockpress.sources.storage import kept
 
 
 def connected_components(edges: DataFrame, max_rounds: int = 60) -> DataFrame:
