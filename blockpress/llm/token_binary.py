@@ -32,7 +32,7 @@ ESCAPE = len(COUNTS)
 #: Ids that a block holds at least, but for the last one of a shard.
 BLOCK_IDS = 1 << 16
 #: Bytes of text tokenised in one step.
-BATCH_BYTES = 6 << 20
+BATCH_BYTES = 4 << 20
 
 FILE_SCHEMA = "shard int, block long, doc_ids array<long>, lengths array<long>, n_ids long, words binary"
 
@@ -56,12 +56,7 @@ def pack(ids: np.ndarray) -> np.ndarray:
         most = _window_max(need, c)
         ok = most <= width_at[60 // c]
         choice[: len(ok)][ok] = s
-    steps = np.array([*COUNTS, 1])[choice].tolist()
-    heads, i = [], 0
-    while i < n:
-        heads.append(i)
-        i += steps[i]
-    heads = np.array(heads)
+    heads = _heads(np.array([*COUNTS, 1])[choice])
     sel = choice[heads]
     words = sel.astype(np.uint64) << np.uint64(60)
     for s in np.unique(sel):
@@ -75,6 +70,45 @@ def pack(ids: np.ndarray) -> np.ndarray:
     return words
 
 
+def _heads(step: np.ndarray) -> np.ndarray:
+    """Places met when each place leads ``step`` places on, from 0: all stretches of the way at once.
+
+    Ways into a stretch soon join, so each stretch is walked from its first ``60`` places in parallel
+    and then only the place where the stretch before really ends counts.
+    """
+    n, wide = len(step), max(COUNTS)
+    stretch = 4096
+    if n <= 2 * stretch:
+        heads, i, steps = [], 0, step.tolist()
+        while i < n:
+            heads.append(i)
+            i += steps[i]
+        return np.array(heads)
+    begins = np.arange(0, n, stretch)
+    # one walk a stretch from its first place, kept as marks; entries elsewhere walk until they meet a mark
+    onto = np.arange(n) + step
+    marks = np.zeros(n + wide + 1, bool)
+    at, ends = begins.copy(), np.minimum(begins + stretch, n)
+    live = np.arange(len(begins))
+    while len(live):
+        marks[at[live]] = True
+        at[live] = onto[at[live]]
+        live = live[at[live] < ends[live]]
+    out = np.zeros(n, bool)
+    entry = 0
+    for k, (lo, hi) in enumerate(zip(begins.tolist(), ends.tolist(), strict=True)):
+        i = entry
+        while i < hi and not marks[i]:
+            out[i] = True
+            i = int(onto[i])
+        if i < hi:
+            out[i:hi] = marks[i:hi]
+            entry = int(at[k])
+        else:
+            entry = i
+    return np.flatnonzero(out)
+
+
 def _window_max(x: np.ndarray, c: int) -> np.ndarray:
     """Maximum of each ``c`` values in a row."""
     best, have = x, 1

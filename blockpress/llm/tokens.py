@@ -16,8 +16,10 @@ import numpy as np
 import pyarrow as pa
 import pyarrow.compute as pc
 
+from blockpress.llm.common import _BASE, _BYTE, mixed, text_bytes
+
 #: Distinct pieces that a worker keeps.
-CACHE_PIECES = 1_200_000
+CACHE_PIECES = 1_500_000
 _BLANK = re.compile(r"\s")
 #: Places where a full stop or comma could belong to a longer run of signs.
 _RUNS = r"(^|[^\pL\pN])[.,]|[.,][^\pL\pN \n]"
@@ -25,6 +27,20 @@ _BLANKS = r"[\s\pZ\x{85}\x{0b}\x{1c}-\x{1f}]{2}"
 _CUT = "\0"
 
 
+def _piece_hashes(pieces: pa.Array) -> tuple[np.ndarray, np.ndarray]:
+    """Two 64-bit hashes of each piece."""
+    raw, at = text_bytes(pieces)
+    size = np.diff(at)
+    full = np.flatnonzero(size)
+    a, b = np.zeros(len(size), np.uint64), np.zeros(len(size), np.uint64)
+    if len(full):
+        place = np.arange(len(raw)) - np.repeat(at[:-1], size)
+        power = np.multiply.accumulate(np.full(int(size.max()) + 1, _BASE, np.uint64))[place]
+        a[full] = np.add.reduceat(_BYTE[raw] * power, at[full])
+        b[full] = np.add.reduceat(_BYTE[raw ^ 0xFF] * (power >> np.uint64(7) | np.uint64(1)), at[full])
+    return mixed(a + size.astype(np.uint64)), mixed(b)
+
+
 class Encoder:
     """``encode(texts)``: all ids of an array of texts, and offsets by text."""
 
@@ -42,50 +58,61 @@ class Encoder:
         self._reset()
 
     def _reset(self) -> None:
-        self.cache: dict[str, int] = {"": 0}
+        self.name = np.zeros(0, np.uint64)  # pieces' hashes, sorted
+        self.check = np.zeros(0, np.uint64)  # second hashes of the same
+        self.begin = np.zeros(0, np.int64)
+        self.size = np.zeros(0, np.int32)
         self.ids = np.zeros(1 << 16, np.uint32)
-        self.begin = np.zeros(1 << 16, np.int64)
-        self.size = np.zeros(1 << 16, np.int32)
         self.used = 0
 
     def _whole(self, texts: list[str]) -> list[np.ndarray]:
         return [np.array(e.ids, np.uint32) for e in self.tok.encode_batch_fast(texts, add_special_tokens=False)]
 
-    def _keep(self, pieces: list[str], ids: np.ndarray, size: np.ndarray) -> None:
-        n, k = len(self.cache), len(pieces)
-        while self.used + len(ids) > len(self.ids):
-            self.ids = np.concatenate([self.ids, np.zeros_like(self.ids)])
-        while n + k > len(self.begin):
-            self.begin = np.concatenate([self.begin, np.zeros_like(self.begin)])
-            self.size = np.concatenate([self.size, np.zeros_like(self.size)])
-        self.ids[self.used : self.used + len(ids)] = ids
-        self.begin[n : n + k] = self.used + np.cumsum(size) - size
-        self.size[n : n + k] = size
-        self.used += len(ids)
-        self.cache.update(zip(pieces, range(n, n + k), strict=True))
-
-    def _learn(self, pieces: list[str]) -> None:
+    def _learn(self, pieces: pa.Array, name: np.ndarray, check: np.ndarray) -> None:
         """Encode new pieces: many in one text, kept apart by a separator that never merges."""
+        text = pieces.to_pylist()
         if self.byte_level:
-            odd = [p for p in pieces if _BLANK.search(p, 1) or p == "\n"]
+            odd = [k for k, p in enumerate(text) if not p or p == "\n" or _BLANK.search(p, 1)]
         else:
-            odd = [p for p in pieces if "0" in p]
-        plain = pieces
-        if odd:
-            apart = set(odd)
-            plain = [p for p in pieces if p not in apart]
+            odd = [k for k, p in enumerate(text) if not p or "0" in p]
+        apart = np.zeros(len(text), bool)
+        apart[odd] = True
+        plain = np.flatnonzero(~apart)
+        which, sizes, parts = [], [], []
         for lo in range(0, len(plain), 1000):
             part = plain[lo : lo + 1000]
-            ids = self._whole([self.mark.join(part)])[0]
+            ids = self._whole([self.mark.join([text[k] for k in part.tolist()])])[0]
             cut = np.flatnonzero(ids == self.mark_id)
             if len(cut) != len(part) - 1:
-                odd += part
+                odd += part.tolist()
                 continue
-            size = np.diff(np.concatenate([[-1], cut, [len(ids)]])) - 1
-            self._keep(part, np.delete(ids, cut), size)
+            which.append(part)
+            sizes.append(np.diff(np.concatenate([[-1], cut, [len(ids)]])) - 1)
+            parts.append(np.delete(ids, cut))
         if odd:
-            arrays = self._whole(odd)
-            self._keep(odd, np.concatenate(arrays), np.array([len(a) for a in arrays]))
+            arrays = self._whole([text[k] for k in odd])
+            which.append(np.array(odd))
+            sizes.append(np.array([len(a) for a in arrays]))
+            parts += arrays
+        which, sizes, ids = np.concatenate(which), np.concatenate(sizes), np.concatenate(parts)
+        while self.used + len(ids) > len(self.ids):
+            self.ids = np.concatenate([self.ids, np.zeros_like(self.ids)])
+        self.ids[self.used : self.used + len(ids)] = ids
+        begin = self.used + np.cumsum(sizes) - sizes
+        self.used += len(ids)
+        order = np.argsort(name[which])
+        which, begin, sizes = which[order], begin[order], sizes[order]
+        at = np.searchsorted(self.name, name[which])
+        self.name, self.check = np.insert(self.name, at, name[which]), np.insert(self.check, at, check[which])
+        self.begin, self.size = np.insert(self.begin, at, begin), np.insert(self.size, at, sizes)
+
+    def _find(self, name: np.ndarray, check: np.ndarray) -> tuple[np.ndarray, np.ndarray]:
+        """Slots of pieces, and whether each is known."""
+        at = np.searchsorted(self.name, name)
+        if not len(self.name):
+            return at, np.zeros(len(name), bool)
+        at = np.minimum(at, len(self.name) - 1)
+        return at, (self.name[at] == name) & (self.check[at] == check)
 
     def encode(self, texts: pa.Array) -> tuple[np.ndarray, np.ndarray]:
         if isinstance(texts, pa.ChunkedArray):
@@ -105,14 +132,16 @@ class Encoder:
             kept = pc.replace_substring(pc.replace_substring(kept, " ", _CUT), "\n", _CUT)
         lists = pc.split_pattern(kept, _CUT)
         coded = lists.flatten().dictionary_encode()
-        distinct = coded.dictionary.to_pylist()
-        if len(self.cache) > CACHE_PIECES:
+        if len(self.name) > CACHE_PIECES:
             self._reset()
-        known = self.cache
-        new = [p for p in distinct if p not in known]
-        if new:
-            self._learn(new)
-        slot = np.fromiter(map(known.__getitem__, distinct), np.int64, len(distinct))
+        name, check = _piece_hashes(coded.dictionary)
+        slot, known = self._find(name, check)
+        if not known.all():
+            new = np.flatnonzero(~known)
+            self._learn(coded.dictionary.take(pa.array(new)), name[new], check[new])
+            slot, known = self._find(name, check)
+            if not known.all():
+                raise RuntimeError("two pieces share a hash")
         index = coded.indices.to_numpy()
         size = self.size[slot][index]
         ends = np.cumsum(size, dtype=np.int64)
