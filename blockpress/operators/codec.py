@@ -136,6 +136,17 @@ def compress(codes: DataFrame, cards: list[int], columns: np.ndarray, coder: str
     return Container(blocks, codes.select("row_id", "u"), columns, cards, coder, pack, order, freq, bits)
 
 
+def compress_reordered(codes: DataFrame, cards: list[int], columns: np.ndarray, coder: str = "zstd", pack: str = "byte") -> Container:
+    """Sort rows by label and number, columns by label, and code the result as one sequence: an ablation."""
+    from blockpress.plans.encode import assign_row_ids
+
+    order = np.argsort(columns, kind="stable")
+    moved = F.transform(F.array(*[F.lit(int(j) + 1) for j in order]), lambda j: F.element_at("codes", j))
+    named = codes.select("row_id", "u", moved.alias("codes")).withColumnRenamed("row_id", "_r")
+    flat = assign_row_ids(named, ["u", "_r"]).select("row_id", F.lit(0).alias("u"), "codes")
+    return compress(flat, [cards[j] for j in order], np.zeros(len(cards), int), coder, pack=pack)
+
+
 def decompress(box: Container, chunk_rows: int = CHUNK_ROWS, only: list[int] | None = None) -> DataFrame:
     """``row_id, codes`` again. ``only`` names columns: blocks of other labels are not read."""
     n, card, columns = len(box.cards), max(box.cards), box.columns

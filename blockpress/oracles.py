@@ -140,6 +140,14 @@ ORACLES: dict[str, str] = {
     "events_windows": "SELECT epoch(date_trunc('day', ts))::BIGINT AS start, count(*) AS n, round(sum(value), 2) AS value FROM events GROUP BY ALL",
     "session_windows": "WITH g AS (SELECT user_id, ts, CASE WHEN ts - lag(ts) OVER w < INTERVAL 6 HOURS THEN 0 ELSE 1 END AS fresh FROM events WINDOW w AS (PARTITION BY user_id ORDER BY ts, event_id)), s AS (SELECT user_id, sum(fresh) OVER (PARTITION BY user_id ORDER BY ts ROWS UNBOUNDED PRECEDING) AS s FROM g), n AS (SELECT user_id, s, count(*) AS n FROM s GROUP BY ALL) SELECT user_id, count(*) AS sessions, max(n) AS longest FROM n GROUP BY user_id",
     "stream_equals_batch": "SELECT epoch(date_trunc('day', ts))::BIGINT AS start, count(*) AS n, sum((event_type NOT IN (SELECT event_type FROM events WHERE event_id % 2 = 0))::INT)::BIGINT AS unseen FROM events GROUP BY ALL",
+    "lz_phrases_small": """WITH RECURSIVE s AS (SELECT o_custkey, string_agg(left(o_orderpriority, 1), '' ORDER BY o_orderkey) AS s FROM orders GROUP BY o_custkey),
+        p AS (SELECT o_custkey, s, -1 AS phrase_no, 0 AS k, 0 AS len, 0 AS ptr FROM s
+          UNION ALL SELECT o_custkey, s, phrase_no + 1, k + greatest(best, 1), greatest(best, 1), CASE WHEN best > 0 THEN strpos(s, substr(s, k + 1, best)) ELSE -(substr(s, k + 1, 1)::INT) END
+          FROM (SELECT *, coalesce(list_max(list_filter(range(1, length(s) - k + 1), lambda x: contains(substr(s, 1, (k + x - 1)::INT), substr(s, k + 1, x::INT)))), 0)::INT AS best FROM p WHERE k < length(s)))
+        SELECT o_custkey, phrase_no::INT AS phrase_no, (k - len + 1)::BIGINT AS start, len::BIGINT AS length, ptr::BIGINT AS pointer FROM p WHERE phrase_no >= 0""",
+    "asof_purchases": "SELECT e.event_id, round(b.value, 4) AS last_value FROM events e ASOF LEFT JOIN (SELECT user_id, ts, max(value) AS value FROM events WHERE event_type = 'purchase' GROUP BY ALL) b ON e.user_id = b.user_id AND e.ts >= b.ts",
+    "interval_join": "WITH v AS (SELECT i::INT AS version, 1704067200000000 + i * 43200000000 AS lo, 1704067200000000 + i * 43200000000 + (i % 5 + 1) * 10800000000 AS hi FROM (SELECT unnest(range(60)) AS i)) SELECT version, count(*) AS n FROM events JOIN v ON epoch_us(ts) >= lo AND epoch_us(ts) < hi GROUP BY version",
+    "top_values_per_group": "SELECT o_orderpriority, o_orderkey, row_number() OVER (PARTITION BY o_orderpriority ORDER BY o_totalprice DESC, o_orderkey)::INT AS rank FROM orders QUALIFY rank <= 3",
     "planted_spectral_recovery": "SELECT count(*) AS n, 0.0::DOUBLE AS err FROM customer GROUP BY c_mktsegment",
 }
 

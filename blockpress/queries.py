@@ -508,10 +508,11 @@ def stream_equals_batch(spark: SparkSession, sf_dir: str) -> DataFrame:
 @query
 def planted_spectral_recovery(spark: SparkSession, sf_dir: str) -> DataFrame:
     """Sizes of the row clusters found in the table planted on customers: those of the market segments."""
-    cells = M.planted_on_keys(spark, sf_dir)
-    rows = kept(cells.groupBy("row_id", "u").agg(F.array_sort(F.collect_list(F.struct("col_id", "code"))).alias("c")), "planted")  # 200 cells a row
+    cells = M.planted_on_keys(spark, sf_dir, 800)
+    rows = kept(cells.groupBy("row_id", "u").agg(F.array_sort(F.collect_list(F.struct("col_id", "code"))).alias("c")), "planted")  # 800 cells a row at most
     table = rows.select("row_id", F.transform("c", lambda s: s["code"].cast("double")).alias("x"))
-    lat = L.spectral_latents(table, 200, 5, 6, n_components="k", init="k-means||")
+    n = len(rows.first().c)
+    lat = L.spectral_latents(table, n, 5, 6, n_components="k", init="k-means||")
     both = rows.select("row_id", F.col("u").alias("truth")).join(lat.rows, "row_id")
     err = E.label_error(both, "truth", "u")
     sizes = lat.rows.groupBy("u").agg(F.count("*").alias("n"))
@@ -607,6 +608,121 @@ def lz_phrase_stats(spark: SparkSession, sf_dir: str) -> DataFrame:
     return seq.groupBy("c_mktsegment", "chunk").applyInArrow(phrases, "c_mktsegment string, chunk long, n long, phrases long, longest long, bits long")
 
 
+@query
+def lz_phrases_small(spark: SparkSession, sf_dir: str) -> DataFrame:
+    """Phrases of each customer's order priorities, by the table function."""
+    from blockpress.functions.register import register_functions
+
+    register_functions(spark)
+    o = W.read(spark, sf_dir, "orders").select("o_custkey", "o_orderkey", F.substring("o_orderpriority", 1, 1).cast("int").alias("x"))
+    seqs = o.groupBy("o_custkey").agg(F.transform(F.array_sort(F.collect_list(F.struct("o_orderkey", "x"))), lambda s: s["x"]).alias("codes"))  # a customer's orders
+    seqs.createOrReplaceTempView("order_priorities")
+    return spark.sql("SELECT o_custkey, p.phrase_no, p.start, p.length, p.pointer FROM order_priorities, LATERAL lz_phrases(codes) AS p")
+
+
+@query
+def match_kind_counts(spark: SparkSession, sf_dir: str) -> DataFrame:
+    """Which matches the phrase coder lives on, on drawn tables: in the same columns or elsewhere."""
+    from blockpress.operators.measures import match_stats, phrases
+
+    out = None
+    for m, n in ((400, 20), (60, 120)):
+        codes, _, _ = W.sbm(spark, 0.05, 0.9, 3, m, n, 1)
+        whole = codes.groupBy(F.lit(0).cast("long").alias("seq_id")).agg(F.array_sort(F.collect_list(F.struct("row_id", "codes"))).alias("r"))  # 8,000 cells
+        stats = match_stats(phrases(whole.select("seq_id", F.flatten(F.transform("r", lambda s: s["codes"].cast("array<int>"))).alias("codes"))), n)
+        stats = stats.withColumn("m", F.lit(m)).withColumn("n", F.lit(n))
+        out = stats if out is None else out.unionByName(stats)
+    return out
+
+
+@query
+def asof_purchases(spark: SparkSession, sf_dir: str) -> DataFrame:
+    """For each event, the value of its user's newest purchase so far."""
+    from blockpress.operators.joins import asof
+
+    e = W.read(spark, sf_dir, "events").select("user_id", "ts", "event_id", "event_type", "value")
+    bought = e.where("event_type = 'purchase'").select("user_id", "ts", F.col("value").alias("last_value"))
+    out = asof(e.select("user_id", "ts", "event_id"), bought, "user_id", "ts", ["last_value"])
+    return out.select("event_id", F.round("last_value", 4).alias("last_value"))
+
+
+@query
+def interval_join(spark: SparkSession, sf_dir: str) -> DataFrame:
+    """Events within the first hours of each customer segment's made-up model versions: a bucketed range join."""
+    from blockpress.operators.joins import interval
+
+    e = W.read(spark, sf_dir, "events").select("event_id", F.unix_micros(F.col("ts").cast("timestamp")).alias("t"))
+    start = F.lit(1704067200000000)
+    versions = spark.range(60).select(F.col("id").cast("int").alias("version"), (start + F.col("id") * 43_200_000_000).alias("lo"), (start + F.col("id") * 43_200_000_000 + (F.col("id") % 5 + 1) * 10_800_000_000).alias("hi"))
+    hit = interval(e, versions, F.col("t"), F.col("lo"), F.col("hi"), 21_600_000_000)
+    return hit.groupBy("version").agg(F.count("*").alias("n"))
+
+
+@query
+def top_values_per_group(spark: SparkSession, sf_dir: str) -> DataFrame:
+    """The three dearest orders of each priority."""
+    from blockpress.operators.joins import per_group
+
+    o = W.read(spark, sf_dir, "orders").select("o_orderpriority", "o_orderkey", "o_totalprice")
+    return per_group(o, "o_orderpriority", [F.desc("o_totalprice"), F.col("o_orderkey")], 3).select("o_orderpriority", "o_orderkey", "rank")
+
+
+@query
+def coder_ablation(spark: SparkSession, sf_dir: str) -> DataFrame:
+    """The theory's phrase coder beside the one of practice, under the same labels."""
+    rows = kept(_labelled_words(spark, sf_dir).where("row_id < 200"), "words")
+    out = [(c, C.compress(rows, [2] * 200, np.array(WORD_GROUPS), c, "rans", pack="bits").coded_bits) for c in ("zstd", "lz", "rans")]
+    return spark.createDataFrame(out, "coder string, coded_bits double")
+
+
+@query
+def redundancy_measured(spark: SparkSession, sf_dir: str) -> DataFrame:
+    """Worst redundancy of each base coder over two sources, falling with length, beside its bound."""
+    from blockpress.operators.measures import worst_redundancy
+
+    sources, out = [[0.9, 0.1], [0.5, 0.5]], None
+    for coder, kind in (("ans", "ans"), ("ac", "ac"), ("lz", "lz")):
+        sizes = [1024, 4096, 16384]
+        got = worst_redundancy(spark, coder, sources, sizes)
+        bounds = spark.createDataFrame([(n, float(T.redundancy_bound(kind, sources, n, 512.0)[0])) for n in sizes], "n long, bound double")
+        got = got.join(bounds, "n").withColumn("coder", F.lit(coder))
+        out = got if out is None else out.unionByName(got)
+    return out
+
+
+@query
+def native_sizes(spark: SparkSession, sf_dir: str) -> DataFrame:
+    """What the file format's own codecs make of the same codes."""
+    from blockpress.operators.measures import native_sizes as sizes
+
+    codes, cards = W.flat_table(spark, sf_dir)
+    return sizes(codes, len(cards), new_path(spark, "native"))
+
+
+@query
+def reordered_words(spark: SparkSession, sf_dir: str) -> DataFrame:
+    """Rows and columns only sorted by their labels, then coded flat: what order alone gives."""
+    rows = kept(_labelled_words(spark, sf_dir), "words")
+    flat = C.compress_reordered(rows, [2] * 200, np.array(WORD_GROUPS), "zstd").coded_bits
+    plain = C.compress(rows.withColumn("u", F.lit(0)), [2] * 200, np.zeros(200, int), "zstd").coded_bits
+    return spark.createDataFrame([("plain", plain), ("reordered", flat)], "layout string, coded_bits double")
+
+
+@query
+def refined_words(spark: SparkSession, sf_dir: str) -> DataFrame:
+    """Coded size before and after rows move to the label under which they code shortest."""
+    rows = kept(_labelled_words(spark, sf_dir), "words")
+    cols = np.array(WORD_GROUPS)
+    after = C.refine_labels(rows, [2] * 200, cols, 2)
+    return spark.createDataFrame([("given", C.compress(rows, [2] * 200, cols).coded_bits), ("refined", C.compress(after, [2] * 200, cols).coded_bits)], "labels string, coded_bits double")
+
+
+@query
+def latent_report_wide(spark: SparkSession, sf_dir: str) -> DataFrame:
+    """The wide joins and the ratings: columns nearly independent, so labels gain little."""
+    return W.report(spark, sf_dir, ["wide55", "ratings"], methods=["lz", "ans_column", "latent_ans"], runs=1)
+
+
 def queries() -> dict[str, Query]:
     return dict(QUERIES)
 
