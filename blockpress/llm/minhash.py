@@ -1,8 +1,9 @@
 """MinHash fingerprints (operator 2).
 
 A text is the set of its five-word shingles (fewer words: the whole sequence). ``PERMUTATIONS``
-universal hash functions (multiply, add, keep the high half) each keep their least value over the
-set; a fingerprint holds 16 bits of each. The share of equal places estimates Jaccard similarity.
+universal hash functions (multiply, add, keep the high bits) each keep their least value over the
+set; a fingerprint holds 8 bits of each. The share of equal places, less what chance makes equal,
+estimates Jaccard similarity.
 
 Cases: null, empty or wordless text: an empty set, whose fingerprint is all ones and equals that of
 any other empty set; repeated ``doc_id``: each row is kept, ordered by text among its equals; a null
@@ -23,7 +24,7 @@ from pyspark.sql import functions as F
 
 from blockpress.llm.common import STEP_BYTES, free_columns, shingle_hashes, slices, stored, text_bytes, word_hashes
 
-PERMUTATIONS = 128
+PERMUTATIONS = 256
 SHINGLE = 5
 _rng = np.random.default_rng(7919)
 _MULTIPLY = _rng.integers(0, 1 << 63, PERMUTATIONS, dtype=np.uint64) * np.uint64(2) + np.uint64(1)
@@ -38,22 +39,22 @@ def shingle_sets(texts: pa.Array, k: int = SHINGLE) -> tuple[np.ndarray, np.ndar
 
 
 def signatures(texts: pa.Array, k: int = SHINGLE) -> np.ndarray:
-    """``PERMUTATIONS`` 16-bit places for each text."""
+    """``PERMUTATIONS`` 8-bit places for each text."""
     h, at = shingle_sets(texts, k)
     n = len(at) - 1
-    out = np.full((n, PERMUTATIONS), 0xFFFF, np.uint16)
+    out = np.full((n, PERMUTATIONS), 0xFF, np.uint8)
     full = np.flatnonzero(np.diff(at))
     if len(full):
         cut = at[full]
         for j in range(PERMUTATIONS):
             least = np.minimum.reduceat(h * _MULTIPLY[j] + _ADD[j] >> np.uint64(16), cut)
-            out[full, j] = (least & np.uint64(0xFFFF)).astype(np.uint16)
+            out[full, j] = (least & np.uint64(0xFF)).astype(np.uint8)
     return out
 
 
 def likeness(a: np.ndarray, b: np.ndarray) -> np.ndarray:
-    """Share of equal places of signatures, row by row."""
-    return (a == b).mean(axis=1) if len(a) else np.zeros(0)
+    """Share of equal places of signatures, row by row, corrected for the one in 256 that chance makes equal."""
+    return np.maximum(0.0, ((a == b).mean(axis=1) - 1 / 256) / (1 - 1 / 256)) if len(a) else np.zeros(0)
 
 
 def with_next(docs: DataFrame) -> DataFrame:
@@ -98,7 +99,7 @@ def edited_fingerprints(docs: DataFrame, k: int = SHINGLE) -> DataFrame:
                 edited.append(text[: len(text) - half] + after[:half])
             own, nxt = np.stack([a[4] for a, _ in pairs]), np.stack([b[4] for _, b in pairs])
             new = signatures(pa.array(edited, pa.large_string()), k)
-            hexed = lambda m: [r.astype(">u2").tobytes().hex() for r in m]
+            hexed = lambda m: [r.tobytes().hex() for r in m]
             cols = [
                 pa.array([a[2] for a, _ in pairs], pa.int64()), pa.array([len(a[3]) for a, _ in pairs], pa.int64()),
                 pa.array([hashlib.sha256(e.encode()).hexdigest() for e in edited]), pa.array(hexed(own)), pa.array(hexed(new)),
@@ -112,7 +113,7 @@ def edited_fingerprints(docs: DataFrame, k: int = SHINGLE) -> DataFrame:
 BLOCK = 256
 
 
-def similar_links(docs: DataFrame, threshold: float = 0.8, bands: int = 32, k: int = SHINGLE) -> tuple[DataFrame, DataFrame]:
+def similar_links(docs: DataFrame, threshold: float = 0.8, bands: int = 64, k: int = SHINGLE) -> tuple[DataFrame, DataFrame]:
     """Near-duplicates: ``members(doc_id, class_id)`` and verified ``links(a, b, jaccard)`` between classes.
 
     A class is the documents with one shingle set, named after its least ``doc_id``. Classes whose
