@@ -11,7 +11,7 @@ import pyarrow as pa
 from pyspark.sql import DataFrame, SparkSession
 
 #: Bytes of text that one vectorised step handles at a time; longer texts stand alone.
-STEP_BYTES = 2 << 20
+STEP_BYTES = 1 << 20
 
 
 def table(spark: SparkSession, sf_dir: str, name: str) -> DataFrame:
@@ -37,8 +37,20 @@ def stored(df: DataFrame, name: str) -> DataFrame:
     return spark.read.schema(df.schema).parquet(path)
 
 
+#: Rows of an Arrow batch: texts are long, and a batch stands in memory on both sides of the hand-over.
+BATCH_ROWS = 1000
+
+
+def small_batches(spark: SparkSession) -> None:
+    """Lower the session's limit of rows in an Arrow batch to ``BATCH_ROWS``."""
+    key = "spark.sql.execution.arrow.maxRecordsPerBatch"
+    if not 0 < int(spark.conf.get(key)) <= BATCH_ROWS:
+        spark.conf.set(key, str(BATCH_ROWS))
+
+
 def free_columns(df: DataFrame, wanted: list[str]) -> DataFrame:
     """Only the columns an operator reads: further columns, whatever their names, do no harm."""
+    small_batches(df.sparkSession)
     return df.select(*[df[c] for c in wanted])
 
 
@@ -61,6 +73,7 @@ def slices(batches: Iterator[pa.RecordBatch], column: str, limit: int = STEP_BYT
         n = batch.num_rows
         if not n:
             continue
+        pa.default_memory_pool().release_unused()
         _, at = text_bytes(batch.column(batch.schema.get_field_index(column)))
         lo = 0
         while lo < n:

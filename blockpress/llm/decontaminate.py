@@ -28,7 +28,7 @@ from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 from pyspark.sql.window import Window
 
-from blockpress.llm.common import free_columns, mixed, slices, text_bytes, word_hashes
+from blockpress.llm.common import free_columns, mixed, slices, small_batches, text_bytes, word_hashes
 
 # fixed values: seed masks
 MASKS = ("1111", "11011", "1101001", "10110001")
@@ -182,6 +182,7 @@ def _scan(docs: DataFrame, items: TestItems) -> DataFrame:
 
 def drop_contaminated(docs: DataFrame, benchmark: DataFrame) -> DataFrame:
     """``docs`` without contaminated documents: a scan that tests each row where it stands."""
+    small_batches(docs.sparkSession)
     out = docs
     for part in sliced(benchmark):
         items = TestItems(*part)

@@ -22,7 +22,7 @@ before the sample and the sample's rank.
 
 Steps 3 and 4 run in tasks that hold all contexts of their cores, which is a stretch of the suffix
 array. A core with more than ``CORE_CONTEXTS`` different contexts is too much for one task; its
-windows are hashed and counted by a grouped aggregation instead, the exact way for the rest.
+contexts are cut into runs of fewer window starts, which share longer cores, and sorted under those.
 
 Cases: null text: empty; texts shorter than ``length``: nothing removed; overlapping repeats inside
 one text count; repeated rows (equal ``doc_id`` and text) repeat each other's strings; equal ``doc_id``
@@ -40,12 +40,14 @@ import pyarrow as pa
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
-from blockpress.llm.common import _BASE, _BYTE, free_columns, mixed, slices, stored, text_bytes
+from blockpress.llm.common import _BASE, _BYTE, free_columns, mixed, slices, small_batches, stored, text_bytes
 
 LENGTH = 200
 GRAM = 16
 #: Different contexts of a core that one task sorts.
 CORE_CONTEXTS = 600
+#: Head sizes in a run, where a core has more.
+SPANS = (24, 4, 1)
 ANCHORS = "doc_id long, uid long, core long, ctx long, place long"
 
 
@@ -198,36 +200,73 @@ def _flags(contexts: DataFrame, length: int) -> DataFrame:
     return contexts.mapInArrow(emit, "core long, ctx long, bits binary")
 
 
-def _counted_flags(contexts: DataFrame, length: int) -> DataFrame:
-    """As ``_flags``, by counting hashes of windows: for cores with too many contexts for a task."""
-    reach = _reach(length)
+def _split(contexts: DataFrame, length: int, span: int) -> DataFrame:
+    """Contexts cut into runs of ``span`` head sizes: ``(core0, ctx0, core, ctx, place, bytes)``.
+
+    A run's core is what all windows of those head sizes hold, which is more than the anchor's core:
+    contexts that differ only beyond it part ways, and equal runs become one again.
+    """
 
-    def windows(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+    def emit(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         for batch in batches:
-            for lo in range(0, batch.num_rows, 2000):
-                part = batch.slice(lo, 2000)
-                texts, place = part.column("bytes").to_pylist(), part.column("place").to_numpy()
+            rows: list[tuple] = []
+            for core, ctx, place, text in zip(*(batch.column(c).to_pylist() for c in ("core", "ctx", "place", "bytes")), strict=True):
                 head, width = place >> 10 & 1023, place & 1023
-                raw = np.frombuffer(b"".join(texts), np.uint8)
-                at = np.concatenate([[0], np.cumsum([len(t) for t in texts])])
-                h = mixed(_fixed_hash(_BYTE[raw], length))
-                row = np.repeat(np.arange(len(texts)), width + 1)
-                t = np.arange(len(row)) - np.repeat(np.cumsum(width + 1) - width - 1, width + 1)
-                take = pa.array(row)
-                yield pa.record_batch([pa.array(h[at[row] + t].view(np.int64)), part.column("core").take(take), part.column("ctx").take(take), pa.array((head[row] - t).astype(np.int32))], names=["win", "core", "ctx", "d"])
-
-    made = stored(contexts.mapInArrow(windows, "win long, core long, ctx long, d int"), "windows")
-    twice = stored(made.groupBy("win").agg(F.count("*").alias("n")).where("n > 1").select("win"), "twice")
-    found = made.join(twice, "win").groupBy("core", "ctx").agg(F.collect_set("d").alias("ds"))  # `reach` values at most
-
-    def pack(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+                for run in range((head - width) // span, head // span + 1):
+                    least, most = max(run * span, head - width), min(run * span + span - 1, head)
+                    kept = text[head - most : head - least + length]
+                    common = text[head - run * span : head - run * span - span + 1 + length]
+                    key = hashlib.blake2b(common, digest_size=8, salt=run.to_bytes(2, "big")).digest()
+                    name = hashlib.blake2b(kept, digest_size=8, salt=most.to_bytes(2, "big") + least.to_bytes(2, "big")).digest()
+                    rows.append((core, ctx, int.from_bytes(key, "big", signed=True), int.from_bytes(name, "big", signed=True), most << 10 | (most - least), kept))
+            cols = list(zip(*rows, strict=True)) or [()] * 6
+            types = [*[pa.int64()] * 5, pa.binary()]
+            yield pa.record_batch([pa.array(c, t) for c, t in zip(cols, types, strict=True)], names=["core0", "ctx0", "core", "ctx", "place", "bytes"])
+
+    return contexts.mapInArrow(emit, "core0 long, ctx0 long, core long, ctx long, place long, bytes binary")
+
+
+def _joined(length: int, runs: DataFrame) -> DataFrame:
+    """``(core, ctx, bits)`` of contexts from the flags of their runs, ``runs(core0, ctx0, flags)``."""
+    reach = _reach(length)
+
+    def emit(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         for batch in batches:
             bits = np.zeros((batch.num_rows, reach), bool)
-            for k, ds in enumerate(batch.column("ds").to_pylist()):
-                bits[k, ds] = True
-            yield pa.record_batch([batch.column("core"), batch.column("ctx"), pa.array([b.tobytes() for b in np.packbits(bits, axis=1)], pa.binary())], names=["core", "ctx", "bits"])
+            for k, flags in enumerate(batch.column("flags").to_pylist()):
+                for f in flags:
+                    if f["bits"] is None:
+                        head = f["place"] >> 10 & 1023
+                        bits[k, head - (f["place"] & 1023) : head + 1] = True
+                    else:
+                        bits[k] |= np.unpackbits(np.frombuffer(f["bits"], np.uint8))[:reach].astype(bool)
+            yield pa.record_batch([batch.column("core0"), batch.column("ctx0"), pa.array([b.tobytes() for b in np.packbits(bits, axis=1)], pa.binary())], names=["core", "ctx", "bits"])
+
+    return runs.mapInArrow(emit, "core long, ctx long, bits binary")
+
 
-    return found.mapInArrow(pack, "core long, ctx long, bits binary")
+def _all_flags(pieces: DataFrame, length: int, spans: tuple[int, ...] = SPANS) -> DataFrame:
+    """``(core, ctx, bits)`` of ``pieces(core, ctx, place, n, bytes)``, stored; ``n`` is the core's number of contexts.
+
+    Cores within ``CORE_CONTEXTS`` go to tasks whole. Contexts of larger ones are cut into runs of fewer
+    head sizes and come back here under the runs' cores; a run of one head size is a single window, and
+    all windows of its core are equal, so this ends.
+    """
+    parts = max(1, int(pieces.sparkSession.conf.get("spark.sql.shuffle.partitions")))
+    whole = _flags(pieces.where(F.col("n") <= CORE_CONTEXTS).drop("n").repartition(parts, "core"), length)
+    large = pieces.where(F.col("n") > CORE_CONTEXTS)
+    if not spans or large.isEmpty():
+        return whole
+    runs = stored(_split(large, length, spans[0]), "runs")
+    different = runs.groupBy("core", "ctx").agg(F.count("*").alias("copies"), F.first("place").alias("place"), F.first("bytes").alias("bytes"))
+    different = stored(different, "different")
+    groups = stored(different.groupBy("core").agg(F.count("*").alias("n")).where("n > 1"), "groups")
+    inner = stored(different.join(groups, "core").select("core", "ctx", "place", "n", "bytes"), "pieces")
+    often = different.where("copies > 1").select("core", "ctx", F.lit(None).cast("binary").alias("bits"))
+    found = stored(often.unionByName(_all_flags(inner, length, spans[1:]).join(often.select("core", "ctx"), ["core", "ctx"], "left_anti")), "flags")
+    marked = runs.select("core0", "ctx0", "core", "ctx", "place").join(found, ["core", "ctx"])
+    lists = marked.groupBy("core0", "ctx0").agg(F.collect_list(F.struct("place", "bits")).alias("flags"))  # as many as there are runs
+    return whole.unionByName(_joined(length, lists))
 
 
 def _freed(spark) -> None:
@@ -269,10 +308,7 @@ def repeated_marks(docs: DataFrame, length: int = LENGTH) -> DataFrame:
 
     pieces = stored(both.mapInArrow(cut, "core long, ctx long, place long, n long, bytes binary"), "pieces")
     _freed(spark)
-    parts = max(1, int(spark.conf.get("spark.sql.shuffle.partitions")))
-    sorted_ = _flags(pieces.where(F.col("n") <= CORE_CONTEXTS).drop("n").repartition(parts, "core"), length)
-    counted = _counted_flags(pieces.where(F.col("n") > CORE_CONTEXTS).drop("n"), length)
-    some = sorted_.unionByName(counted)
+    some = _all_flags(pieces, length)
     # contexts that occur more than once: all their windows do
     whole = contexts.where("copies > 1").select("core", "ctx", F.lit(None).cast("binary").alias("bits"))
     once = some.join(whole.select("core", "ctx"), ["core", "ctx"], "left_anti")
@@ -333,8 +369,8 @@ def without_repeats(docs: DataFrame, length: int = LENGTH) -> DataFrame:
 
     Cuts widen to whole characters. No row goes; a text that is nothing but repeats comes out empty.
     """
-    names = docs.columns
-    schema = docs.schema
+    names, schema = docs.columns, docs.schema
+    others = [c for c in names if c != "text"]  # apart in a struct: whatever they are called
 
     def emit(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         for batch in slices(batches, "text"):
@@ -349,11 +385,12 @@ def without_repeats(docs: DataFrame, length: int = LENGTH) -> DataFrame:
                     lost[char[gone]] = True
                     text = raw[~lost[char]].tobytes()
                 texts.append(text.decode("utf-8", "replace"))
-            cols = {c: batch.column(c) for c in names}
+            cols = dict(zip(others, batch.column("row").flatten(), strict=True))
             cols["text"] = pa.array(texts, pa.string())
             if "n_chars" in cols:
                 cols["n_chars"] = pa.array([len(t) for t in texts], pa.int64())
             yield pa.record_batch([cols[c] for c in names], names=names)
 
-    own = _identified(docs)
-    return _with_marks(own, length).select(*names, "marks").mapInArrow(emit, schema)
+    small_batches(docs.sparkSession)
+    own = docs.select("doc_id", F.coalesce("text", F.lit("")).alias("text"), F.xxhash64("doc_id", F.coalesce("text", F.lit(""))).alias("uid"), F.struct(*others).alias("row"))
+    return _with_marks(own, length).select("text", "marks", "row").mapInArrow(emit, schema)
