@@ -57,3 +57,54 @@ def compress_batches(stream: DataFrame, write: Callable[[DataFrame, int], None])
     """Hand each micro-batch to ``write`` with its number; the same number may come again."""
     state = new_path(stream.sparkSession, "stream-state")
     stream.writeStream.foreachBatch(write).option("checkpointLocation", state).trigger(availableNow=True).start().awaitTermination()
+
+
+def with_labels(stream: DataFrame, logq, log_row, columns) -> DataFrame:
+    """``row_id, u, entropy`` of ``stream(row_id, codes)``: each new row's likeliest label under a frozen block model."""
+    from blockpress.operators.codec import row_scores
+
+    return row_scores(stream, logq, log_row, columns)
+
+
+DRIFT = "key string, n long, divergence double, drifted boolean"
+
+
+def drift(stream: DataFrame, key: str, code: str, law: dict[int, float], limit: float, least: int = 100) -> DataFrame:
+    """Running divergence in bits of each key's codes from a frozen law, flagged beyond ``limit``.
+
+    The state of a key is one count a code; codes outside the law count as one more, of the law's least share.
+    """
+    import math
+
+    import pandas as pd
+    from pyspark.sql.streaming.state import GroupStateTimeout
+
+    codes = sorted(law)
+    floor = min(law.values())
+
+    def update(key_, frames, state):
+        counts = list(state.get[0]) if state.exists else [0] * (len(codes) + 1)
+        for f in frames:
+            for c, n in f["code"].value_counts().items():
+                counts[codes.index(c) if c in law else -1] += int(n)
+        state.update((counts,))
+        n = sum(counts)
+        shares = [*(law[c] for c in codes), floor]
+        gap = sum(c / n * math.log2(c / n / s) for c, s in zip(counts, shares, strict=True) if c)
+        yield pd.DataFrame({"key": [str(key_[0])], "n": [n], "divergence": [gap], "drifted": [n >= least and gap > limit]})
+
+    rows = stream.select(F.col(key).cast("string").alias("key"), F.col(code).cast("int").alias("code"))
+    return rows.groupBy("key").applyInPandasWithState(update, DRIFT, "counts array<long>", "update", GroupStateTimeout.NoTimeout)
+
+
+def last_states(stream: DataFrame, key: str) -> DataFrame:
+    """Run an update-mode stream over all there is; the newest row of each key."""
+    spark = stream.sparkSession
+    out, state = new_path(spark, "stream-updates"), new_path(spark, "stream-state")
+
+    def write(df: DataFrame, k: int) -> None:
+        df.write.mode("overwrite").parquet(f"{out}/batch={k}")
+
+    stream.writeStream.outputMode("update").foreachBatch(write).option("checkpointLocation", state).trigger(availableNow=True).start().awaitTermination()
+    rows = spark.read.parquet(out)
+    return rows.groupBy(key).agg(F.max_by(F.struct(*[c for c in rows.columns if c not in (key, "batch")]), "batch").alias("r")).select(key, "r.*")
