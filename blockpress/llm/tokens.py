@@ -19,7 +19,7 @@ import pyarrow.compute as pc
 from blockpress.llm.common import _BASE, _BYTE, mixed, text_bytes
 
 #: Distinct pieces that a worker keeps.
-CACHE_PIECES = 1_500_000
+CACHE_PIECES = 700_000
 _BLANK = re.compile(r"\s")
 #: Places where a full stop or comma could belong to a longer run of signs.
 _RUNS = r"(^|[^\pL\pN])[.,]|[.,][^\pL\pN \n]"
