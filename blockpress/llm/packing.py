@@ -29,7 +29,7 @@ from blockpress.llm.tokens import encoder
 
 PIECES = "doc_id long, piece int, start long, length long, ids_crc32 long, part int, nth long"
 #: Bytes of text tokenised in one step.
-BATCH_BYTES = 3 << 19
+BATCH_BYTES = 3 << 20
 
 
 class CapacityTree:

@@ -32,7 +32,7 @@ ESCAPE = len(COUNTS)
 #: Ids that a block holds at least, but for the last one of a shard.
 BLOCK_IDS = 1 << 16
 #: Bytes of text tokenised in one step.
-BATCH_BYTES = 3 << 19
+BATCH_BYTES = 3 << 20
 
 FILE_SCHEMA = "shard int, block long, doc_ids array<long>, lengths array<long>, n_ids long, words binary"
 
