@@ -8,8 +8,9 @@ Host priors are smoothed in levels, each towards the one above with ``SMOOTHING`
 the host's parent (``parent_of``), all. They and the declarations' and suffixes' reliability are
 counted by grouped aggregation over all rows, with the text's own best guess as the label.
 
-``und`` stands for text in no known language: each of the hashed trigrams is equally likely. Rows for
-which it wins on the text alone are rejected.
+``und`` stands for text in no known language: each of the hashed trigrams is equally likely, less a
+margin. Only trigrams of letters and blanks count, so numbers and codes inside a text say nothing
+against its language. Rows for which ``und`` wins on the text alone are rejected.
 
 The text model is fitted on ``TRAINING_ROWS`` labelled rows at most, those with the least hash.
 
@@ -35,17 +36,28 @@ TRAINING_ROWS = 2000
 TEXT_WEIGHT = 60.0
 SMOOTHING = 20.0
 FLOOR = 0.02
+#: Nats a trigram by which a known language may do worse than pure chance and still be believed.
+UNKNOWN_MARGIN = 1.0
+
+
+#: Bytes that say something about a language: small letters, blanks, and all beyond ASCII.
+_TELLING = np.zeros(256, bool)
+_TELLING[[*range(97, 123), 9, 10, 13, 32, 39, *range(128, 256)]] = True
 
 
 def trigrams(texts: pa.Array) -> tuple[np.ndarray, np.ndarray]:
-    """Buckets of the byte trigrams of lower-cased texts, and offsets by text."""
+    """Buckets of the telling byte trigrams of lower-cased texts, and offsets by text."""
     raw, at = text_bytes(pc.utf8_lower(texts.fill_null("")))
+    n = max(0, len(raw) - 2)
+    ok = _TELLING[raw]
+    good = ok[:n] & ok[1 : n + 1] & ok[2 : n + 2]
+    for end in (1, 2):  # none across two texts
+        cut = at[1:-1] - end
+        good[cut[(cut >= 0) & (cut < n)]] = False
+    place = np.flatnonzero(good)
     x = raw.astype(np.uint32)
-    n = max(0, len(x) - 2)
-    g = ((x[:n] << np.uint32(16)) | (x[1 : n + 1] << np.uint32(8)) | x[2 : n + 2]) * np.uint32(2654435761) >> np.uint32(17)
-    count = np.maximum(np.diff(at) - 2, 0)
-    out = np.concatenate([[0], np.cumsum(count)])
-    return g[np.repeat(at[:-1] - out[:-1], count) + np.arange(out[-1])], out
+    g = ((x[place] << np.uint32(16)) | (x[place + 1] << np.uint32(8)) | x[place + 2]) * np.uint32(2654435761) >> np.uint32(17)
+    return g, np.searchsorted(place, at)
 
 
 class TextModel:
@@ -62,7 +74,7 @@ class TextModel:
             g, _ = trigrams(pa.array([t for x, t in rows if x == lang], pa.large_string()))
             seen = np.bincount(g, minlength=BUCKETS) + 0.2
             table[:, k] = np.log(seen / seen.sum())
-        table[:, -1] = np.log(1 / BUCKETS)
+        table[:, -1] = np.log(1 / BUCKETS) - UNKNOWN_MARGIN
         return cls([*languages, "und"], table)
 
     def score(self, texts: pa.Array) -> tuple[np.ndarray, np.ndarray]:
@@ -83,10 +95,17 @@ def parent_of(host: Column) -> Column:
     return F.when(F.instr(host, ".") > 0, F.regexp_replace(host, r"^[^.]*\.", "")).otherwise(F.regexp_replace(host, "[0-9]+$", ""))
 
 
-def training_rows(labelled: DataFrame, limit: int = TRAINING_ROWS) -> list[tuple[str, str]]:
-    """``(lang, text)`` of ``labelled(lang, text)``'s rows with the least hash of their text, ``limit`` at most."""
-    rows = labelled.where("lang is not null and length(text) >= 3").select("lang", "text", F.xxhash64("text").alias("h")).orderBy("h").limit(limit)
-    return [(r.lang, r.text) for r in rows.collect()]
+def training_rows(labelled: DataFrame, limit: int = TRAINING_ROWS, key: str = "doc_id") -> list[tuple[str, str]]:
+    """``(lang, text)`` of the rows of ``labelled(key, lang, text)`` with the least hashes, ``limit`` at most.
+
+    Hashes alone are ranked; only the chosen rows' texts are gathered.
+    """
+    usable = labelled.where("lang is not null and length(text) >= 3").select("lang", "text", F.xxhash64(key, "text").alias("h"))
+    last = usable.select("h").orderBy("h").limit(limit).agg(F.max("h")).first()[0]
+    if last is None:
+        return []
+    chosen = usable.where(F.col("h") <= last).dropDuplicates(["h"])
+    return [(r.lang, r.text) for r in chosen.select("lang", "text").toLocalIterator()]
 
 
 def identify(rows: DataFrame, model: TextModel, key: str = "doc_id") -> DataFrame:
