@@ -40,6 +40,19 @@ def sample_rows(x: DataFrame, fraction: float) -> DataFrame:
     return x if fraction >= 1 else x.where(F.pmod(F.xxhash64("row_id"), F.lit(1_000_000)) < int(fraction * 1_000_000))
 
 
+def sample_by_length(x: DataFrame, fraction: float) -> DataFrame:
+    """Rows kept with a chance in proportion to their squared length, and scaled so that Gram sums stay right on average."""
+    square = F.aggregate("x", F.lit(0.0), lambda a, v: a + v * v)
+    sized = x.withColumn("_s", square)
+    got = sized.agg(F.sum("_s").alias("s"), F.count("*").alias("m")).first()
+    if not got.s:
+        return x
+    chance = F.least(F.lit(1.0), F.col("_s") * F.lit(fraction * got.m / got.s))
+    draw = F.pmod(F.xxhash64("row_id"), F.lit(1_000_000)) / 1_000_000
+    kept_ = sized.withColumn("_p", chance).where((F.col("_p") > 0) & (draw < F.col("_p")))
+    return kept_.select("row_id", F.transform("x", lambda v: v / F.sqrt(F.col("_p"))).alias("x"))
+
+
 def gram(x: DataFrame, n: int) -> np.ndarray:
     """Sum of the rows' outer products. A task gives one packed triangle; groups of tasks add up before the driver."""
     upper = np.triu_indices(n)
@@ -105,14 +118,15 @@ def _signed(b: np.ndarray) -> np.ndarray:
     return b * np.where(b[pick, np.arange(b.shape[1])] < 0, -1.0, 1.0)
 
 
-def spectral_factors(x: DataFrame, n: int, d: int, solver: str = "gram", fraction: float = 1.0, power_steps: int = 4, seed: int = 42) -> Factors:
+def spectral_factors(x: DataFrame, n: int, d: int, solver: str = "gram", fraction: float = 1.0, power_steps: int = 4, seed: int = 42, sampling: str = "uniform") -> Factors:
     """Leading ``d`` singular factors of ``x(row_id, x)``.
 
     ``solver``: ``gram``, ``power`` (block power steps to a tight subspace) or ``sketch`` (random range
-    finder, two scans). ``fraction`` below 1 takes the right factors from that share of the rows.
+    finder, two scans). ``fraction`` below 1 takes the right factors from that share of the rows, drawn
+    evenly or, with ``sampling="length"``, by squared length.
     """
     d = min(d, n)
-    part = sample_rows(x, fraction)
+    part = sample_by_length(x, fraction) if sampling == "length" and fraction < 1 else sample_rows(x, fraction)
     if solver == "gram":
         if n > GRAM_COLUMNS:
             raise ValueError(f"{n} columns: use the power or sketch solver")

@@ -554,6 +554,17 @@ def subsample_loss(spark: SparkSession, sf_dir: str) -> DataFrame:
     return full.unionByName(part).select("workload", "fraction", "drr")
 
 
+@query
+def threshold_recovery(spark: SparkSession, sf_dir: str) -> DataFrame:
+    """Labels by the threshold graph on a drawn table: their error on both sides."""
+    codes, v = M.sample_sbm(spark, 0.05, 0.95, 3, 150, 600, 11)
+    codes = kept(codes, "drawn")
+    x = kept(P.image(codes, [2] * 600), "image")
+    lat = L.spectral_latents(x, 600, 3, 3, n_components="k", cluster="threshold", theta=0.35)
+    err = E.label_error(codes.select("row_id", F.col("u").alias("truth")).join(lat.rows, "row_id"), "truth", "u")
+    return spark.createDataFrame([("rows", 150, err), ("columns", 600, E.assignment_error([(int(a), int(b), 1) for a, b in zip(v, lat.columns, strict=True)]))], "side string, n int, err double")
+
+
 @query
 def search_latents_words(spark: SparkSession, sf_dir: str) -> DataFrame:
     w = W.build(spark, sf_dir, "words")

@@ -106,6 +106,14 @@ def test_subsampled_factors_lose_little(spark, planted):
     assert E.label_error(both, "truth", "u") <= 0.05
 
 
+def test_sampling_by_length_keeps_the_spectrum(spark, planted):
+    codes, _ = planted
+    x = kept(P.image(codes, [2] * 120), "x")
+    full, part = L.spectral_factors(x, 120, 2), L.spectral_factors(x, 120, 2, fraction=0.6, sampling="length")
+    assert np.allclose(full.sigma, part.sigma, rtol=0.15)
+    assert abs(full.columns[:, 0] @ part.columns[:, 0]) > 0.98
+
+
 def test_degenerate_sizes(spark, planted):
     codes, _ = planted
     x = kept(P.image(codes, [2] * 120, "scaled"), "x")
