@@ -16,12 +16,14 @@ shingle: the whole sequence is the one shingle; repeated rows: each its own row
 further columns are ignored; no rows: no rows.
 
 ``near_groups`` is for pipelines, which want every pair that is alike in 0.8 of its five-word shingles:
-such pairs may differ in a dozen fingerprint bits, more than any exact search reaches. It adds to the
-fingerprints' links those between texts that agree in a sample of their shingles' least hashes.
+such pairs may differ in a dozen fingerprint bits, more than any exact search reaches. To the pairs with
+near fingerprints it adds those that agree in a sample of their shingles' least hashes, and links a pair
+only when the shingle sets themselves are that alike.
 """
 
 from __future__ import annotations
 
+import hashlib
 import re
 from collections.abc import Iterator
 
@@ -32,7 +34,7 @@ from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
 from blockpress.llm.common import free_columns, slices, stored
-from blockpress.llm.minhash import PERMUTATIONS, signatures
+from blockpress.llm.minhash import PERMUTATIONS, likeness, shingle_sets, signatures
 from blockpress.operators.components import connected_components
 
 SEGMENTS = 5
@@ -180,42 +182,72 @@ def near_duplicates(docs: DataFrame, shingle: int = 3, seed: int = 42, limit: in
     return prints.join(named, "fp").select("doc_id", hexed.alias("fingerprint"), "component_id")
 
 
-#: Keys of four least hashes each: texts alike in 0.8 miss all of them once in 5,000 times.
+#: Keys of four least hashes each: texts alike in 0.8 share none of them once in 5,000 times.
 SAMPLES = 16
+#: Standard errors below the bound at which the estimate still sends a pair to the exact test.
+LOOSE = 5
 
 
-def sample_links(classes: DataFrame, similarity: float) -> DataFrame:
-    """``(a, b)``: verified links of ``classes(id, sig)`` to the first and last class under a shared key.
+def loose_floor(similarity: float) -> float:
+    """The estimate under which a pair is not tested exactly."""
+    return similarity - LOOSE * (similarity * (1 - similarity) / PERMUTATIONS) ** 0.5
 
-    Under each key all classes are compared with two of them only, so a large group costs as many rows
-    as it has members. A pair counts as alike within two standard errors of the estimate.
+
+def jaccard(a: np.ndarray, b: np.ndarray) -> float:
+    """Jaccard similarity of two sets of hashes, each sorted and without repeats; of two empty ones: 1."""
+    both = len(np.intersect1d(a, b, assume_unique=True))
+    return both / (len(a) + len(b) - both) if len(a) or len(b) else 1.0
+
+
+def _sketches(column: pa.Array) -> np.ndarray:
+    return np.frombuffer(b"".join(column.to_pylist()), np.uint8).reshape(-1, PERMUTATIONS)
+
+
+def verified(pairs: DataFrame, classes: DataFrame, similarity: float) -> DataFrame:
+    """Those ``pairs(a, b)`` of ``classes(id, sig, shingles)`` whose shingle sets are exactly that alike; the estimate only thins them out."""
+    floor = loose_floor(similarity)
+
+    def side(df: DataFrame, end: str, column: str) -> DataFrame:
+        return df.join(classes.select(F.col("id").alias(end), F.col(column).alias(f"{column}_{end}")), end)
+
+    def thin(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+        for batch in batches:
+            close = likeness(_sketches(batch.column("sig_a")), _sketches(batch.column("sig_b"))) >= floor
+            yield pa.record_batch([batch.column("a"), batch.column("b")], names=["a", "b"]).filter(pa.array(close, pa.bool_()))
+
+    def test(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+        for batch in batches:
+            sets = zip(batch.column("shingles_a"), batch.column("shingles_b"), strict=True)
+            alike = [jaccard(np.frombuffer(x.as_buffer(), np.uint64), np.frombuffer(y.as_buffer(), np.uint64)) >= similarity for x, y in sets]
+            yield pa.record_batch([batch.column("a"), batch.column("b")], names=["a", "b"]).filter(pa.array(alike, pa.bool_()))
+
+    both = side(stored(side(pairs, "b", "sig"), "sample-half"), "a", "sig").select("a", "b", "sig_a", "sig_b")
+    close = stored(both.mapInArrow(thin, "a long, b long"), "sample-close")
+    both = side(stored(side(close, "b", "shingles"), "sample-sets"), "a", "shingles").select("a", "b", "shingles_a", "shingles_b")
+    return both.mapInArrow(test, "a long, b long")
+
+
+def sample_links(classes: DataFrame, similarity: float, more: DataFrame) -> DataFrame:
+    """``(a, b)``: exactly verified links of ``classes(id, sig, shingles)`` under shared keys, and of the pairs in ``more(a, b)``.
+
+    Under each key all classes are compared with the first and the last.
     """
-    floor = similarity - 2 * (similarity * (1 - similarity) / PERMUTATIONS) ** 0.5
 
     def keys(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         for batch in batches:
-            sig = np.frombuffer(b"".join(batch.column("sig").to_pylist()), np.uint8).reshape(-1, PERMUTATIONS)
+            sig = _sketches(batch.column("sig"))
             part = np.ascontiguousarray(sig[:, : 4 * SAMPLES]).view("<u4").astype(np.int64) + (np.arange(SAMPLES) << 32)
             yield pa.record_batch([batch.column("id").take(pa.array(np.repeat(np.arange(len(sig)), SAMPLES))), pa.array(part.ravel())], names=["id", "key"])
 
-    keyed = stored(classes.mapInArrow(keys, "id long, key long"), "sample-keys")
+    keyed = stored(classes.select("id", "sig").mapInArrow(keys, "id long, key long"), "sample-keys")
     ends = stored(keyed.groupBy("key").agg(F.min("id").alias("lo"), F.max("id").alias("hi")).where("lo < hi"), "sample-ends")
     pairs = keyed.join(ends, "key").select("id", F.explode(F.array("lo", "hi")).alias("other")).where("id <> other")
-    pairs = stored(pairs.select(F.least("id", "other").alias("a"), F.greatest("id", "other").alias("b")).distinct(), "sample-pairs")
-    half = pairs.join(classes.select(F.col("id").alias("b"), F.col("sig").alias("sig_b")), "b")
-    both = stored(half, "sample-half").join(classes.select(F.col("id").alias("a"), F.col("sig").alias("sig_a")), "a")
-
-    def verify(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
-        for batch in batches:
-            x, y = (np.frombuffer(b"".join(batch.column(c).to_pylist()), np.uint8).reshape(-1, PERMUTATIONS) for c in ("sig_a", "sig_b"))
-            alike = ((x == y).mean(axis=1) - 1 / 256) / (1 - 1 / 256) >= floor
-            yield pa.record_batch([batch.column("a"), batch.column("b")], names=["a", "b"]).filter(pa.array(alike))
-
-    return both.select("a", "b", "sig_a", "sig_b").mapInArrow(verify, "a long, b long")
+    pairs = pairs.select(F.least("id", "other").alias("a"), F.greatest("id", "other").alias("b")).unionByName(more)
+    return verified(stored(pairs.distinct(), "sample-pairs"), classes, similarity)
 
 
 def near_groups(docs: DataFrame, similarity: float = 0.8, shingle: int = 5, limit: int = 3) -> DataFrame:
-    """``(doc_id, component_id)``: groups over near fingerprints and over shingle sets alike in ``similarity``.
+    """``(doc_id, component_id)``: groups over shingle sets alike in ``similarity``; near fingerprints are among the pairs tested.
 
     A null ``doc_id`` counts as the least number.
     """
@@ -225,21 +257,26 @@ def near_groups(docs: DataFrame, similarity: float = 0.8, shingle: int = 5, limi
             texts = batch.column("text").cast(pa.binary()).fill_null(b"").to_pylist()
             fp = np.array([fingerprint(t, shingle) for t in texts], np.uint64).view(np.int64)
             sig = [s.tobytes() for s in signatures(batch.column("text"), shingle)]
-            yield pa.record_batch([batch.column("doc_id"), pa.array(fp), pa.array(sig, pa.binary())], names=["doc_id", "fp", "sig"])
+            h, at = shingle_sets(batch.column("text"), shingle)
+            sets = [np.unique(h[a:b]).tobytes() for a, b in zip(at, at[1:], strict=False)]
+            same = [hashlib.blake2b(s, digest_size=16).digest() for s in sets]
+            yield pa.record_batch([batch.column("doc_id"), pa.array(fp), pa.array(same, pa.binary()), pa.array(sig, pa.binary()), pa.array(sets, pa.binary())], names=["doc_id", "fp", "same", "sig", "shingles"])
 
-    prints = free_columns(docs, ["doc_id", "text"]).mapInArrow(emit, "doc_id long, fp long, sig binary")
+    prints = free_columns(docs, ["doc_id", "text"]).mapInArrow(emit, "doc_id long, fp long, same binary, sig binary, shingles binary")
     prints = stored(prints.withColumn("id", F.coalesce("doc_id", F.lit(-(1 << 63)))), "prints")
-    # equal fingerprints and equal signatures are one node each, named after their least document
-    by_fp = stored(prints.groupBy("fp").agg(F.min("id").alias("first_fp")), "by-fp")
-    by_sig = stored(prints.groupBy("sig").agg(F.min("id").alias("id")), "by-sig")
-    found = stored(connected_components(links(by_fp.select("fp"), limit)), "components")
-    nodes = by_fp.join(found, F.col("fp") == F.col("node"))
-    least = stored(nodes.groupBy("component").agg(F.min("first_fp").alias("top")), "tops")
-    close = nodes.join(least, "component").select(F.col("first_fp").alias("a"), F.col("top").alias("b"))
-    named = prints.join(by_fp, "fp").select("doc_id", "id", "sig", "first_fp").join(by_sig.withColumnRenamed("id", "first_sig"), "sig")
-    named = stored(named.select("doc_id", "id", "first_fp", "first_sig"), "named")
-    same = named.where("first_fp <> first_sig").select(F.col("first_fp").alias("a"), F.col("first_sig").alias("b")).distinct()
-    edges = close.unionByName(sample_links(by_sig, similarity)).unionByName(same)
+    # documents with one shingle set are one node, named after the least of them
+    by_set = stored(prints.groupBy("same").agg(F.min("id").alias("first_set")), "by-set")
+    named = stored(prints.select("doc_id", "id", "fp", "same").join(by_set, "same"), "named")
+    firsts = named.where("id = first_set").select("id", "same").distinct()
+    classes = stored(prints.join(firsts, ["id", "same"]).dropDuplicates(["id", "same"]).select("id", "sig", "shingles"), "class-sets")
+    # candidates by fingerprint: the first of an equal one, and the firsts of near ones
+    by_fp = stored(named.groupBy("fp").agg(F.min("first_set").alias("first_fp")), "by-fp")
+    equal = named.join(by_fp, "fp").select(F.col("first_fp").alias("a"), F.col("first_set").alias("b"))
+    near = stored(links(by_fp.select("fp"), limit), "near")
+    near = near.join(by_fp.select(F.col("fp").alias("a"), F.col("first_fp").alias("x")), "a").join(by_fp.select(F.col("fp").alias("b"), F.col("first_fp").alias("y")), "b")
+    more = equal.unionByName(near.select(F.least("x", "y").alias("a"), F.greatest("x", "y").alias("b"))).where("a <> b")
+    # rows with an equal id stay together
+    edges = sample_links(classes, similarity, more).unionByName(named.where("id <> first_set").select(F.col("id").alias("a"), F.col("first_set").alias("b")).distinct())
     groups = stored(connected_components(edges), "groups")
-    out = named.join(groups, F.col("first_fp") == F.col("node"), "left")
-    return out.select("doc_id", F.coalesce("component", "first_fp").alias("component_id"))
+    out = named.join(groups, F.col("first_set") == F.col("node"), "left")
+    return out.select("doc_id", F.coalesce("component", "first_set").alias("component_id"))

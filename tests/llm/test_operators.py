@@ -526,3 +526,38 @@ def test_chat(spark):
     good = conversation_digests(format_conversations(df.where("conv_id = 4 and turn < 3"))).first()
     assert good.valid
     assert conversation_digests(format_conversations(df.limit(0))).count() == 0
+
+
+def template_documents(seed=5):
+    """Strangers that share three quarters of a pair's shingles, and pairs alike in 0.8 among them: ids and texts."""
+    rng = np.random.default_rng(seed)
+    fresh = lambda n: [f"w{x}" for x in rng.integers(0, 1 << 40, n)]
+    passage, rows = fresh(304), []  # 300 shingles
+    for _ in range(24):
+        own = fresh(20)
+        rows += [passage + own + fresh(40), passage + own + fresh(40)]
+    order = rng.permutation(len(rows))
+    return [(int(order[k]), " ".join(r)) for k, r in enumerate(rows)]
+
+
+def brute_groups(rows, similarity=0.8):
+    sets = {d: {tuple(w[i : i + 5]) for i in range(len(w) - 4)} for d, t in rows for w in [t.split()]}
+    group = {d: d for d in sets}
+    for a in sorted(sets):
+        for b in sorted(sets):
+            if a < b and group[a] != group[b] and len(sets[a] & sets[b]) >= similarity * len(sets[a] | sets[b]):
+                lo, hi = sorted((group[a], group[b]))
+                group = {d: lo if g == hi else g for d, g in group.items()}
+    return group
+
+
+def test_near_groups_are_exact(spark):
+    """Documents that share a template and are below 0.8 stay apart."""
+    from blockpress.llm.simhash import near_groups
+
+    rows = template_documents()
+    truth = brute_groups(rows)
+    assert len(set(truth.values())) == 24
+    got = {r.doc_id: r.component_id for r in near_groups(spark.createDataFrame(rows, "doc_id long, text string")).collect()}
+    assert got.keys() == truth.keys()
+    assert all(truth[d] == truth[g] for d, g in got.items())
