@@ -184,6 +184,8 @@ def near_duplicates(docs: DataFrame, shingle: int = 3, seed: int = 42, limit: in
 
 #: Keys of four least hashes each: texts alike in 0.8 share none of them once in 5,000 times.
 SAMPLES = 16
+#: Classes in a block of a key whose classes are compared with one another.
+COMPARED = 256
 #: Standard errors below the bound at which the estimate still sends a pair to the exact test.
 LOOSE = 5
 
@@ -230,7 +232,9 @@ def verified(pairs: DataFrame, classes: DataFrame, similarity: float) -> DataFra
 def sample_links(classes: DataFrame, similarity: float, more: DataFrame) -> DataFrame:
     """``(a, b)``: exactly verified links of ``classes(id, sig, shingles)`` under shared keys, and of the pairs in ``more(a, b)``.
 
-    Under each key all classes are compared with the first and the last.
+    Under each key all classes are compared with the first. Where that does not put them into one component,
+    all of different components are compared: a key is dealt out as pairs of blocks, and each such task gives
+    no more links than it has classes. Keys with the same classes count once.
     """
 
     def keys(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
@@ -239,11 +243,37 @@ def sample_links(classes: DataFrame, similarity: float, more: DataFrame) -> Data
             part = np.ascontiguousarray(sig[:, : 4 * SAMPLES]).view("<u4").astype(np.int64) + (np.arange(SAMPLES) << 32)
             yield pa.record_batch([batch.column("id").take(pa.array(np.repeat(np.arange(len(sig)), SAMPLES))), pa.array(part.ravel())], names=["id", "key"])
 
+    floor = loose_floor(similarity)
     keyed = stored(classes.select("id", "sig").mapInArrow(keys, "id long, key long"), "sample-keys")
-    ends = stored(keyed.groupBy("key").agg(F.min("id").alias("lo"), F.max("id").alias("hi")).where("lo < hi"), "sample-ends")
-    pairs = keyed.join(ends, "key").select("id", F.explode(F.array("lo", "hi")).alias("other")).where("id <> other")
-    pairs = pairs.select(F.least("id", "other").alias("a"), F.greatest("id", "other").alias("b")).unionByName(more)
-    return verified(stored(pairs.distinct(), "sample-pairs"), classes, similarity)
+    ends = keyed.groupBy("key").agg(F.min("id").alias("lo"), F.max("id").alias("hi")).where("lo < hi")
+    pairs = keyed.join(ends, "key").where("id <> lo").select(F.col("lo").alias("a"), F.col("id").alias("b")).unionByName(more)
+    first = stored(verified(stored(pairs.distinct(), "sample-pairs"), classes, similarity), "sample-first")
+    found = connected_components(first).select(F.col("node").alias("id"), "component")
+    placed = stored(keyed.join(ends.select("key"), "key").join(found, "id", "left").select("key", "id", F.coalesce("component", "id").alias("part")), "sample-placed")
+    print_ = [F.sum(F.xxhash64("id").cast("decimal(38,0)")).alias("p"), F.sum(F.xxhash64("id", F.lit(1)).cast("decimal(38,0)")).alias("q")]
+    apart = placed.groupBy("key").agg(F.count("*").alias("n"), F.min("part").alias("lo"), F.max("part").alias("hi"), *print_)
+    left = apart.where("lo < hi and n > 2").groupBy("n", "p", "q").agg(F.min("key").alias("key"))
+    left = stored(left.select("key", F.ceil(F.col("n") / COMPARED).cast("int").alias("blocks")), "sample-left")
+    dealt = placed.join(left, "key").withColumn("own", F.pmod(F.xxhash64("id"), F.col("blocks")).cast("int"))
+    dealt = dealt.select("key", "id", "part", "own", F.explode(F.sequence(F.lit(0), F.col("blocks") - 1)).alias("other"))
+    dealt = dealt.select("key", "id", "part", "own", F.least("own", "other").alias("lo"), F.greatest("own", "other").alias("hi")).join(classes, "id")
+
+    def spanning(_, part):
+        ids, own = part.column("id").to_numpy(), part.column("own").to_numpy()
+        _, label = np.unique(part.column("part").to_numpy(), return_inverse=True)
+        sig = _sketches(part.column("sig"))
+        sets = [np.frombuffer(x.as_buffer(), np.uint64) for x in part.column("shingles")]
+        first, second = (np.flatnonzero(own == part.column(c)[0].as_py()) for c in ("lo", "hi"))
+        out: list[tuple[int, int]] = []
+        for i in first.tolist():
+            away = second[label[second] != label[i]]
+            for j in away[likeness(np.broadcast_to(sig[i], (len(away), PERMUTATIONS)), sig[away]) >= floor].tolist():
+                if label[i] != label[j] and jaccard(sets[i], sets[j]) >= similarity:
+                    label[label == label[j]] = label[i]
+                    out.append((i, j))
+        return pa.table({"a": pa.array([int(ids[i]) for i, _ in out], pa.int64()), "b": pa.array([int(ids[j]) for _, j in out], pa.int64())})
+
+    return first.unionByName(dealt.groupBy("key", "lo", "hi").applyInArrow(spanning, "a long, b long"))
 
 
 def near_groups(docs: DataFrame, similarity: float = 0.8, shingle: int = 5, limit: int = 3) -> DataFrame:

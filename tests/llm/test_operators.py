@@ -561,3 +561,30 @@ def test_near_groups_are_exact(spark):
     got = {r.doc_id: r.component_id for r in near_groups(spark.createDataFrame(rows, "doc_id long, text string")).collect()}
     assert got.keys() == truth.keys()
     assert all(truth[d] == truth[g] for d, g in got.items())
+
+
+@pytest.mark.parametrize("block", [256, 10])
+def test_sample_links_compare_all(spark, monkeypatch, block):
+    """Classes between the first and the last of their only key find each other, in one block or in several."""
+    from blockpress.llm import simhash as S
+    from blockpress.llm.minhash import PERMUTATIONS
+
+    monkeypatch.setattr(S, "COMPARED", block, raising=False)
+    monkeypatch.setattr(S, "SAMPLES", 1)
+    rng = np.random.default_rng(3)
+    rows = []
+    for k in range(20):  # first and last are strangers to all, the others come in pairs alike in 90 of 110
+        own = rng.integers(0, 1 << 62, 110).astype(np.uint64)
+        for half in (own[:100], own[10:]):
+            sig = rng.integers(0, 256, PERMUTATIONS).astype(np.uint8)
+            sig[:230] = np.resize(own.view(np.uint8), 230)
+            sig[:4] = 7
+            rows.append((len(rows) + 1, bytes(sig), np.sort(half).tobytes()))
+    for i in (0, 99):
+        sig = rng.integers(0, 256, PERMUTATIONS).astype(np.uint8)
+        sig[:4] = 7
+        rows.append((i, bytes(sig), np.sort(rng.integers(0, 1 << 62, 100).astype(np.uint64)).tobytes()))
+    classes = spark.createDataFrame(rows, "id long, sig binary, shingles binary")
+    none = spark.createDataFrame([], "a long, b long")
+    got = {(min(r), max(r)) for r in S.sample_links(classes, 0.8, none).collect()}
+    assert got == {(2 * k + 1, 2 * k + 2) for k in range(20)}
