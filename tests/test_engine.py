@@ -282,3 +282,15 @@ def test_order_matters_to_the_dictionary_coder_alone(spark, small):
     here = {r.method: r.drr for r in W.report(spark, small, ["neighbours"], ("lz", "ans_column"), 1).collect()}
     mixed = {r.method: r.drr for r in W.report(spark, small, ["neighbours"], ("lz", "ans_column"), 1, shuffled=True).collect()}
     assert here["lz"] > mixed["lz"] + 0.1 and abs(here["ans_column"] - mixed["ans_column"]) < 0.01
+
+
+def test_coder_ablation_takes_all_rows(spark, small):
+    """The frequency coder's size is that of the whole table."""
+    from blockpress import queries as Q
+
+    where = new_path(spark, "later")
+    docs = spark.read.parquet(f"{small}/documents.parquet")
+    docs.withColumn("doc_id", F.col("doc_id") + 150).write.parquet(f"{where}/documents.parquet")
+    rows = kept(Q._labelled_words(spark, where), "words")
+    want = C.compress(rows, [2] * 200, np.array(Q.WORD_GROUPS), "rans", "rans", pack="bits").coded_bits
+    assert {r.coder: r.coded_bits for r in Q.coder_ablation(spark, where).collect()}["rans"] == want
