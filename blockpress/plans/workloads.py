@@ -169,23 +169,47 @@ def word_presence(spark: SparkSession, sf_dir: str, n: int = 200) -> tuple[DataF
     return kept(rows, "codes"), [2] * n
 
 
+#: Documents in a block of the all-pairs comparison.
+PAIR_BLOCK = 1024
+
+
 def jaccard_pairs(words: DataFrame, threshold: float) -> DataFrame:
-    """``src, dst`` with ``src < dst``: documents whose sets in ``words(doc_id, word)`` are that alike; through shared words."""
-    words = kept(words, "words")
-    size = words.groupBy("doc_id").agg(F.count("*").alias("n"))
-    a, b = words.select(F.col("doc_id").alias("src"), "word"), words.select(F.col("doc_id").alias("dst"), "word")
-    both = a.join(b, "word").where("src < dst").groupBy("src", "dst").agg(F.count("*").alias("common"))
-    both = both.join(size.select(F.col("doc_id").alias("src"), F.col("n").alias("p")), "src").join(size.select(F.col("doc_id").alias("dst"), F.col("n").alias("q")), "dst")
-    return both.where(F.col("common") >= threshold * (F.col("p") + F.col("q") - F.col("common"))).select("src", "dst")
-
-
-def network(spark: SparkSession, sf_dir: str, threshold: float = 0.3, limit: int = 1000) -> tuple[DataFrame, list[int]]:
-    """Undirected network of the first ``limit`` documents, by their frequent words: the experiment's size is part of it."""
-    docs = read(spark, sf_dir, "documents").select("doc_id", "text").where(F.col("doc_id") < limit)
+    """``src, dst`` with ``src < dst``: documents whose sets in ``words(doc_id, word)``, few different words, are that alike.
+
+    Documents are dealt out as pairs of blocks, and a block pair's common words are one matrix product.
+    """
+    sets = kept(words.groupBy("doc_id").agg(F.collect_set("word").alias("words")), "words")
+    blocks = max(1, -(-sets.count() // PAIR_BLOCK))
+    dealt = sets.withColumn("own", F.pmod(F.xxhash64("doc_id"), F.lit(blocks)).cast("int"))
+    dealt = dealt.select("doc_id", "words", "own", F.explode(F.sequence(F.lit(0), F.lit(blocks - 1))).alias("other"))
+    dealt = dealt.select("doc_id", "words", "own", F.least("own", "other").alias("lo"), F.greatest("own", "other").alias("hi"))
+
+    def alike(_, part):
+        ids, own = part.column("doc_id").to_numpy(), part.column("own").to_numpy()
+        lists = part.column("words").combine_chunks()
+        size = lists.value_lengths().to_numpy(zero_copy_only=False).astype(np.int64)
+        code = lists.flatten().dictionary_encode()
+        cells = np.zeros((len(ids), len(code.dictionary)), np.float32)
+        cells[np.repeat(np.arange(len(ids)), size), code.indices.to_numpy(zero_copy_only=False)] = 1
+        first, second = (np.flatnonzero(own == part.column(c)[0].as_py()) for c in ("lo", "hi"))
+        common = (cells[first] @ cells[second].T).astype(np.float64)
+        i, j = np.nonzero(common >= threshold * (size[first][:, None] + size[second][None, :] - common))
+        a, b = ids[first[i]], ids[second[j]]
+        once = a < b if part.column("lo")[0] == part.column("hi")[0] else a != b
+        return pa.table({"src": np.minimum(a, b)[once], "dst": np.maximum(a, b)[once]})
+
+    return dealt.groupBy("lo", "hi").applyInArrow(alike, "src long, dst long")
+
+
+def network(spark: SparkSession, sf_dir: str, threshold: float = 0.3) -> tuple[DataFrame, list[int]]:
+    """Undirected network of all documents, by their frequent words."""
+    docs = read(spark, sf_dir, "documents").select("doc_id", "text")
     edges = jaccard_pairs(frequent_words(docs), threshold)
     both = edges.unionByName(edges.select(F.col("dst").alias("src"), F.col("src").alias("dst")))
-    n = docs.count()
-    ones = docs.select(F.col("doc_id").alias("row_id")).join(both.groupBy(F.col("src").alias("row_id")).agg(F.collect_list(F.col("dst").cast("int")).alias("at")), "row_id", "left")
+    nodes = kept(assign_row_ids(docs.select("doc_id"), ["doc_id"]), "nodes")
+    n = nodes.count()
+    ends = both.join(nodes.select(F.col("doc_id").alias("dst"), F.col("row_id").cast("int").alias("at")), "dst")
+    ones = nodes.join(ends.groupBy(F.col("src").alias("doc_id")).agg(F.collect_list("at").alias("at")), "doc_id", "left")
     return kept(dense(ones.select("row_id", F.coalesce("at", F.array().cast("array<int>")).alias("at")), n), "codes"), [2] * n
 
 

@@ -284,6 +284,22 @@ def test_order_matters_to_the_dictionary_coder_alone(spark, small):
     assert here["lz"] > mixed["lz"] + 0.1 and abs(here["ans_column"] - mixed["ans_column"]) < 0.01
 
 
+def test_network_takes_all_documents(spark, small, monkeypatch):
+    """Whatever their ids, and in one block or in several."""
+    where = new_path(spark, "later")
+    docs = spark.read.parquet(f"{small}/documents.parquet").select("doc_id", "text")
+    docs.withColumn("doc_id", F.col("doc_id") + 5000).write.parquet(f"{where}/documents.parquet")
+    monkeypatch.setattr(W, "PAIR_BLOCK", 60, raising=False)
+    codes, cards = W.network(spark, where)
+    sets = {}
+    for r in W.frequent_words(docs).collect():
+        sets.setdefault(r.doc_id, set()).add(r.word)
+    ids = sorted(r.doc_id for r in docs.select("doc_id").collect())
+    none = set()
+    want = {i: [int(a != b and len(sets.get(a, none) & sets.get(b, none)) >= 0.3 * len(sets.get(a, none) | sets.get(b, none)) > 0) for b in ids] for i, a in enumerate(ids)}
+    assert len(cards) == len(ids) and {r.row_id: r.codes for r in codes.collect()} == want
+
+
 def test_coder_ablation_takes_all_rows(spark, small):
     """The frequency coder's size is that of the whole table."""
     from blockpress import queries as Q
