@@ -18,8 +18,6 @@ from pyspark.sql import functions as F
 from blockpress.sources.storage import kept
 
 GRAM_COLUMNS = 4096
-#: Rows that k-means is fitted on; all rows are assigned.
-FIT_ROWS = 200_000
 
 
 @dataclass
@@ -178,7 +176,7 @@ def canonical(labels: np.ndarray) -> np.ndarray:
 
 
 def kmeans_rows(rows: DataFrame, k: int, seed: int = 42, init: str = "random", unit: bool = False) -> DataFrame:
-    """``row_id, u``: clusters of the row factors, fitted on ``FIT_ROWS`` rows at most, all rows assigned.
+    """``row_id, u``: clusters of the row factors, fitted on all rows.
 
     ``unit`` clusters the directions of the factors instead of the factors.
     """
@@ -192,9 +190,7 @@ def kmeans_rows(rows: DataFrame, k: int, seed: int = 42, init: str = "random", u
         norm = F.sqrt(F.aggregate("a", F.lit(0.0), lambda s, x: s + x * x))
         a = F.transform("a", lambda x: x / F.greatest(norm, F.lit(1e-300)))
     points = rows.select("row_id", array_to_vector(a).alias("features"))
-    m = points.count()
-    fit = points if m <= FIT_ROWS else points.where(F.pmod(F.xxhash64("row_id"), F.lit(m)) < FIT_ROWS)
-    model = KMeans(k=k, seed=seed, initMode=init, maxIter=50, tol=1e-6).fit(fit)
+    model = KMeans(k=k, seed=seed, initMode=init, maxIter=50, tol=1e-6).fit(points)
     found = kept(model.transform(points).select("row_id", F.col("prediction").alias("p")), "clusters")
     sizes = sorted((-r.c, r.f, r.p) for r in found.groupBy("p").agg(F.count("*").alias("c"), F.min("row_id").alias("f")).collect())  # k rows
     rank = F.create_map(*[F.lit(x) for i, (_, _, p) in enumerate(sizes) for x in (p, i)])

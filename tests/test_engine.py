@@ -284,6 +284,14 @@ def test_order_matters_to_the_dictionary_coder_alone(spark, small):
     assert here["lz"] > mixed["lz"] + 0.1 and abs(here["ans_column"] - mixed["ans_column"]) < 0.01
 
 
+def test_kmeans_fits_on_all_rows(spark, monkeypatch):
+    """A cluster too small for a sample of the rows is found."""
+    monkeypatch.setattr(L, "FIT_ROWS", 20, raising=False)
+    rows = [(k, [100.0 if k < 4 else (k % 7) / 100]) for k in range(600)]
+    got = {r.row_id: r.u for r in L.kmeans_rows(spark.createDataFrame(rows, "row_id long, a array<double>"), 2).collect()}
+    assert all(got[k] == (k < 4) for k in range(600))
+
+
 def test_network_takes_all_documents(spark, small, monkeypatch):
     """Whatever their ids, and in one block or in several."""
     where = new_path(spark, "later")
