@@ -25,7 +25,7 @@ from __future__ import annotations
 
 import hashlib
 import re
-from collections.abc import Iterator
+from collections.abc import Callable, Iterator
 
 import numpy as np
 import pyarrow as pa
@@ -190,6 +190,10 @@ COMPARED = 256
 LOOSE = 5
 
 
+#: Gives ``(id, shingles)`` of the ids in a table ``(id)``.
+Sets = Callable[[DataFrame], DataFrame]
+
+
 def loose_floor(similarity: float) -> float:
     """The estimate under which a pair is not tested exactly."""
     return similarity - LOOSE * (similarity * (1 - similarity) / PERMUTATIONS) ** 0.5
@@ -205,12 +209,12 @@ def _sketches(column: pa.Array) -> np.ndarray:
     return np.frombuffer(b"".join(column.to_pylist()), np.uint8).reshape(-1, PERMUTATIONS)
 
 
-def verified(pairs: DataFrame, classes: DataFrame, similarity: float) -> DataFrame:
-    """Those ``pairs(a, b)`` of ``classes(id, sig, shingles)`` whose shingle sets are exactly that alike; the estimate only thins them out."""
+def verified(pairs: DataFrame, classes: DataFrame, similarity: float, sets: Sets) -> DataFrame:
+    """Those ``pairs(a, b)`` of ``classes(id, sig)`` whose shingle sets are exactly that alike; the estimate only thins them out."""
     floor = loose_floor(similarity)
 
-    def side(df: DataFrame, end: str, column: str) -> DataFrame:
-        return df.join(classes.select(F.col("id").alias(end), F.col(column).alias(f"{column}_{end}")), end)
+    def side(df: DataFrame, end: str, column: str, source: DataFrame = classes) -> DataFrame:
+        return df.join(source.select(F.col("id").alias(end), F.col(column).alias(f"{column}_{end}")), end)
 
     def thin(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         for batch in batches:
@@ -225,17 +229,20 @@ def verified(pairs: DataFrame, classes: DataFrame, similarity: float) -> DataFra
 
     both = side(stored(side(pairs, "b", "sig"), "sample-half"), "a", "sig").select("a", "b", "sig_a", "sig_b")
     close = stored(both.mapInArrow(thin, "a long, b long"), "sample-close")
-    both = side(stored(side(close, "b", "shingles"), "sample-sets"), "a", "shingles").select("a", "b", "shingles_a", "shingles_b")
+    known = stored(sets(close.select(F.explode(F.array("a", "b")).alias("id")).distinct()), "sample-known")
+    both = side(stored(side(close, "b", "shingles", known), "sample-sets"), "a", "shingles", known).select("a", "b", "shingles_a", "shingles_b")
     return both.mapInArrow(test, "a long, b long")
 
 
-def sample_links(classes: DataFrame, similarity: float, more: DataFrame) -> DataFrame:
+def sample_links(classes: DataFrame, similarity: float, more: DataFrame, sets: Sets | None = None) -> DataFrame:
     """``(a, b)``: exactly verified links of ``classes(id, sig, shingles)`` under shared keys, and of the pairs in ``more(a, b)``.
 
     Under each key all classes are compared with the first. Where that does not put them into one component,
     all of different components are compared: a key is dealt out as pairs of blocks, and each such task gives
-    no more links than it has classes. Keys with the same classes count once.
+    no more links than it has classes. Keys with the same classes count once. ``sets`` gets the shingle sets
+    of the classes that need them, where ``classes`` has none.
     """
+    sets = sets or (lambda ids: classes.select("id", "shingles").join(ids, "id"))
 
     def keys(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         for batch in batches:
@@ -247,16 +254,20 @@ def sample_links(classes: DataFrame, similarity: float, more: DataFrame) -> Data
     keyed = stored(classes.select("id", "sig").mapInArrow(keys, "id long, key long"), "sample-keys")
     ends = keyed.groupBy("key").agg(F.min("id").alias("lo"), F.max("id").alias("hi")).where("lo < hi")
     pairs = keyed.join(ends, "key").where("id <> lo").select(F.col("lo").alias("a"), F.col("id").alias("b")).unionByName(more)
-    first = stored(verified(stored(pairs.distinct(), "sample-pairs"), classes, similarity), "sample-first")
+    first = stored(verified(stored(pairs.distinct(), "sample-pairs"), classes, similarity, sets), "sample-first")
     found = connected_components(first).select(F.col("node").alias("id"), "component")
     placed = stored(keyed.join(ends.select("key"), "key").join(found, "id", "left").select("key", "id", F.coalesce("component", "id").alias("part")), "sample-placed")
     print_ = [F.sum(F.xxhash64("id").cast("decimal(38,0)")).alias("p"), F.sum(F.xxhash64("id", F.lit(1)).cast("decimal(38,0)")).alias("q")]
     apart = placed.groupBy("key").agg(F.count("*").alias("n"), F.min("part").alias("lo"), F.max("part").alias("hi"), *print_)
     left = apart.where("lo < hi and n > 2").groupBy("n", "p", "q").agg(F.min("key").alias("key"))
     left = stored(left.select("key", F.ceil(F.col("n") / COMPARED).cast("int").alias("blocks")), "sample-left")
+    if left.isEmpty():
+        return first
     dealt = placed.join(left, "key").withColumn("own", F.pmod(F.xxhash64("id"), F.col("blocks")).cast("int"))
     dealt = dealt.select("key", "id", "part", "own", F.explode(F.sequence(F.lit(0), F.col("blocks") - 1)).alias("other"))
-    dealt = dealt.select("key", "id", "part", "own", F.least("own", "other").alias("lo"), F.greatest("own", "other").alias("hi")).join(classes, "id")
+    dealt = dealt.select("key", "id", "part", "own", F.least("own", "other").alias("lo"), F.greatest("own", "other").alias("hi"))
+    known = stored(sets(placed.join(left, "key").select("id").distinct()), "sample-known")
+    dealt = dealt.join(classes.select("id", "sig").join(known, "id"), "id")
 
     def spanning(_, part):
         ids, own = part.column("id").to_numpy(), part.column("own").to_numpy()
@@ -282,23 +293,39 @@ def near_groups(docs: DataFrame, similarity: float = 0.8, shingle: int = 5, limi
     A null ``doc_id`` counts as the least number.
     """
 
+    def sets(batch: pa.RecordBatch) -> list[bytes]:
+        h, at = shingle_sets(batch.column("text"), shingle)
+        return [np.unique(h[a:b]).tobytes() for a, b in zip(at, at[1:], strict=False)]
+
+    def digests(found: list[bytes]) -> list[bytes]:
+        return [hashlib.blake2b(s, digest_size=16).digest() for s in found]
+
     def emit(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         for batch in slices(batches, "text"):
             texts = batch.column("text").cast(pa.binary()).fill_null(b"").to_pylist()
             fp = np.array([fingerprint(t, shingle) for t in texts], np.uint64).view(np.int64)
             sig = [s.tobytes() for s in signatures(batch.column("text"), shingle)]
-            h, at = shingle_sets(batch.column("text"), shingle)
-            sets = [np.unique(h[a:b]).tobytes() for a, b in zip(at, at[1:], strict=False)]
-            same = [hashlib.blake2b(s, digest_size=16).digest() for s in sets]
-            yield pa.record_batch([batch.column("doc_id"), pa.array(fp), pa.array(same, pa.binary()), pa.array(sig, pa.binary()), pa.array(sets, pa.binary())], names=["doc_id", "fp", "same", "sig", "shingles"])
+            same = digests(sets(batch))
+            yield pa.record_batch([batch.column("doc_id"), pa.array(fp), pa.array(same, pa.binary()), pa.array(sig, pa.binary())], names=["doc_id", "fp", "same", "sig"])
+
+    def emit_sets(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+        for batch in slices(batches, "text"):
+            found = sets(batch)
+            yield pa.record_batch([batch.column("id"), pa.array(digests(found), pa.binary()), pa.array(found, pa.binary())], names=["id", "same", "shingles"])
+
+    def sets_of(ids: DataFrame) -> DataFrame:
+        """Sets of chosen documents, made anew: those of all would take more room than the texts."""
+        texts = free_columns(docs, ["doc_id", "text"]).withColumn("id", F.coalesce("doc_id", F.lit(-(1 << 63))))
+        chosen = texts.join(ids, "id", "left_semi").select("id", "text")
+        return chosen.mapInArrow(emit_sets, "id long, same binary, shingles binary").dropDuplicates(["id", "same"]).select("id", "shingles")
 
-    prints = free_columns(docs, ["doc_id", "text"]).mapInArrow(emit, "doc_id long, fp long, same binary, sig binary, shingles binary")
+    prints = free_columns(docs, ["doc_id", "text"]).mapInArrow(emit, "doc_id long, fp long, same binary, sig binary")
     prints = stored(prints.withColumn("id", F.coalesce("doc_id", F.lit(-(1 << 63)))), "prints")
     # documents with one shingle set are one node, named after the least of them
     by_set = stored(prints.groupBy("same").agg(F.min("id").alias("first_set")), "by-set")
     named = stored(prints.select("doc_id", "id", "fp", "same").join(by_set, "same"), "named")
     firsts = named.where("id = first_set").select("id", "same").distinct()
-    classes = stored(prints.join(firsts, ["id", "same"]).dropDuplicates(["id", "same"]).select("id", "sig", "shingles"), "class-sets")
+    classes = stored(prints.join(firsts, ["id", "same"]).dropDuplicates(["id", "same"]).select("id", "sig"), "classes")
     # candidates by fingerprint: the first of an equal one, and the firsts of near ones
     by_fp = stored(named.groupBy("fp").agg(F.min("first_set").alias("first_fp")), "by-fp")
     equal = named.join(by_fp, "fp").select(F.col("first_fp").alias("a"), F.col("first_set").alias("b"))
@@ -306,7 +333,7 @@ def near_groups(docs: DataFrame, similarity: float = 0.8, shingle: int = 5, limi
     near = near.join(by_fp.select(F.col("fp").alias("a"), F.col("first_fp").alias("x")), "a").join(by_fp.select(F.col("fp").alias("b"), F.col("first_fp").alias("y")), "b")
     more = equal.unionByName(near.select(F.least("x", "y").alias("a"), F.greatest("x", "y").alias("b"))).where("a <> b")
     # rows with an equal id stay together
-    edges = sample_links(classes, similarity, more).unionByName(named.where("id <> first_set").select(F.col("id").alias("a"), F.col("first_set").alias("b")).distinct())
+    edges = sample_links(classes, similarity, more, sets_of).unionByName(named.where("id <> first_set").select(F.col("id").alias("a"), F.col("first_set").alias("b")).distinct())
     groups = stored(connected_components(edges), "groups")
     out = named.join(groups, F.col("first_set") == F.col("node"), "left")
     return out.select("doc_id", F.coalesce("component", "first_set").alias("component_id"))
