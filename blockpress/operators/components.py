@@ -2,7 +2,8 @@
 
 Each round rewires every node to the least node it knows, first from the larger neighbours' side,
 then from the smaller ones'; rounds grow with the logarithm of the longest chain. Rounds are cut by
-tables in shared storage, so a lost executor costs a task and not the lineage.
+tables in shared storage, so a lost executor costs a task and not the lineage; a round's tables go when
+the next one stands.
 """
 
 from __future__ import annotations
@@ -10,7 +11,7 @@ from __future__ import annotations
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
-from blockpress.sources.storage import kept
+from blockpress.sources.storage import discard, kept
 
 
 def connected_components(edges: DataFrame, max_rounds: int = 60) -> DataFrame:
@@ -26,10 +27,12 @@ def connected_components(edges: DataFrame, max_rounds: int = 60) -> DataFrame:
         low = kept(both.groupBy("u").agg(F.least(F.min("v"), F.first("u")).alias("m")), "low")
         wide = both.join(low, "u").where("v > u").select(F.col("v").alias("u"), F.col("m").alias("v")).where("u <> v").distinct()
         wide = kept(wide, "large-star")
-        low = kept(wide.groupBy("u").agg(F.min("v").alias("m")), "low")
-        near = wide.join(low, "u")
-        now = near.select(F.col("v").alias("u"), F.col("m").alias("v")).unionByName(low.select("u", F.col("m").alias("v"))).where("u <> v").distinct()
-        now = kept(now, "small-star")
+        least = kept(wide.groupBy("u").agg(F.min("v").alias("m")), "low")
+        near = wide.join(least, "u")
+        after = near.select(F.col("v").alias("u"), F.col("m").alias("v")).unionByName(least.select("u", F.col("m").alias("v"))).where("u <> v").distinct()
+        after = kept(after, "small-star")
+        discard(now, low, wide, least)
+        now = after
         seen = now.agg(F.count("*"), F.sum(F.xxhash64("u", "v").cast("decimal(38,0)"))).first()
         if seen == print_:
             break
