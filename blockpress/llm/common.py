@@ -4,14 +4,14 @@ from __future__ import annotations
 
 import contextlib
 import ctypes
-import tempfile
-import uuid
 from collections.abc import Iterator
 
 import numpy as np
 import pyarrow as pa
 from pyspark.sql import DataFrame, SparkSession
 
+from blockpress.sources.storage import kept, shared_dir  # noqa: F401
+
 #: Bytes of text that one vectorised step handles at a time; longer texts stand alone.
 STEP_BYTES = 1 << 19
 
@@ -20,23 +20,9 @@ def table(spark: SparkSession, sf_dir: str, name: str) -> DataFrame:
     return spark.read.parquet(f"{sf_dir}/{name}.parquet")
 
 
-def shared_dir(spark: SparkSession) -> str:
-    """The folder that driver and executors share; a local one only where none is named."""
-    where = spark.conf.get("spark.checkpoint.dir", None)
-    if not where:
-        where = getattr(shared_dir, "own", None) or tempfile.mkdtemp(prefix="shared-")
-        shared_dir.own = where
-    if spark.sparkContext._jsc.sc().getCheckpointDir().isEmpty():
-        spark.sparkContext.setCheckpointDir(where)
-    return where
-
-
 def stored(df: DataFrame, name: str) -> DataFrame:
     """Write ``df`` once to shared storage and read it back: cuts lineage, survives lost executors."""
-    spark = df.sparkSession
-    path = f"{shared_dir(spark).rstrip('/')}/{name}-{uuid.uuid4().hex}"
-    df.write.option("compression", "zstd").parquet(path)
-    return spark.read.schema(df.schema).parquet(path)
+    return kept(df, name, "zstd")
 
 
 #: Rows of an Arrow batch: texts are long, and a batch stands in memory on both sides of the hand-over.
@@ -44,7 +30,7 @@ BATCH_ROWS = 1000
 
 
 def small_batches(spark: SparkSession) -> None:
-    """Lower the session's limit of rows in an Arrow batch to ``BATCH_ROWS``."""
+    """Lower the session's limit of rows in an Arrow batch to ``BATCH_ROWS``: a setting of the session, which stays."""
     key = "spark.sql.execution.arrow.maxRecordsPerBatch"
     if not 0 < int(spark.conf.get(key)) <= BATCH_ROWS:
         spark.conf.set(key, str(BATCH_ROWS))
