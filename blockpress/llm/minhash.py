@@ -114,11 +114,12 @@ BLOCK = 256
 
 
 def similar_links(docs: DataFrame, threshold: float = 0.8, bands: int = 64, k: int = SHINGLE) -> tuple[DataFrame, DataFrame]:
-    """Near-duplicates: ``members(doc_id, class_id)`` and verified ``links(a, b, jaccard)`` between classes.
+    """Near-duplicates: ``members(doc_id, text_hash, class_id)`` and verified ``links(a, b, jaccard)`` between classes.
 
-    A class is the documents with one shingle set, named after its least ``doc_id``. Classes whose
-    signatures agree in a band are joined; every pair that meets is verified by exact Jaccard
-    similarity of the shingle sets. A band value with many classes is dealt out as pairs of blocks.
+    A class is the documents with one shingle set. It is named after its least ``doc_id`` where no other
+    class has that name, else by a negative number of its own; so rows that share an id or have none keep
+    their links. Classes whose signatures agree in a band are joined; every pair that meets is verified by
+    exact Jaccard similarity of the shingle sets. A band value with many classes is dealt out as pairs of blocks.
     """
     rows = PERMUTATIONS // bands
 
@@ -128,12 +129,16 @@ def similar_links(docs: DataFrame, threshold: float = 0.8, bands: int = 64, k: i
             sig = signatures(batch.column("text"), k)
             sets = [np.unique(h[a:b]).tobytes() for a, b in zip(at, at[1:], strict=False)]
             keys = [[int.from_bytes(hashlib.blake2b(bytes([b]) + s[b * rows : (b + 1) * rows].tobytes(), digest_size=8).digest(), "little", signed=True) for b in range(bands)] for s in sig]
-            yield pa.record_batch([batch.column("doc_id"), pa.array([hashlib.sha256(s).digest() for s in sets]), pa.array(sets, pa.binary()), pa.array(keys, pa.list_(pa.int64()))], names=["doc_id", "same", "shingles", "keys"])
-
-    found = stored(free_columns(docs, ["doc_id", "text"]).mapInArrow(prints, "doc_id long, same binary, shingles binary, keys array<long>"), "minhash")
-    names = stored(found.groupBy("same").agg(F.min("doc_id").alias("class_id")), "classes")
-    members = found.select("doc_id", "same").join(names, "same").select("doc_id", "class_id")
-    classes = stored(found.join(names, "same").where("doc_id = class_id").dropDuplicates(["class_id"]).select("class_id", "shingles", "keys"), "class-sets")
+            yield pa.record_batch([batch.column("doc_id"), batch.column("text_hash"), pa.array([hashlib.sha256(s).digest() for s in sets]), pa.array(sets, pa.binary()), pa.array(keys, pa.list_(pa.int64()))], names=["doc_id", "text_hash", "same", "shingles", "keys"])
+
+    texts = free_columns(docs, ["doc_id", "text"]).withColumn("text_hash", F.xxhash64(F.coalesce("text", F.lit(""))))
+    found = stored(texts.mapInArrow(prints, "doc_id long, text_hash long, same binary, shingles binary, keys array<long>"), "minhash")
+    least = found.groupBy("same").agg(F.min("doc_id").alias("least"), F.first("shingles").alias("shingles"), F.first("keys").alias("keys"))
+    least = stored(least.withColumn("own", -1 - F.monotonically_increasing_id()), "class-rows")
+    taken = least.where("least >= 0").groupBy("least").agg(F.min("own").alias("owner"))
+    classes = least.join(taken, "least", "left").select(F.when(F.col("own") == F.col("owner"), F.col("least")).otherwise(F.col("own")).alias("class_id"), "same", "shingles", "keys")
+    classes = stored(classes, "class-sets")
+    members = found.select("doc_id", "text_hash", "same").join(classes.select("same", "class_id"), "same").select("doc_id", "text_hash", "class_id")
     keyed = classes.select("class_id", F.explode("keys").alias("key"))
     many = keyed.groupBy("key").agg(F.count("*").alias("n")).where("n > 1")
     dealt = keyed.join(many.select("key", F.ceil(F.col("n") / BLOCK).cast("int").alias("blocks")), "key")
@@ -143,19 +148,16 @@ def similar_links(docs: DataFrame, threshold: float = 0.8, bands: int = 64, k: i
 
     def verify(_, part):
         sets = [np.frombuffer(s, np.uint64) for s in part.column("shingles").to_pylist()]
-        ids, own = part.column("class_id").to_pylist(), part.column("own").to_pylist()
+        size = np.array([len(s) for s in sets], np.int64)
+        ids, own = part.column("class_id").to_numpy(), part.column("own").to_numpy()
         lo, hi = part.column("lo")[0].as_py(), part.column("hi")[0].as_py()
+        first, second = np.flatnonzero((own == lo) & (size > 0)), np.flatnonzero((own == hi) & (size > 0))
         out = []
-        for i in range(len(ids)):
-            if own[i] != lo:
-                continue
-            for j in range(len(ids)):
-                if own[j] != hi or (lo == hi and ids[j] <= ids[i]) or not len(sets[i]) or not len(sets[j]):
-                    continue
-                if min(len(sets[i]), len(sets[j])) < threshold * max(len(sets[i]), len(sets[j])):
-                    continue
+        for i in first.tolist():
+            fit = second[(np.minimum(size[second], size[i]) >= threshold * np.maximum(size[second], size[i])) & ((ids[second] > ids[i]) if lo == hi else (ids[second] != ids[i]))]
+            for j in fit.tolist():
                 both = len(np.intersect1d(sets[i], sets[j], assume_unique=True))
-                like = both / (len(sets[i]) + len(sets[j]) - both)
+                like = both / (size[i] + size[j] - both)
                 if like >= threshold:
                     out.append((min(ids[i], ids[j]), max(ids[i], ids[j]), like))
         return pa.table({"a": pa.array([x[0] for x in out], pa.int64()), "b": pa.array([x[1] for x in out], pa.int64()), "jaccard": pa.array([x[2] for x in out], pa.float64())})

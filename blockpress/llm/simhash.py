@@ -36,6 +36,7 @@ from pyspark.sql import functions as F
 from blockpress.llm.common import free_columns, slices, stored
 from blockpress.llm.minhash import PERMUTATIONS, likeness, shingle_sets, signatures
 from blockpress.operators.components import connected_components
+from blockpress.sources.storage import discard
 
 SEGMENTS = 5
 #: First bit and width of each segment of a 64-bit fingerprint.
@@ -288,9 +289,10 @@ def sample_links(classes: DataFrame, similarity: float, more: DataFrame, sets: S
 
 
 def near_groups(docs: DataFrame, similarity: float = 0.8, shingle: int = 5, limit: int = 3) -> DataFrame:
-    """``(doc_id, component_id)``: groups over shingle sets alike in ``similarity``; near fingerprints are among the pairs tested.
+    """``(doc_id, text_hash, group_id, component_id)``: groups over shingle sets alike in ``similarity``; near fingerprints are among the pairs tested.
 
-    A null ``doc_id`` counts as the least number.
+    A node is a set of shingles, never a ``doc_id``: rows that share an id, or have none, meet only by their
+    texts. ``group_id`` names a group, ``component_id`` is its least ``doc_id`` (null if it has none).
     """
 
     def sets(batch: pa.RecordBatch) -> list[bytes]:
@@ -305,35 +307,59 @@ def near_groups(docs: DataFrame, similarity: float = 0.8, shingle: int = 5, limi
             texts = batch.column("text").cast(pa.binary()).fill_null(b"").to_pylist()
             fp = np.array([fingerprint(t, shingle) for t in texts], np.uint64).view(np.int64)
             sig = [s.tobytes() for s in signatures(batch.column("text"), shingle)]
-            same = digests(sets(batch))
-            yield pa.record_batch([batch.column("doc_id"), pa.array(fp), pa.array(same, pa.binary()), pa.array(sig, pa.binary())], names=["doc_id", "fp", "same", "sig"])
+            yield pa.record_batch([batch.column("doc_id"), batch.column("text_hash"), pa.array(fp), pa.array(digests(sets(batch)), pa.binary()), pa.array(sig, pa.binary())], names=["doc_id", "text_hash", "fp", "same", "sig"])
 
     def emit_sets(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         for batch in slices(batches, "text"):
             found = sets(batch)
-            yield pa.record_batch([batch.column("id"), pa.array(digests(found), pa.binary()), pa.array(found, pa.binary())], names=["id", "same", "shingles"])
+            yield pa.record_batch([pa.array(digests(found), pa.binary()), pa.array(found, pa.binary())], names=["same", "shingles"])
+
+    texts = with_text_hash(free_columns(docs, ["doc_id", "text"]))
+    prints = stored(texts.mapInArrow(emit, "doc_id long, text_hash long, fp long, same binary, sig binary"), "prints")
+    # documents with one shingle set are one node; the table, once written, fixes the nodes' numbers
+    alike = prints.groupBy("same").agg(F.first("sig").alias("sig"), F.min(F.struct("doc_id", "text_hash")).alias("at"))
+    classes = stored(alike.select(F.monotonically_increasing_id().alias("id"), "same", "sig", "at"), "classes")
+    named = stored(prints.select("doc_id", "text_hash", "fp", "same").join(classes.select("id", "same"), "same").drop("same"), "named")
+    discard(prints)
 
     def sets_of(ids: DataFrame) -> DataFrame:
-        """Sets of chosen documents, made anew: those of all would take more room than the texts."""
-        texts = free_columns(docs, ["doc_id", "text"]).withColumn("id", F.coalesce("doc_id", F.lit(-(1 << 63))))
-        chosen = texts.join(ids, "id", "left_semi").select("id", "text")
-        return chosen.mapInArrow(emit_sets, "id long, same binary, shingles binary").dropDuplicates(["id", "same"]).select("id", "shingles")
-
-    prints = free_columns(docs, ["doc_id", "text"]).mapInArrow(emit, "doc_id long, fp long, same binary, sig binary")
-    prints = stored(prints.withColumn("id", F.coalesce("doc_id", F.lit(-(1 << 63)))), "prints")
-    # documents with one shingle set are one node, named after the least of them
-    by_set = stored(prints.groupBy("same").agg(F.min("id").alias("first_set")), "by-set")
-    named = stored(prints.select("doc_id", "id", "fp", "same").join(by_set, "same"), "named")
-    firsts = named.where("id = first_set").select("id", "same").distinct()
-    classes = stored(prints.join(firsts, ["id", "same"]).dropDuplicates(["id", "same"]).select("id", "sig"), "classes")
+        """Sets of chosen nodes, made anew from one text each: those of all would take more room than the texts."""
+        wanted = classes.select("id", "same", F.col("at.doc_id").alias("d"), F.col("at.text_hash").alias("t")).join(ids, "id", "left_semi")
+        rows = texts.join(wanted.select("d", "t").distinct(), texts["doc_id"].eqNullSafe(F.col("d")) & (texts["text_hash"] == F.col("t")), "left_semi")
+        made = rows.select("text").mapInArrow(emit_sets, "same binary, shingles binary").dropDuplicates(["same"])
+        return made.join(wanted.select("id", "same"), "same").select("id", "shingles")
+
     # candidates by fingerprint: the first of an equal one, and the firsts of near ones
-    by_fp = stored(named.groupBy("fp").agg(F.min("first_set").alias("first_fp")), "by-fp")
-    equal = named.join(by_fp, "fp").select(F.col("first_fp").alias("a"), F.col("first_set").alias("b"))
+    by_fp = stored(named.groupBy("fp").agg(F.min("id").alias("first_fp")), "by-fp")
+    equal = named.join(by_fp, "fp").select(F.col("first_fp").alias("a"), F.col("id").alias("b"))
     near = stored(links(by_fp.select("fp"), limit), "near")
     near = near.join(by_fp.select(F.col("fp").alias("a"), F.col("first_fp").alias("x")), "a").join(by_fp.select(F.col("fp").alias("b"), F.col("first_fp").alias("y")), "b")
-    more = equal.unionByName(near.select(F.least("x", "y").alias("a"), F.greatest("x", "y").alias("b"))).where("a <> b")
-    # rows with an equal id stay together
-    edges = sample_links(classes, similarity, more, sets_of).unionByName(named.where("id <> first_set").select(F.col("id").alias("a"), F.col("first_set").alias("b")).distinct())
-    groups = stored(connected_components(edges), "groups")
-    out = named.join(groups, F.col("first_set") == F.col("node"), "left")
-    return out.select("doc_id", F.coalesce("component", "first_set").alias("component_id"))
+    more = equal.unionByName(near.select(F.least("x", "y").alias("a"), F.greatest("x", "y").alias("b"))).where("a <> b").distinct()
+    groups = stored(connected_components(sample_links(classes.select("id", "sig"), similarity, more, sets_of)), "groups")
+    placed = stored(named.join(groups, F.col("id") == F.col("node"), "left").select("doc_id", "text_hash", F.coalesce("component", "id").alias("group_id")), "placed")
+    least = placed.groupBy("group_id").agg(F.min("doc_id").alias("component_id"))
+    return placed.join(least, "group_id").select("doc_id", "text_hash", "group_id", "component_id")
+
+
+def with_text_hash(docs: DataFrame) -> DataFrame:
+    """``docs`` and ``text_hash``, which with ``doc_id`` tells rows apart; a null text counts as an empty one."""
+    return docs.withColumn("text_hash", F.xxhash64(F.coalesce("text", F.lit(""))))
+
+
+def one_of_each(docs: DataFrame, **how) -> DataFrame:
+    """``docs(doc_id, text, ...)`` with one row of each near-duplicate group: the least ``doc_id``, null before all, then the least text hash.
+
+    Rows equal in id and text are repeats of one another, of which one stays as well.
+    """
+    groups = stored(near_groups(docs, **how), "near-groups")
+    first = groups.groupBy("group_id").agg(F.min(F.struct("doc_id", "text_hash")).alias("k"), F.count("*").alias("n"))
+    rows = groups.groupBy("doc_id", "text_hash").agg(F.count("*").alias("copies"))
+    keepers = first.select(F.col("k.doc_id").alias("_d"), F.col("k.text_hash").alias("_t"))
+    same = keepers["_d"].eqNullSafe(rows["doc_id"]) & (keepers["_t"] == rows["text_hash"])
+    keepers = stored(keepers.join(rows, same).select("_d", "_t", (F.col("copies") > 1).alias("_many")), "keepers")
+    names = docs.columns
+    whole = docs.select("doc_id", F.coalesce("text", F.lit("")).alias("_text"), F.struct(*names).alias("_row")).withColumn("_h", F.xxhash64("_text"))
+    kept_rows = whole.join(keepers, whole["doc_id"].eqNullSafe(keepers["_d"]) & (whole["_h"] == keepers["_t"]))
+    single = kept_rows.where("not _many").select("_row.*")
+    repeats = kept_rows.where("_many").groupBy("_d", "_t").agg(F.first("_row").alias("_row")).select("_row.*")
+    return single.unionByName(repeats)

@@ -588,3 +588,54 @@ def test_sample_links_compare_all(spark, monkeypatch, block):
     none = spark.createDataFrame([], "a long, b long")
     got = {(min(r), max(r)) for r in S.sample_links(classes, 0.8, none).collect()}
     assert got == {(2 * k + 1, 2 * k + 2) for k in range(20)}
+
+
+def shared_ids():
+    """Rows that share an id or have none, with texts that have no word in common."""
+    a, b = " ".join(f"a{k}" for k in range(60)), " ".join(f"b{k}" for k in range(60))
+    return [(7, a), (7, b), (8, b + " und"), (9, a + " und"), (None, a), (None, "c " * 3), (None, "d " * 9)]
+
+
+def test_near_groups_by_text_not_id(spark):
+    from blockpress.llm.simhash import near_groups, one_of_each
+
+    rows = shared_ids()
+    df = spark.createDataFrame(rows, "doc_id long, text string")
+    groups: dict = {}
+    texts = {r.text_hash: r.text for r in df.selectExpr("xxhash64(text) as text_hash", "text").collect()}
+    for r in near_groups(df).collect():
+        groups.setdefault(r.group_id, set()).add((r.doc_id, texts[r.text_hash][0]))
+    assert sorted(map(len, groups.values())) == [1, 1, 2, 3] and all(len({t for _, t in g}) == 1 for g in groups.values())
+    kept = one_of_each(df.unionByName(df)).collect()
+    assert sorted(r.text[0] for r in kept) == ["a", "b", "c", "d"]
+
+
+def test_minhash_links_by_text_not_id(spark):
+    from blockpress.llm.minhash import similar_links
+
+    rows = shared_ids()
+    members, links = similar_links(spark.createDataFrame(rows, "doc_id long, text string"))
+    texts = {r.h: r.text for r in spark.createDataFrame(rows, "doc_id long, text string").selectExpr("xxhash64(text) as h", "text").collect()}
+    named = {r.class_id: texts[r.text_hash] for r in members.collect()}
+    assert len(named) == 6
+    assert {frozenset((named[r.a][0], named[r.b][0])) for r in links.collect()} == {frozenset("a"), frozenset("b")} and links.count() == 2
+
+
+def test_near_groups_recall(spark):
+    """Of pairs alike in 0.8 to 0.9 of their shingles nine in ten are in one group, and none below 0.8."""
+    from blockpress.llm.simhash import near_groups
+
+    rng = np.random.default_rng(11)
+    rows, pairs = [], []
+    for k in range(150):
+        words = [f"w{x}" for x in rng.integers(0, 10**6, 120)]
+        other = words.copy()
+        for j in rng.choice(24, 1 + k % 4, replace=False) * 5:
+            other[j] += "x"
+        rows += [(2 * k, " ".join(words)), (2 * k + 1, " ".join(other))]
+        a, b = ({tuple(w[i : i + 5]) for i in range(116)} for w in (words, other))
+        pairs.append(len(a & b) / len(a | b))
+    got = {r.doc_id: r.group_id for r in near_groups(spark.createDataFrame(rows, "doc_id long, text string")).collect()}
+    found = np.array([got[2 * k] == got[2 * k + 1] for k in range(150)])
+    like = np.array(pairs)
+    assert not found[like < 0.8].any() and found[like >= 0.8].mean() >= 0.9 and (like >= 0.8).sum() >= 50
