@@ -25,13 +25,10 @@ def language_id(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
 
 
 def near_dedup(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
-    """One document of each group of near-duplicates (five words, 0.8): the one with the least id; rows with an equal id count once."""
-    from blockpress.llm.simhash import near_groups
+    """One document of each near-duplicate group stays (five words, 0.8): the one with the least id."""
+    from blockpress.llm.simhash import one_of_each
 
-    groups = near_groups(docs)
-    own = F.coalesce("doc_id", F.lit(-(1 << 63)))
-    least = groups.where(own == F.col("component_id")).select(F.col("doc_id").alias("kept")).distinct()
-    return docs.join(least, docs["doc_id"].eqNullSafe(least["kept"]), "left_semi").select(*docs.columns)
+    return one_of_each(docs)
 
 
 def repeat_removal(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
