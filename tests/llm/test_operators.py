@@ -639,3 +639,65 @@ def test_near_groups_recall(spark):
     found = np.array([got[2 * k] == got[2 * k + 1] for k in range(150)])
     like = np.array(pairs)
     assert not found[like < 0.8].any() and found[like >= 0.8].mean() >= 0.9 and (like >= 0.8).sum() >= 50
+
+
+def test_short_windows_have_a_seed():
+    """Of 13 words with two replaced some long mask's words are left; of 6 to 12 with the share's number some short mask's."""
+    from itertools import combinations
+    from math import ceil
+
+    from blockpress.llm.decontaminate import LONG_MASKS, MASKS, SHARE
+
+    for n in range(6, 14):
+        for gone in combinations(range(n), n - ceil(SHARE * n)):
+            assert any(all(i + j not in gone for j, b in enumerate(m) if b == "1") for m in (LONG_MASKS if n == 13 else MASKS) for i in range(n - len(m) + 1))
+
+
+def brute_overlaps(docs, items, least=6):
+    """(document, item): words that agree in the best of all windows along all lines."""
+    clean = lambda t: [w for w in (re.sub(r"[!-/:-@\[-`{-~]", "", x) for x in (t or "").lower().split()) if w]
+    out = {}
+    for d, text in docs:
+        a = clean(text)
+        for i, item in items:
+            b = clean(item)
+            w = min(13, len(b))
+            if len(b) < least or len(a) < w:
+                continue
+            best = max(sum(x == y for x, y in zip(a[p : p + w], b[q : q + w], strict=True)) for p in range(len(a) - w + 1) for q in range(len(b) - w + 1))
+            if best >= np.ceil((0.8 if least >= 6 or w >= 6 else 1.0) * w - 1e-9):
+                out[d, i] = (best, w)
+    return out
+
+
+@pytest.mark.parametrize(("hot", "least"), [(20_000, 6), (3, 6), (20_000, 2)])
+def test_decontamination_brute_force(spark, monkeypatch, hot, least):
+    """Over a table: items of 2 to 30 words, some shared by many documents, words replaced, null ids."""
+    from blockpress.llm import decontaminate as D
+
+    monkeypatch.setattr(D, "HOT", hot)
+    rng = np.random.default_rng(8)
+    word = lambda: "".join(rng.choice(list("abcdefgh"), 5))
+    items = [(k, " ".join(word() for _ in range(n))) for k, n in enumerate([2, 3, 5, 6, 7, 8, 9, 10, 11, 12, 13, 14, 20, 30] * 2)]
+    docs = []
+    for k in range(90):
+        words = [word() for _ in range(int(rng.integers(0, 60)))]
+        for _ in range(int(rng.integers(0, 3))):
+            piece = items[int(rng.integers(len(items)))][1].split()
+            for j in rng.choice(len(piece), int(rng.integers(0, 1 + len(piece) // 4)), replace=False):
+                piece[j] = word()
+            at = int(rng.integers(0, len(words) + 1))
+            words[at:at] = [p.upper() + "," for p in piece]
+        docs.append((k, " ".join(words)))
+    got = {(r.doc_id, r.item_id): (r.matched, r.window) for r in D.contaminated(spark.createDataFrame(docs, "doc_id long, text string"), spark.createDataFrame(items, "item_id long, text string"), least).collect()}
+    assert got == brute_overlaps(docs, items, least) and len(got) > 20
+
+
+def test_decontamination_null_ids(spark):
+    from blockpress.llm.decontaminate import contaminated, drop_contaminated
+
+    item = " ".join(f"q{k}" for k in range(15))
+    docs = spark.createDataFrame([(None, "lead " + item), (None, "clean words only here"), (1, item), (1, "clean too")], "doc_id long, text string")
+    tests = spark.createDataFrame([(None, item), (None, "other " * 9)], "item_id long, text string")
+    assert sorted((r.doc_id is None, r.item_id is None) for r in contaminated(docs, tests).collect()) == [(False, True), (True, True)]
+    assert sorted(r.text for r in drop_contaminated(docs, tests).collect()) == ["clean too", "clean words only here"]
