@@ -10,13 +10,16 @@ counted by grouped aggregation over all rows, with the text's own best guess as
 
 ``und`` stands for text in no known language: each of the hashed trigrams is equally likely, less a
 margin. Only trigrams of letters and blanks count, so numbers and codes inside a text say nothing
-against its language. Rows for which ``und`` wins on the text alone are rejected.
+against its language. ``und`` has its place in the priors and the fused posterior like any language, and
+rows for which it wins there are rejected.
 
-The text model is fitted on ``TRAINING_ROWS`` labelled rows at most, those with the least hash.
+The languages are all those that occur as labels, by a full count. The text model is fitted on
+``TRAINING_ROWS`` labelled rows at most, an equal share of each language's, those with the least hash;
+their trigrams are counted in tasks, and counts alone reach the driver.
 
-Cases: null, empty or very short texts (under three bytes): no trigram, ``und``, rejected; null host,
-declaration or suffix: no evidence; repeated rows: each its own; further columns are kept out of the
-evidence; no rows: no rows.
+Cases: null, empty or very short texts, or texts without letters: no trigram, ``und``, rejected; null
+host, declaration or suffix: no evidence; repeated rows: each its own; null key: a row like any other;
+further columns are kept out of the evidence; no rows: no rows; no labelled rows: only ``und`` is known.
 """
 
 from __future__ import annotations
@@ -28,8 +31,9 @@ import pyarrow as pa
 import pyarrow.compute as pc
 from pyspark.sql import Column, DataFrame
 from pyspark.sql import functions as F
+from pyspark.sql.window import Window
 
-from blockpress.llm.common import free_columns, slices, stored, text_bytes
+from blockpress.llm.common import free_columns, slices, small_batches, stored, text_bytes
 
 BUCKETS = 1 << 15
 TRAINING_ROWS = 2000
@@ -68,11 +72,43 @@ class TextModel:
 
     @classmethod
     def fit(cls, rows: list[tuple[str, str]]) -> TextModel:
+        """From rows at hand."""
         languages = sorted({lang for lang, _ in rows if lang})
+        counts = [np.bincount(trigrams(pa.array([t for x, t in rows if x == lang], pa.large_string()))[0], minlength=BUCKETS) for lang in languages]
+        return cls._of(languages, counts)
+
+    @classmethod
+    def fit_on(cls, labelled: DataFrame, limit: int = TRAINING_ROWS, key: str = "doc_id") -> TextModel:
+        """From the training sample of ``labelled(key, lang, text)``."""
+
+        def count(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+            totals: dict[str, np.ndarray] = {}
+            for batch in slices(batches, "text"):
+                g, at = trigrams(batch.column("text"))
+                for k, lang in enumerate(batch.column("lang").to_pylist()):
+                    totals.setdefault(lang, np.zeros(BUCKETS, np.int64))
+                    totals[lang] += np.bincount(g[at[k] : at[k + 1]], minlength=BUCKETS)
+            for lang, total in totals.items():
+                seen = np.flatnonzero(total)
+                yield pa.record_batch([pa.array([lang] * len(seen), pa.string()), pa.array(seen.astype(np.int32)), pa.array(total[seen])], names=["lang", "bucket", "n"])
+
+        small_batches(labelled.sparkSession)
+        chosen = chosen_rows(labelled, limit, key)
+        found = chosen.mapInArrow(count, "lang string, bucket int, n long").groupBy("lang", "bucket").agg(F.sum("n").alias("n")).toArrow()  # languages x buckets
+        languages = sorted(r[0] for r in languages_of(labelled).collect())
+        lang, bucket, n = (found.column(c).to_numpy() for c in ("lang", "bucket", "n"))
+        counts = []
+        for x in languages:
+            total, mine = np.zeros(BUCKETS, np.int64), lang == x
+            total[bucket[mine]] = n[mine]
+            counts.append(total)
+        return cls._of(languages, counts)
+
+    @classmethod
+    def _of(cls, languages: list[str], counts: list[np.ndarray]) -> TextModel:
         table = np.zeros((BUCKETS, len(languages) + 1), np.float32)
-        for k, lang in enumerate(languages):
-            g, _ = trigrams(pa.array([t for x, t in rows if x == lang], pa.large_string()))
-            seen = np.bincount(g, minlength=BUCKETS) + 0.2
+        for k, total in enumerate(counts):
+            seen = total + 0.2
             table[:, k] = np.log(seen / seen.sum())
         table[:, -1] = np.log(1 / BUCKETS) - UNKNOWN_MARGIN
         return cls([*languages, "und"], table)
@@ -95,26 +131,36 @@ def parent_of(host: Column) -> Column:
     return F.when(F.instr(host, ".") > 0, F.regexp_replace(host, r"^[^.]*\.", "")).otherwise(F.regexp_replace(host, "[0-9]+$", ""))
 
 
-def training_rows(labelled: DataFrame, limit: int = TRAINING_ROWS, key: str = "doc_id") -> list[tuple[str, str]]:
-    """``(lang, text)`` of the rows of ``labelled(key, lang, text)`` with the least hashes, ``limit`` at most.
+def languages_of(labelled: DataFrame) -> DataFrame:
+    """``lang, rows``: every label with usable text, counted over all rows."""
+    return labelled.where("lang is not null and lang <> '' and length(text) >= 3").groupBy("lang").agg(F.count("*").alias("rows"))
 
-    Hashes alone are ranked; only the chosen rows' texts are gathered.
+
+def chosen_rows(labelled: DataFrame, limit: int = TRAINING_ROWS, key: str = "doc_id") -> DataFrame:
+    """``lang, text`` of each language's rows with the least hashes, ``limit`` over all languages, one of each at least.
+
+    Hashes alone are ranked, as many a task as are wanted; only the chosen rows' texts are read on.
     """
-    usable = labelled.where("lang is not null and length(text) >= 3").select("lang", "text", F.xxhash64(key, "text").alias("h"))
-    last = usable.select("h").orderBy("h").limit(limit).agg(F.max("h")).first()[0]
-    if last is None:
-        return []
-    chosen = usable.where(F.col("h") <= last).dropDuplicates(["h"])
-    return [(r.lang, r.text) for r in chosen.select("lang", "text").toLocalIterator()]
+    share = max(1, limit // max(1, languages_of(labelled).count()))
+    usable = labelled.where("lang is not null and lang <> '' and length(text) >= 3").select("lang", "text", F.xxhash64(key, "text").alias("h"))
+    ranked = usable.select("lang", "h").withColumn("n", F.row_number().over(Window.partitionBy("lang").orderBy("h"))).where(F.col("n") <= share)
+    last = ranked.groupBy("lang").agg(F.max("h").alias("last"))
+    return usable.join(F.broadcast(last), "lang").where("h <= last").dropDuplicates(["lang", "h"]).select("lang", "text")  # a row for each language
+
+
+def training_rows(labelled: DataFrame, limit: int = TRAINING_ROWS, key: str = "doc_id") -> list[tuple[str, str]]:
+    """``chosen_rows`` on the driver: for looking at them."""
+    return [(r.lang, r.text) for r in chosen_rows(labelled, limit, key).toLocalIterator()]
 
 
-def identify(rows: DataFrame, model: TextModel, key: str = "doc_id") -> DataFrame:
+def identify(rows: DataFrame, model: TextModel, key: str | list[str] = "doc_id") -> DataFrame:
     """Language of each row of ``rows(key, text, host, declared, suffix)``; absent evidence columns may be null.
 
-    Returns ``key, lang, confidence, text_lang, kept``. The texts are scanned once; what is shuffled
+    ``key`` names a long column, or several. Returns ``key, lang, confidence, text_lang, kept``. The texts are scanned once; what is shuffled
     is a row's key, host, codes and scores.
     """
     langs = model.languages
+    keys = [key] if isinstance(key, str) else list(key)
 
     def score(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         for batch in slices(batches, "text"):
@@ -122,11 +168,14 @@ def identify(rows: DataFrame, model: TextModel, key: str = "doc_id") -> DataFram
             weight = np.minimum(count, TEXT_WEIGHT)[:, None]
             best = mean.argmax(axis=1)
             best[count == 0] = len(langs) - 1
-            scores = pa.LargeListArray.from_arrays(pa.array(np.arange(len(count) + 1) * len(langs)), pa.array((mean * weight).ravel())).cast(pa.list_(pa.float64()))
-            yield pa.record_batch([*(batch.column(c) for c in (key, "host", "declared", "suffix")), scores, pa.array(best.astype(np.int32))], names=[key, "host", "declared", "suffix", "scores", "guess"])
+            mean[count == 0, :-1] = -np.inf  # nothing to go by: no prior makes a language of it
+            with np.errstate(invalid="ignore"):
+                weighed = np.where(np.isinf(mean), mean, mean * weight)
+            scores = pa.LargeListArray.from_arrays(pa.array(np.arange(len(count) + 1) * len(langs)), pa.array(weighed.ravel())).cast(pa.list_(pa.float64()))
+            yield pa.record_batch([*(batch.column(c) for c in (*keys, "host", "declared", "suffix")), scores, pa.array(best.astype(np.int32))], names=[*keys, "host", "declared", "suffix", "scores", "guess"])
 
-    schema = f"{key} long, host string, declared string, suffix string, scores array<double>, guess int"
-    scored = stored(free_columns(rows, [key, "text", "host", "declared", "suffix"]).mapInArrow(score, schema), "language")
+    schema = f"{', '.join(f'{k} long' for k in keys)}, host string, declared string, suffix string, scores array<double>, guess int"
+    scored = stored(free_columns(rows, [*keys, "text", "host", "declared", "suffix"]).mapInArrow(score, schema), "language")
 
     # all counts below have at most (values x languages) rows
     def shares(by: str) -> Column:
@@ -163,14 +212,15 @@ def identify(rows: DataFrame, model: TextModel, key: str = "doc_id") -> DataFram
     odds = F.aggregate(F.transform("fused", lambda x: F.exp(x - top)), F.lit(0.0), lambda a, x: a + x)
     names = F.array(*[F.lit(x) for x in langs])
     out = out.withColumn("fused", fused)
-    und = len(langs) - 1
-    lang = F.when(F.col("guess") == und, F.lit("und")).otherwise(F.element_at(names, F.array_position("fused", top).cast("int")))
-    return out.select(key, lang.alias("lang"), F.round(1 / odds, 6).alias("confidence"), F.element_at(names, F.col("guess") + 1).alias("text_lang"), (F.col("guess") != und).alias("kept"))
+    lang = F.element_at(names, F.array_position("fused", top).cast("int"))
+    out = out.select(*keys, lang.alias("lang"), F.round(1 / odds, 6).alias("confidence"), F.element_at(names, F.col("guess") + 1).alias("text_lang"))
+    return out.withColumn("kept", F.col("lang") != "und")
 
 
 def document_evidence(docs: DataFrame) -> DataFrame:
-    """Evidence of a document: its text, its source as host, its declared language; it has no address."""
-    return docs.select("doc_id", "text", F.col("source").alias("host"), F.col("lang").alias("declared"), F.lit(None).cast("string").alias("suffix"))
+    """Evidence of a document: its text, and its source as host. It has no markup and no address, and its ``lang`` is the model's label, never evidence."""
+    none = F.lit(None).cast("string")
+    return docs.select("doc_id", "text", F.col("source").alias("host"), none.alias("declared"), none.alias("suffix"))
 
 
 def page_evidence(pages: DataFrame) -> DataFrame:

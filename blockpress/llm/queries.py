@@ -64,10 +64,11 @@ def op6_url_filter(spark: SparkSession, sf_dir: str) -> DataFrame:
 
 
 def op7_language_id(spark: SparkSession, sf_dir: str) -> DataFrame:
-    from blockpress.llm.language_id import TextModel, document_evidence, identify, training_rows
+    """Every page: its text, declared language, address and host; the text model is fitted on labelled documents."""
+    from blockpress.llm.language_id import TextModel, identify, page_evidence
 
-    docs = table(spark, sf_dir, "documents")
-    return identify(document_evidence(docs), TextModel.fit(training_rows(docs)))
+    model = TextModel.fit_on(table(spark, sf_dir, "documents"))
+    return identify(page_evidence(table(spark, sf_dir, "pages")), model, "page_id")
 
 
 def op9_decontamination(spark: SparkSession, sf_dir: str) -> DataFrame:

@@ -701,3 +701,78 @@ def test_decontamination_null_ids(spark):
     tests = spark.createDataFrame([(None, item), (None, "other " * 9)], "item_id long, text string")
     assert sorted((r.doc_id is None, r.item_id is None) for r in contaminated(docs, tests).collect()) == [(False, True), (True, True)]
     assert sorted(r.text for r in drop_contaminated(docs, tests).collect()) == ["clean too", "clean words only here"]
+
+
+def brute_posterior(rows, model):
+    """(language, confidence) of ``rows(text, host, declared, suffix)`` by loops over the evidence."""
+    from math import exp, inf, log
+
+    from blockpress.llm import language_id as M
+
+    langs = model.languages
+    k = len(langs)
+    scores, guess = [], []
+    for text, *_ in rows:
+        mean, count = model.score(pa.array([text], pa.large_string()))
+        scores.append([x * min(count[0], M.TEXT_WEIGHT) if count[0] else (-inf if j < k - 1 else 0.0) for j, x in enumerate(mean[0])])
+        guess.append(int(mean[0].argmax()) if count[0] else k - 1)
+
+    def counts(pick):
+        out: dict = {}
+        for r, g in zip(rows, guess, strict=True):
+            if pick(r) is not None:
+                out.setdefault(pick(r), [0] * k)[g] += 1
+        return out
+
+    parent = lambda h: h.partition(".")[2] if "." in h else re.sub(r"[0-9]+$", "", h)
+    total = counts(lambda r: 0)[0]
+    prior = [(c + 1) / (len(rows) + k) for c in total]
+    smooth = lambda c, p: [(x + M.SMOOTHING * q) / (sum(c) + M.SMOOTHING) for x, q in zip(c, p, strict=True)]
+    hosts, parents = counts(lambda r: r[1]), counts(lambda r: None if r[1] is None else parent(r[1]))
+    ratios = []
+    for at in (2, 3):
+        seen = counts(lambda r, at=at: r[at])
+        ratios.append({v: [log(M.FLOOR + (1 - M.FLOOR) * (c + p) / (sum(cs) + 1) / p) for c, p in zip(cs, prior, strict=True)] for v, cs in seen.items()})
+    out = []
+    for r, s in zip(rows, scores, strict=True):
+        p = prior if r[1] is None else smooth(hosts[r[1]], smooth(parents[parent(r[1])], prior))
+        fused = [log(p[j]) + s[j] + sum(x.get(r[at], [0.0] * k)[j] for at, x in zip((2, 3), ratios, strict=True)) for j in range(k)]
+        top = max(fused)
+        out.append((langs[fused.index(top)], 1 / sum(exp(f - top) for f in fused)))
+    return out
+
+
+def test_language_posterior(spark, small):
+    """The query's fused posterior against loops, on all pages; and accuracy where nothing is declared."""
+    from blockpress.llm.language_id import TextModel, identify, page_evidence
+
+    docs, pages = (spark.read.parquet(f"{small}/{t}.parquet") for t in ("documents", "pages"))
+    model = TextModel.fit_on(docs)
+    evidence = page_evidence(pages)
+    rows = evidence.collect()
+    want = brute_posterior([(r.text, r.host, r.declared, r.suffix) for r in rows], model)
+    got = {r.page_id: r for r in Q.op7_language_id(spark, small).collect()}
+    assert len(got) == len(rows) and {r.declared for r in rows} == set(model.languages) - {"und"}
+    for r, (lang, confidence) in zip(rows, want, strict=True):
+        assert got[r.page_id].lang == lang and abs(got[r.page_id].confidence - confidence) < 2e-6
+    bare = identify(evidence.selectExpr("page_id", "text", "host", "cast(null as string) as declared", "cast(null as string) as suffix"), model, "page_id").collect()
+    truth = {r.page_id: r.declared for r in rows}
+    assert np.mean([r.lang == truth[r.page_id] for r in bare]) > 0.95
+
+
+def test_language_sample_has_every_language(spark):
+    """A language of one row in a thousand is in the sample, and held-out texts are told."""
+    from blockpress.llm.language_id import TextModel, document_evidence, identify, languages_of, training_rows
+
+    rng = np.random.default_rng(4)
+    parts = {"aa": "ka lo mi ne pu".split(), "bb": "ship frog tree glass".split(), "zz": "qua xen vox wyr".split()}
+    rows = [(k, " ".join(rng.choice(parts[x], 40)), x, "s") for k, x in enumerate(["aa"] * 1500 + ["bb"] * 1500 + ["zz"] * 3)]
+    docs = spark.createDataFrame(rows, "doc_id long, text string, lang string, source string")
+    sample = training_rows(docs, 30)
+    assert {x: sum(r[0] == x for r in sample) for x in parts} == {"aa": 10, "bb": 10, "zz": 3}
+    assert {r.lang: r.rows for r in languages_of(docs).collect()} == {"aa": 1500, "bb": 1500, "zz": 3}
+    got = {r.doc_id: r.lang for r in identify(document_evidence(docs), TextModel.fit_on(docs, 30)).collect()}
+    used = {t for _, t in sample}
+    assert all(got[k] == x for k, t, x, _ in rows if t not in used)
+    nothing = identify(document_evidence(docs), TextModel.fit_on(docs.limit(0))).collect()
+    assert {r.lang for r in nothing} == {"und"} and not any(r.kept for r in nothing)
