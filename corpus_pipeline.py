@@ -15,13 +15,15 @@ from blockpress.llm.queries import vocabulary
 
 
 def language_id(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
-    """Documents in a known language; the text model is fitted on the documents themselves."""
-    from blockpress.llm.language_id import TextModel, document_evidence, identify, training_rows
-
-    found = identify(document_evidence(docs), TextModel.fit(training_rows(docs)))
-    # a row goes by its id: of repeated ids with different texts all stay if one is kept
-    gone = found.groupBy("doc_id").agg(F.max("kept").alias("kept")).where("not kept").select(F.col("doc_id").alias("gone"))
-    return docs.join(gone, docs["doc_id"].eqNullSafe(gone["gone"]), "left_anti").select(*docs.columns)
+    """Documents in a known language, by text and source; the text model is fitted on a bounded sample of their labels."""
+    from blockpress.llm.language_id import TextModel, document_evidence, identify
+
+    text_hash = F.xxhash64(F.coalesce("text", F.lit("")))
+    rows = document_evidence(docs).withColumn("text_hash", text_hash)
+    found = identify(rows, TextModel.fit_on(docs), ["doc_id", "text_hash"])
+    gone = found.where("not kept").select(F.col("doc_id").alias("_d"), F.col("text_hash").alias("_t")).distinct()
+    whole = docs.select("doc_id", text_hash.alias("_h"), F.struct(*docs.columns).alias("_row"))
+    return whole.join(gone, whole["doc_id"].eqNullSafe(gone["_d"]) & (whole["_h"] == gone["_t"]), "left_anti").select("_row.*")
 
 
 def near_dedup(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
