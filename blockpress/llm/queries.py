@@ -5,6 +5,7 @@ from __future__ import annotations
 from collections.abc import Callable
 
 from pyspark.sql import DataFrame, SparkSession
+from pyspark.sql import functions as F
 
 from blockpress.llm.common import table
 
@@ -52,15 +53,19 @@ def op4_simhash_near_dedup(spark: SparkSession, sf_dir: str) -> DataFrame:
     return near_duplicates(table(spark, sf_dir, "documents"))
 
 
-#: Rules on urls, and hosts that are blocked where no rule fits.
+#: Rules on urls, and hosts that a small list names.
 URL_RULES = (("com", "/", "allow"), ("example.com", "/en/", "block"), ("www.example.com", "/en/", "allow"), ("net", "/es/", "block"), ("net", "/fr/", "block"))
 LISTED_HOSTS = ("spam-farm.example.org", "cheap-pills.example.com", "adult-x.example.net")
 
 
 def op6_url_filter(spark: SparkSession, sf_dir: str) -> DataFrame:
-    from blockpress.llm.url_filter import Rule, filter_urls
+    """Every page; where no rule fits, hosts with a hyphen in their name and addresses that some link tracks are blocked."""
+    from blockpress.llm.url_filter import Rule, filter_urls, with_parts
 
-    return filter_urls(table(spark, sf_dir, "pages"), [Rule(*r) for r in URL_RULES], LISTED_HOSTS)
+    pages = table(spark, sf_dir, "pages")
+    hosts = with_parts(pages).where("contains(host, '-')").select(F.col("host").alias("key")).distinct()
+    tracked = with_parts(pages.where(r"url rlike '[?&](ref|utm_source)='")).select(F.concat("host", "path").alias("key")).distinct()
+    return filter_urls(pages, [Rule(*r) for r in URL_RULES], hosts, tracked)
 
 
 def op7_language_id(spark: SparkSession, sf_dir: str) -> DataFrame:

@@ -2,7 +2,7 @@
 
 OP6 = """
 WITH parts AS (
-  SELECT page_id,
+  SELECT page_id, url,
     CASE WHEN contains(url, '://') THEN translate(regexp_extract(substr(url, strpos(url, '://') + 3), '^[^/?#]*'), 'ABCDEFGHIJKLMNOPQRSTUVWXYZ', 'abcdefghijklmnopqrstuvwxyz') ELSE '' END AS host,
     CASE WHEN contains(url, '://') THEN regexp_extract(substr(url, strpos(url, '://') + 3), '^[^/?#]*([^?#]*)', 1) ELSE '' END AS path
   FROM pages),
@@ -12,8 +12,10 @@ fits AS (
   SELECT page_id, arg_max(rule_host || rule_path, length(rule_host || rule_path)) AS rule, arg_max(verdict, length(rule_host || rule_path)) AS verdict
   FROM parts JOIN rules ON (host = rule_host OR ends_with(host, '.' || rule_host)) AND starts_with(path, rule_path)
   GROUP BY page_id),
-listed(name) AS (VALUES ('spam-farm.example.org'), ('cheap-pills.example.com'), ('adult-x.example.net')),
-bad AS (SELECT DISTINCT page_id FROM parts JOIN listed ON host = name OR ends_with(host, '.' || name))
+listed AS (SELECT DISTINCT host AS name FROM parts WHERE contains(host, '-')),
+tracked AS (SELECT DISTINCT host || path AS address FROM parts WHERE regexp_matches(url, '[?&](ref|utm_source)=')),
+bad AS (SELECT DISTINCT page_id FROM parts JOIN listed ON host = name OR ends_with(host, '.' || name)
+  UNION SELECT page_id FROM parts JOIN tracked ON host || path = address)
 SELECT p.page_id, p.host, p.path, f.rule, coalesce(f.verdict, CASE WHEN b.page_id IS NULL THEN 'allow' ELSE 'block' END) AS verdict
 FROM parts p LEFT JOIN fits f ON p.page_id = f.page_id LEFT JOIN bad b ON p.page_id = b.page_id
 """

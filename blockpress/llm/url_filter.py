@@ -7,12 +7,15 @@ is an odd one. The universe is every key that the corpus's urls can ask for (eac
 each path prefix as long as a rule's), so every verdict is exact and no join is needed.
 
 Filters are broadcast inside the tasks' code; their size is set by the number of listed keys and
-checked against ``MAX_FILTER_BYTES``. Beyond it, ``Cascade.build`` raises, and lists of such length
-are split by ``xxhash64(key) % parts`` into several cascades by the caller.
+checked against ``MAX_FILTER_BYTES`` before one is built. Longer lists of hosts or addresses are not
+broadcast: ``filter_urls`` then looks them up by a join on the key (``by_join``), with the same result.
+
+Of a host only as many suffixes are asked for as the longest listed or ruled host has labels, so a
+host of thousands of labels costs no more than its length.
 
 Cases: null url or one without ``://``: empty host and path, no rule, the method's verdict; repeated
-rows and pages are judged one by one; further columns are ignored; no rows: no rows; no rules: the
-method's verdict for all.
+rows and pages are judged one by one; very long hosts and paths are judged whole; null and repeated
+listed keys do no harm; further columns are ignored; no rows: no rows; no rules and no list: allow.
 """
 
 from __future__ import annotations
@@ -29,6 +32,8 @@ from pyspark.sql import functions as F
 from blockpress.llm.common import free_columns, mixed, stored
 
 MAX_FILTER_BYTES = 256 << 20
+#: Share of the unlisted keys that level 0 lets through.
+ERROR = 1 / 64
 UPPER, LOWER = "ABCDEFGHIJKLMNOPQRSTUVWXYZ", "abcdefghijklmnopqrstuvwxyz"
 
 
@@ -85,7 +90,7 @@ class Cascade:
         return out
 
     @classmethod
-    def build(cls, listed: DataFrame, universe: DataFrame, error: float = 1 / 64) -> Cascade:
+    def build(cls, listed: DataFrame, universe: DataFrame, error: float = ERROR) -> Cascade:
         """``listed(key)`` and ``universe(key)``: any rows, repeats and nulls do no harm.
 
         The universe is scanned once, without a shuffle; only level 0's errors on it are kept.
@@ -125,12 +130,17 @@ def passing(keys: DataFrame, levels: list[Level], k: int) -> DataFrame:
     return keys.select("a", "b").mapInArrow(emit, "a long, b long")
 
 
+def filter_size(n: int, error: float) -> tuple[int, int]:
+    """Probes of a filter of ``n`` keys, and its 64-bit words."""
+    probes = max(1, round(math.log2(1 / error)))
+    return probes, max(4, math.ceil(n * probes / math.log(2) / 64))
+
+
 def filter_of(keys: DataFrame, n: int, error: float, k: int) -> Level:
     """Bloom filter of ``n`` hashed keys; bits are set in tasks and joined by a grouped OR."""
-    probes = max(1, round(math.log2(1 / error)))
-    words = max(4, math.ceil(n * probes / math.log(2) / 64))
+    probes, words = filter_size(n, error)
     if words * 8 > MAX_FILTER_BYTES:
-        raise ValueError(f"a filter of {words * 8} bytes is too large to broadcast: split the list")
+        raise ValueError(f"a filter of {words * 8} bytes is too large to broadcast: look the keys up by a join")
 
     def emit(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         for batch in batches:
@@ -156,31 +166,60 @@ def with_parts(pages: DataFrame) -> DataFrame:
     )
 
 
-def candidate_keys(lengths: Sequence[int]) -> Column:
-    """Each host suffix at a label's start, with each prefix of the path of one of these lengths."""
-    labels = F.split("host", r"\.")
-    suffixes = F.transform(F.sequence(F.lit(1), F.size(labels)), lambda i: F.array_join(F.slice(labels, i, F.size(labels)), "."))
+def candidate_keys(lengths: Sequence[int], labels: int) -> Column:
+    """The host's suffixes of up to so many labels, longest first, each with each prefix of the path of one of these lengths."""
+    suffixes = F.expr(f"transform(sequence(least({labels}, size(split(host, '[.]'))), 1), i -> substring_index(host, '.', -i))")
     prefixes = F.array_distinct(F.filter(F.array(*[F.when(F.length("path") >= n, F.substring("path", 1, n)) for n in lengths]), lambda p: p.isNotNull()))
     return F.flatten(F.transform(suffixes, lambda s: F.transform(prefixes, lambda p: F.concat(s, p))))
 
 
-def filter_urls(pages: DataFrame, rules: Sequence[Rule], listed_hosts: Sequence[str] = ()) -> DataFrame:
-    """Judge every page's url: the longest rule that fits, else whether its host is listed.
+def most_labels(hosts: DataFrame) -> int:
+    """Labels of the longest of ``hosts(key)``."""
+    return hosts.agg(F.max(F.size(F.split("key", r"\."))).alias("n")).first().n or 1
+
 
-    Three cascades: the rules' keys and the listed hosts over the keys of all urls, and the blocking
-    rules' keys over the rules'.
+def too_many(keys: DataFrame) -> bool:
+    """Whether a filter of ``keys(key)`` would be larger than may be broadcast."""
+    return filter_size(keys.select("key").distinct().count(), ERROR)[1] * 8 > MAX_FILTER_BYTES
+
+
+def by_join(parts: DataFrame, hosts: DataFrame, addresses: DataFrame, labels: int) -> DataFrame:
+    """``parts`` and ``evil``: whether the host or one above it, or the address, is listed. Different hosts and addresses are looked up once."""
+    asked = parts.select("host").distinct().withColumn("path", F.lit("")).withColumn("key", F.explode(candidate_keys([0], labels)))
+    bad_hosts = asked.join(hosts.select("key").distinct(), "key", "left_semi").select("host").distinct().withColumn("_h", F.lit(True))
+    bad = addresses.where("key is not null").select(F.col("key").alias("address")).distinct().withColumn("_a", F.lit(True))
+    found = parts.withColumn("address", F.concat("host", "path")).join(bad_hosts, "host", "left").join(bad, "address", "left")
+    return found.select(*parts.columns, (F.coalesce("_h", F.lit(False)) | F.coalesce("_a", F.lit(False))).alias("evil"))
+
+
+def filter_urls(pages: DataFrame, rules: Sequence[Rule], listed_hosts: Sequence[str] | DataFrame = (), listed_addresses: DataFrame | None = None) -> DataFrame:
+    """Judge every page's url: the longest rule that fits, else whether its host or its address is listed.
+
+    ``listed_hosts`` is a sequence or ``(key)`` rows and holds for subdomains too; ``listed_addresses(key)``
+    are hosts with their whole paths. Four cascades: the rules' keys, the listed hosts and the listed
+    addresses, each over the keys of all urls, and the blocking rules' keys over the rules'.
     """
     spark = pages.sparkSession
+    hosts = stored(listed_hosts.select("key") if isinstance(listed_hosts, DataFrame) else keys_frame(spark, listed_hosts), "listed-hosts")
+    addresses = stored(listed_addresses.select("key"), "listed-addresses") if listed_addresses is not None else keys_frame(spark, [])
+    labels = most_labels(hosts)
     parts = with_parts(pages)
-    rule_keys = candidate_keys(sorted({len(r.path) for r in rules})) if rules else F.array().cast("array<string>")
-    asked = parts.select("page_id", "host", "path", rule_keys.alias("keys"), candidate_keys([0]).alias("hosts"))
+    joined = too_many(hosts) or too_many(addresses)
+    parts = by_join(parts, hosts, addresses, labels) if joined else parts.withColumn("evil", F.lit(False))
+    if joined:
+        hosts = addresses = keys_frame(spark, [])
+    rule_labels = max([r.host.count(".") + 1 for r in rules], default=1)
+    rule_keys = candidate_keys(sorted({len(r.path) for r in rules}), rule_labels) if rules else F.array().cast("array<string>")
+    asked = parts.select("page_id", "host", "path", "evil", rule_keys.alias("keys"), candidate_keys([0], labels).alias("hosts"), F.concat("host", "path").alias("address"))
     fits = Cascade.build(keys_frame(spark, [r.key for r in rules]), asked.select(F.explode("keys").alias("key")))
     blocks = Cascade.build(keys_frame(spark, [r.key for r in rules if r.verdict == "block"]), keys_frame(spark, [r.key for r in rules]))
-    bad = Cascade.build(keys_frame(spark, listed_hosts), asked.select(F.explode("hosts").alias("key")))
+    bad = Cascade.build(hosts, asked.select(F.explode("hosts").alias("key")))
+    places = Cascade.build(addresses, asked.select(F.col("address").alias("key")))
     hashed = asked.select(
-        "page_id", "host", "path", "keys",
+        "page_id", "host", "path", "evil", "keys",
         *(F.transform("keys", f).alias(n) for n, f in (("a", lambda k: F.xxhash64(k)), ("b", lambda k: F.xxhash64(F.lit(1), k)), ("size", lambda k: F.length(k)))),
         *(F.transform("hosts", f).alias(n) for n, f in (("ha", lambda k: F.xxhash64(k)), ("hb", lambda k: F.xxhash64(F.lit(1), k)))),
+        F.xxhash64("address").alias("pa"), F.xxhash64(F.lit(1), "address").alias("pb"),
     )
 
     def flat(column: pa.Array) -> np.ndarray:
@@ -189,6 +228,8 @@ def filter_urls(pages: DataFrame, rules: Sequence[Rule], listed_hosts: Sequence[
     def judge(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         for batch in batches:
             n = batch.num_rows
+            if not n:
+                continue
             keys = batch.column("keys")
             row = np.repeat(np.arange(n), keys.value_lengths().to_numpy(zero_copy_only=False).astype(np.int64))
             a, b, size = (flat(batch.column(c)) for c in ("a", "b", "size"))
@@ -203,9 +244,10 @@ def filter_urls(pages: DataFrame, rules: Sequence[Rule], listed_hosts: Sequence[
             if found.any():
                 verdict[found] = np.where(blocks.listed(a[best[found]], b[best[found]]), "block", "allow")
             hosts = np.repeat(np.arange(n), batch.column("ha").value_lengths().to_numpy(zero_copy_only=False).astype(np.int64))
-            evil = np.zeros(n, bool)
+            evil = batch.column("evil").to_numpy(zero_copy_only=False).astype(bool)
             if len(hosts):
                 evil[hosts[bad.listed(flat(batch.column("ha")), flat(batch.column("hb")))]] = True
+            evil |= places.listed(batch.column("pa").to_numpy(), batch.column("pb").to_numpy())
             verdict[evil & ~found] = "block"
             yield pa.record_batch([batch.column("page_id"), batch.column("host"), batch.column("path"), pa.array(rule.tolist(), pa.string()), pa.array(verdict.tolist(), pa.string())], names=["page_id", "host", "path", "rule", "verdict"])
 

@@ -776,3 +776,28 @@ def test_language_sample_has_every_language(spark):
     assert all(got[k] == x for k, t, x, _ in rows if t not in used)
     nothing = identify(document_evidence(docs), TextModel.fit_on(docs.limit(0))).collect()
     assert {r.lang for r in nothing} == {"und"} and not any(r.kept for r in nothing)
+
+
+def pages_of_many(n=400):
+    rng = np.random.default_rng(6)
+    urls = [f"https://{rng.choice(['www.', '', 'a.b.'])}h{rng.integers(30)}.example.{rng.choice(['com', 'net', 'org'])}/{rng.choice(['en', 'es'])}/{rng.integers(200)}{rng.choice(['', '?ref=x', '#top'])}" for _ in range(n)]
+    return urls + [None, "no host", "http://" + ".".join(["x"] * 4000) + ".example.org/p", "http://H1.example.org", "http:///p"]
+
+
+@pytest.mark.parametrize("most", [256 << 20, 8])
+def test_url_lists(spark, monkeypatch, most):
+    """Long lists of hosts and addresses, by cascade and, where a filter would be too large, by join."""
+    from blockpress.llm import url_filter as U
+
+    urls = pages_of_many()
+    pages = spark.createDataFrame(list(enumerate(urls)), "page_id long, url string")
+    parts = {r.page_id: (r.host, r.path) for r in U.with_parts(pages).collect()}
+    hosts = {f"h{k}.example.org" for k in range(0, 30, 3)} | {"example.net"}
+    addresses = {h + p for k, (h, p) in parts.items() if urls[k] and "ref=" in urls[k]}
+    frame = lambda keys: spark.createDataFrame([(k,) for k in [*keys, *keys, None]], "key string")
+    monkeypatch.setattr(U, "MAX_FILTER_BYTES", most)
+    got = {r.page_id: r for r in U.filter_urls(pages, [U.Rule("com", "/", "allow")] if most > 8 else [], frame(hosts), frame(addresses)).collect()}
+    for k, (h, p) in parts.items():
+        listed = any(h == x or h.endswith("." + x) for x in hosts) or h + p in addresses
+        ruled = most > 8 and (h == "com" or h.endswith(".com")) and p.startswith("/")
+        assert (got[k].rule, got[k].verdict) == ("com/" if ruled else None, "allow" if ruled or not listed else "block")
