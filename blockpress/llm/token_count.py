@@ -9,7 +9,7 @@ front; no piece goes beyond a mark within, so words count apart, and each distin
 worker.
 
 Cases: null or empty text: no tokens; repeated rows: each its own; texts of any length are counted
-whole; further columns are ignored; no rows: no rows.
+whole, and a word without a blank takes no more room than its own characters; further columns are ignored; no rows: no rows.
 """
 
 from __future__ import annotations
@@ -51,30 +51,31 @@ class Counter:
                 if len(piece) == 1:
                     self.single.add(piece)
         self.trie.make_automaton()
+        self.longest = max(map(len, scores), default=1)
         self.cache: dict[str, int] = {}
 
     def word(self, word: str) -> int:
         """Tokens of one word, its mark included."""
-        n = len(word)
-        best, count, lost = [0.0] * (n + 1), [0] * (n + 1), [False] * (n + 1)
-        ends: list[list[tuple[int, float]]] = [[] for _ in range(n)]
-        for end, match in self.trie.iter(word):
-            ends[end].append(match)
-        for end, matches in enumerate(ends, 1):
+        ring = self.longest + 1  # no piece reaches back farther, however long the word
+        best, count, lost = [0.0] * ring, [0] * ring, [False] * ring
+        matches = self.trie.iter(word)
+        last, match = next(matches, (-1, None))
+        for end in range(1, len(word) + 1):
             found = None
-            for size, score in matches:  # the longest first: it begins first
-                total = score + best[end - size]
+            while match is not None and last == end - 1:  # the longest first: it begins first
+                size, score = match
+                total = score + best[(end - size) % ring]
                 if found is None or total > found:
-                    found, begin = total, end - size
-            unknown = False
+                    found, begin = total, (end - size) % ring
+                last, match = next(matches, (-1, None))
+            unknown, here = False, end % ring
             if word[end - 1] not in self.single:
-                total = self.unknown + best[end - 1]
+                total = self.unknown + best[(end - 1) % ring]
                 if found is None or total > found:
-                    found, begin, unknown = total, end - 1, True
-            best[end] = found
-            count[end] = count[begin] + (0 if unknown and lost[begin] else 1)
-            lost[end] = unknown
-        return count[n]
+                    found, begin, unknown = total, (end - 1) % ring, True
+            tokens = count[begin] + (0 if unknown and lost[begin] else 1)
+            best[here], count[here], lost[here] = found, tokens, unknown
+        return count[len(word) % ring]
 
     def words(self, text: str) -> list[str]:
         if not text:
