@@ -139,11 +139,16 @@ def languages_of(labelled: DataFrame) -> DataFrame:
 def chosen_rows(labelled: DataFrame, limit: int = TRAINING_ROWS, key: str = "doc_id") -> DataFrame:
     """``lang, text`` of each language's rows with the least hashes, ``limit`` over all languages, one of each at least.
 
-    Hashes alone are ranked, as many a task as are wanted; only the chosen rows' texts are read on.
+    Hashes alone are ranked, and of them only those below a bound that lets about four times as many pass as
+    are wanted, so that no task sees more, however large the table; only the chosen rows' texts are read on.
     """
-    share = max(1, limit // max(1, languages_of(labelled).count()))
+    known = languages_of(labelled).collect()  # a row for each language
+    share = max(1, limit // max(1, len(known)))
+    bounds = [(r.lang, -(2.0**63) + min(1.0, (4 * share + 40) / r.rows) * 2.0**64) for r in known]
+    bounds = labelled.sparkSession.createDataFrame(bounds, "lang string, bound double")
     usable = labelled.where("lang is not null and lang <> '' and length(text) >= 3").select("lang", "text", F.xxhash64(key, "text").alias("h"))
-    ranked = usable.select("lang", "h").withColumn("n", F.row_number().over(Window.partitionBy("lang").orderBy("h"))).where(F.col("n") <= share)
+    low = usable.select("lang", "h").join(F.broadcast(bounds), "lang").where("cast(h as double) <= bound").select("lang", "h")
+    ranked = low.withColumn("n", F.row_number().over(Window.partitionBy("lang").orderBy("h"))).where(F.col("n") <= share)
     last = ranked.groupBy("lang").agg(F.max("h").alias("last"))
     return usable.join(F.broadcast(last), "lang").where("h <= last").dropDuplicates(["lang", "h"]).select("lang", "text")  # a row for each language
 
