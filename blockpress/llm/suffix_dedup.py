@@ -10,7 +10,8 @@ before the sample and the sample's rank.
    difference cover is for; each window start belongs to one sample position, its anchor.
 2. Prune, without loss. Windows with one anchor all hold the anchor's core, the bytes that no window
    start of it can leave out. Anchors whose core occurs once in the corpus have no repeated window.
-   Anchors with equal contexts (the core and all its windows) are one row from here on.
+   Anchors with equal contexts (the core and all its windows) are one row from here on; contexts are told
+   apart by a cryptographic hash of all their bytes, beside the core's.
 3. Sort sampled triples, recurse on names. The bytes behind an anchor are cut into words of eight;
    distinct triples of words are sorted and named by rank, triples of names again, and again, until
    one name orders the whole suffix up to ``length`` bytes. The bytes before an anchor likewise,
@@ -41,6 +42,7 @@ from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
 from blockpress.llm.common import _BASE, _BYTE, free_columns, mixed, slices, small_batches, stored, text_bytes
+from blockpress.sources.storage import discard
 
 LENGTH = 200
 GRAM = 16
@@ -75,8 +77,8 @@ def _fixed_hash(term: np.ndarray, k: int) -> np.ndarray:
     return out
 
 
-def anchors_of(raw: np.ndarray, at: np.ndarray, length: int) -> tuple[np.ndarray, ...]:
-    """Text number, core hash, context hash, first start, anchor and last start of each anchor's windows."""
+def anchors_of(raw: np.ndarray, at: np.ndarray, length: int, contexts: bool = True) -> tuple[np.ndarray, ...]:
+    """Text number, core hash, context hash (zero unless asked for), first start, anchor and last start of each anchor's windows."""
     reach, n = _reach(length), len(raw)
     none = np.zeros(0, np.int64)
     ok = np.diff(at) >= length
@@ -100,14 +102,26 @@ def anchors_of(raw: np.ndarray, at: np.ndarray, length: int) -> tuple[np.ndarray
     last = np.append(first[1:], len(start)) - 1
     p, lo, hi = anchor[first], start[first], start[last]
     core = mixed(_fixed_hash(term, length - reach + 1)[p])
-    power = np.multiply.accumulate(np.full(n, _BASE, np.uint64))
-    inverse = np.multiply.accumulate(np.full(n, np.uint64(pow(int(_BASE), -1, 1 << 64)), np.uint64))
-    run = np.zeros(n + 1, np.uint64)
-    np.cumsum(term * power, out=run[1:])
-    ctx = mixed(mixed((run[hi + length] - run[lo]) * inverse[lo]) + ((p - lo) * 1024 + (hi - lo)).astype(np.uint64))
+    if contexts:  # a cryptographic hash: equal ones stand for equal bytes whatever the texts are made of
+        data, shape = raw.tobytes(), ((p - lo) * 1024 + (hi - lo)).tolist()
+        digest = (hashlib.blake2b(data[a : b + length], digest_size=8, salt=s.to_bytes(8, "little")).digest() for a, b, s in zip(lo.tolist(), hi.tolist(), shape, strict=True))
+        ctx = np.frombuffer(b"".join(digest), np.uint64)
+    else:
+        ctx = np.zeros(len(p), np.uint64)
     return np.searchsorted(at, lo, side="right") - 1, core, ctx, lo, p, hi
 
 
+def _core_rows(docs: DataFrame, length: int) -> DataFrame:
+    """``core`` of every anchor of ``docs(text)``."""
+
+    def emit(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+        for batch in slices(batches, "text"):
+            core = anchors_of(*text_bytes(batch.column("text")), length, contexts=False)[1]
+            yield pa.record_batch([pa.array(core.view(np.int64))], names=["core"])
+
+    return docs.select("text").mapInArrow(emit, "core long")
+
+
 def _anchor_rows(docs: DataFrame, length: int) -> DataFrame:
     """``ANCHORS`` of ``docs(doc_id, uid, text)``; ``place`` packs first start, anchor and last start."""
 
@@ -281,7 +295,7 @@ def repeated_marks(docs: DataFrame, length: int = LENGTH) -> DataFrame:
     """``(doc_id, uid, marks)``: for each text with repeated strings, packed places and start bits."""
     spark = docs.sparkSession
     anchors = _anchor_rows(docs, length)
-    often = anchors.groupBy("core").agg(F.count("*").alias("n")).where("n > 1").select("core")
+    often = _core_rows(docs, length).groupBy("core").agg(F.count("*").alias("n")).where("n > 1").select("core")
     often = stored(often, "cores")
     live = stored(anchors.join(often, "core"), "anchors")
     _freed(spark)
@@ -308,14 +322,17 @@ def repeated_marks(docs: DataFrame, length: int = LENGTH) -> DataFrame:
 
     pieces = stored(both.mapInArrow(cut, "core long, ctx long, place long, n long, bytes binary"), "pieces")
     _freed(spark)
-    some = _all_flags(pieces, length)
+    some = stored(_all_flags(pieces, length), "some-flags")
+    discard(pieces, groups)
     # contexts that occur more than once: all their windows do
     whole = contexts.where("copies > 1").select("core", "ctx", F.lit(None).cast("binary").alias("bits"))
     once = some.join(whole.select("core", "ctx"), ["core", "ctx"], "left_anti")
     flags = stored(whole.unionByName(once), "flags")
     _freed(spark)
     marked = live.join(flags, ["core", "ctx"]).select("doc_id", "uid", F.struct("place", "bits").alias("mark"))
-    return stored(marked.groupBy("doc_id", "uid").agg(F.collect_list("mark").alias("marks")), "marks")
+    marks = stored(marked.groupBy("doc_id", "uid").agg(F.collect_list("mark").alias("marks")), "marks")
+    discard(often, live, contexts, some, flags)
+    return marks
 
 
 def repeated_bytes(size: int, marks: list[dict] | None, length: int) -> np.ndarray:
