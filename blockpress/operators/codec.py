@@ -2,15 +2,21 @@
 
 Rows go to groups of one row label and one stretch of row numbers (a chunk), so that a group is bounded
 whatever the labels' sizes; within it each column label's cells are one sequence. Frequency tables are
-those of the whole block, so chunks cost no more than a coder's flush. The baselines are the same code
-with one label: row order, column order, one table or one for each column.
+those of the whole block. A chunk has ``CHUNK_CELLS`` cells at most; each one starts its coder anew, which
+costs the frequency coder its final states and the dictionary coders what they had learnt.
+
+A container is a table of segments: header, coded labels of the columns and, chunk by chunk, of the rows,
+symbol counts, and blocks. Sizes are those of the segments' bytes, and ``decompress`` reads nothing else
+but the alphabets' sizes, which the codebook has. The baselines are the same code with one label: row
+order, column order, one table or one for each column.
 """
 
 from __future__ import annotations
 
 import math
+import struct
 import zlib
-from dataclasses import dataclass
+from dataclasses import dataclass, field
 
 import numpy as np
 import pyarrow as pa
@@ -21,22 +27,48 @@ from blockpress.coders import phrase_lz, rans, zstd
 from blockpress.operators.entropy import block_histogram, with_labels
 from blockpress.sources.storage import kept
 
-BLOCKS = "u int, v int, chunk_id long, n_symbols long, n_bits long, coder string, crc long, payload binary"
-#: Rows of a chunk.
+#: Of ``row_latents`` the field ``u`` holds the bytes of the row numbers' gaps, which stand in front (dense numbers: none).
+SEGMENTS = "segment string, u int, v int, chunk_id long, n_symbols long, n_bits long, coder string, crc long, payload binary"
+NAMES = tuple(f.split()[0] for f in SEGMENTS.split(", "))
+#: Cells of a chunk, and its most rows.
+CHUNK_CELLS = 1 << 23
 CHUNK_ROWS = 1 << 17
+CODERS = ("zstd", "rans", "lz", "raw")
+#: Magic, rows, columns, row and column labels, chunk rows, block coder, label coder, packing, scan order, whether all is plain.
+HEADER = struct.Struct("<4sQIHIQBB4s3sB")
+MAGIC = b"LBT1"
 
 
 @dataclass
 class Container:
-    blocks: DataFrame
-    labels: DataFrame  # row_id, u: kept beside the coded labels for decoding
-    columns: np.ndarray
+    """``segments`` (see ``SEGMENTS``) and the alphabets' sizes; the rest is read from the segments."""
+
+    segments: DataFrame
     cards: list[int]
-    coder: str
-    pack: str
-    order: str
-    freq: dict[tuple[int, int], tuple[np.ndarray, int]]
-    bits: dict[str, float]
+    bits: dict[str, float] = field(default_factory=dict)
+
+    def __post_init__(self):
+        small = {(r.segment, r.u, r.v): r for r in self.segments.where("segment in ('header', 'col_latents', 'counts')").collect()}  # labels x labels rows
+        head = bytes(small["header", 0, 0].payload)
+        magic, self.m, self.n, self.k_r, self.k_c, self.chunk_rows, coder, coder_l, pack, order, plain = HEADER.unpack_from(head)
+        if magic != MAGIC:
+            raise ValueError("not a container")
+        self.coder, self.coder_labels, self.pack, self.order, self.plain = CODERS[coder], CODERS[coder_l], pack.decode().strip(), order.decode(), bool(plain)
+        self.freq = {(u, v): rans.scaled(read_counts(bytes(r.payload), max(self.cards))) for (s, u, v), r in small.items() if s == "counts"}
+        if self.k_c == self.n:
+            self.columns = np.arange(self.n)
+        elif self.k_c == 1:
+            self.columns = np.zeros(self.n, int)
+        else:
+            r = small["col_latents", 0, 0]
+            self.columns = label_decode(bytes(r.payload), self.n, self.k_c, r.coder, self.pack)
+        if not self.bits:
+            got = {r.segment: float(r.b) for r in self.segments.groupBy("segment").agg(F.sum("n_bits").alias("b")).collect()}
+            self.bits = {k: got.get(k, 0.0) for k in ("header", "row_latents", "col_latents", "counts", "blocks")}
+
+    @property
+    def blocks(self) -> DataFrame:
+        return self.segments.where("segment = 'blocks'")
 
     @property
     def coded_bits(self) -> float:
@@ -51,17 +83,44 @@ def block_counts(hist: DataFrame, cards: list[int]) -> dict[tuple[int, int], np.
     return out
 
 
-def _encode(seq: np.ndarray, coder: str, pack: str, card: int, freq: tuple[np.ndarray, int] | None) -> tuple[bytes, int]:
-    """Payload and its bits; never more than the plain code."""
+def write_counts(counts: np.ndarray) -> bytes:
+    """Which symbols occur, a bit each, and a 64-bit count for each that does."""
+    return np.packbits(counts > 0).tobytes() + counts[counts > 0].astype("<i8").tobytes()
+
+
+def read_counts(data: bytes, card: int) -> np.ndarray:
+    out, lead = np.zeros(card, np.int64), -(-card // 8)
+    there = np.unpackbits(np.frombuffer(data, np.uint8, lead))[:card].astype(bool)
+    out[there] = np.frombuffer(data, "<i8", int(there.sum()), lead)
+    return out
+
+
+def plain_encode(seq: np.ndarray, card: int) -> bytes:
+    """Symbols at a whole number of bits each."""
+    width = max(card - 1, 0).bit_length()
+    if not width:
+        return b""
+    return np.packbits((np.asarray(seq, np.int64)[:, None] >> np.arange(width - 1, -1, -1)) & 1).tobytes()
+
+
+def plain_decode(data: bytes, n: int, card: int) -> np.ndarray:
+    width = max(card - 1, 0).bit_length()
+    if not width:
+        return np.zeros(n, np.int64)
+    bits = np.unpackbits(np.frombuffer(data, np.uint8))[: n * width].reshape(n, width).astype(np.int64)
+    return bits @ (1 << np.arange(width - 1, -1, -1))
+
+
+def _encode(seq: np.ndarray, coder: str, pack: str, card: int, freq: tuple[np.ndarray, int] | None) -> bytes:
     if coder == "zstd":
-        data = zstd.encode(seq, pack, card)
-        return data, 8 * len(data)
+        return zstd.encode(seq, pack, card)
     if coder == "rans":
-        data = rans.encode(seq, *freq)
-        return data, 8 * len(data)
+        return rans.encode(seq, *freq)
     if coder == "lz":
-        data, bits, plain = phrase_lz.encode(seq.tolist(), card)
-        return bytes([plain]) + data, bits + 1
+        data, _, plain = phrase_lz.encode(seq.tolist(), card)
+        return bytes([plain]) + data
+    if coder == "raw":
+        return plain_encode(seq, card)
     raise ValueError(coder)
 
 
@@ -70,70 +129,108 @@ def _decode(data: bytes, n: int, coder: str, pack: str, card: int, freq: tuple[n
         return zstd.decode(data, n, pack, card)
     if coder == "rans":
         return rans.decode(data, n, *freq)
+    if coder == "raw":
+        return plain_decode(data, n, card)
     return np.array(phrase_lz.decode(data[1:], n, card, bool(data[0])))
 
 
-def sequence_bits(labels: np.ndarray, k: int, coder: str, pack: str = "byte") -> tuple[float, float]:
-    """Bits of a label sequence and of its counts."""
-    if k <= 1:
-        return 0.0, 0.0
-    if coder == "rans":
-        counts = np.bincount(labels, minlength=k)
-        return 8.0 * len(rans.encode(labels, *rans.scaled(counts))), 64.0 * k
-    return float(_encode(labels.astype(np.uint8), coder, pack, k, None)[1]), 0.0
+def _shortest(seq: np.ndarray, coder: str, pack: str, card: int, freq: tuple[np.ndarray, int] | None, fallback: bool) -> tuple[str, bytes]:
+    """The coder used and its bytes: with ``fallback`` the plain code where that is shorter."""
+    data = _encode(seq, coder, pack, card, freq)
+    if fallback and len(data) * 8 > len(seq) * max(card - 1, 0).bit_length() + 7:
+        return "raw", plain_encode(seq, card)
+    return coder, data
+
+
+def label_encode(labels: np.ndarray, k: int, coder: str, pack: str) -> bytes:
+    """Coded labels; the frequency coder's counts stand in front."""
+    labels = np.asarray(labels, np.int64)
+    if coder != "rans":
+        return _encode(labels, coder, pack, k, None)
+    counts = np.bincount(labels, minlength=k)
+    return write_counts(counts) + rans.encode(labels, *rans.scaled(counts))
+
 
+def label_decode(data: bytes, n: int, k: int, coder: str, pack: str) -> np.ndarray:
+    if coder != "rans":
+        return np.asarray(_decode(data, n, coder, pack, k, None), np.int64)
+    counts = read_counts(data, k)
+    return rans.decode(data[-(-k // 8) + 8 * int((counts > 0).sum()) :], n, *rans.scaled(counts))
 
-def compress(codes: DataFrame, cards: list[int], columns: np.ndarray, coder: str = "rans", coder_labels: str | None = None, order: str = "row", pack: str = "byte", chunk_rows: int = CHUNK_ROWS) -> Container:
+
+def _segment_table(rows: list[tuple]) -> pa.Table:
+    types = [pa.string(), pa.int32(), pa.int32(), pa.int64(), pa.int64(), pa.int64(), pa.string(), pa.int64(), pa.binary()]
+    return pa.table([pa.array(c, t) for c, t in zip(zip(*rows, strict=True), types, strict=True)], names=list(NAMES))
+
+
+def _row(segment: str, u: int, v: int, chunk: int, n: int, coder: str, data: bytes) -> tuple:
+    return segment, u, v, chunk, n, 8 * len(data), coder, zlib.crc32(data), data
+
+
+def compress(codes: DataFrame, cards: list[int], columns: np.ndarray, coder: str = "rans", coder_labels: str | None = None, order: str = "row", pack: str = "byte", chunk_rows: int | None = None, fallback: bool = False) -> Container:
     """Code ``codes(row_id, u, codes)`` with column labels ``columns``.
 
-    One shuffle: each row once, by (row label, chunk). ``order`` is the scan within a block.
+    One shuffle: each row once, by (row label, chunk), and the labels by chunk. ``order`` is the scan within a
+    block. ``fallback`` sends plain code for a block or a label chunk that it makes shorter, and all of the
+    table plain if that is shorter still, so that the whole is never more than the raw table and a header.
+    Row numbers should be dense; the gaps of those that are not are stored with the labels.
     """
     coder_labels = coder_labels or coder
     columns = np.asarray(columns)
     n, card, k_c = len(cards), max(cards), int(columns.max()) + 1
+    chunk_rows = chunk_rows or max(1, min(CHUNK_ROWS, CHUNK_CELLS // n))
     freq: dict[tuple[int, int], tuple[np.ndarray, int]] = {}
-    count_bits = 0.0
+    fixed: list[tuple] = []
     if coder == "rans":
         counts = block_counts(block_histogram(with_labels(codes, columns.tolist())), cards)
         freq = {key: rans.scaled(c) for key, c in counts.items()}
-        count_bits = 64.0 * sum(int((c > 0).sum()) for c in counts.values())
+        fixed += [_row("counts", u, v, 0, int(c.sum()), "raw", write_counts(c)) for (u, v), c in sorted(counts.items())]
     members = [np.flatnonzero(columns == v) for v in range(k_c)]
+    size = codes.agg(F.count("*").alias("m"), F.max("u").alias("u")).first()
+    m, k_r = size.m, int(size.u or 0) + 1
+    if k_c not in (1, n):
+        fixed.append(_row("col_latents", 0, 0, 0, n, coder_labels, label_encode(columns, k_c, coder_labels, pack)))
 
     def code_group(key, table):
         u, chunk = key[0].as_py(), key[1].as_py()
         table = table.sort_by("row_id").combine_chunks()
-        cells = table.column("codes").combine_chunks().flatten().to_numpy(zero_copy_only=False).astype(np.int64).reshape(-1, n)
+        cells = table.column("codes").combine_chunks().flatten().to_numpy(zero_copy_only=False).reshape(-1, n)
         rows = []
         for v in range(k_c):
             part = cells[:, members[v]]
-            seq = (part if order == "row" else part.T).ravel()
-            data, bits = _encode(seq, coder, pack, card, freq.get((u, v)))
-            rows.append((u, v, chunk, len(seq), bits, coder, zlib.crc32(data), data))
-        cols = list(zip(*rows, strict=True))
-        types = [pa.int32(), pa.int32(), pa.int64(), pa.int64(), pa.int64(), pa.string(), pa.int64(), pa.binary()]
-        return pa.table([pa.array(c, t) for c, t in zip(cols, types, strict=True)], names=[f.split()[0] for f in BLOCKS.split(", ")])
-
-    chunked = codes.select("row_id", F.col("u").cast("int").alias("u"), "codes", F.floor(F.col("row_id") / chunk_rows).alias("chunk_id"))
-    blocks = kept(chunked.groupBy("u", "chunk_id").applyInArrow(code_group, BLOCKS), "blocks")
-
-    # row labels in row order, chunk by chunk
-    k_r = int(codes.agg(F.max("u")).first()[0]) + 1
+            seq = (part if order == "row" else part.T).ravel().astype(np.int64)
+            rows.append(_row("blocks", u, v, chunk, len(seq), *_shortest(seq, coder, pack, card, freq.get((u, v)), fallback)))
+        return _segment_table(rows)
 
     def code_labels(key, table):
-        u = table.sort_by("row_id").column("u").to_numpy().astype(np.int64)
-        bits, more = sequence_bits(u, k_r, coder_labels, pack)
-        return pa.table({"bits": [bits], "more": [more]})
-
-    row_bits = row_counts = 0.0
-    if k_r > 1:
-        got = chunked.select("row_id", "u", "chunk_id").groupBy("chunk_id").applyInArrow(code_labels, "bits double, more double").agg(F.sum("bits"), F.max("more")).first()
-        row_bits, row_counts = got
-    col_bits, col_counts = (0.0, 0.0) if k_c in (1, n) else sequence_bits(columns.astype(np.int64), k_c, coder_labels, pack)
-    m = codes.count()
-    total = blocks.agg(F.sum("n_bits")).first()[0] or 0
-    header = (k_r * k_c + 2) * math.ceil(math.log2(m * n + 1)) if k_r * k_c > 1 else 0
-    bits = {"header": float(header), "row_latents": row_bits, "col_latents": col_bits, "counts": count_bits + row_counts + col_counts, "blocks": float(total)}
-    return Container(blocks, codes.select("row_id", "u"), columns, cards, coder, pack, order, freq, bits)
+        chunk = key[0].as_py()
+        table = table.sort_by("row_id")
+        u, row_id = table.column("u").to_numpy().astype(np.int64), table.column("row_id").to_numpy()
+        dense = row_id[0] == chunk * chunk_rows and (np.diff(row_id) == 1).all()
+        gaps = b"" if dense else zstd.zstandard.ZstdCompressor(level=zstd.LEVEL).compress(np.diff(row_id, prepend=chunk * chunk_rows).astype("<i8").tobytes())
+        used, data = coder_labels, label_encode(u, k_r, coder_labels, pack) if k_r > 1 else b""
+        if fallback and k_r > 1 and len(data) > len(plain := plain_encode(u, k_r)):
+            used, data = "raw", plain
+        return _segment_table([_row("row_latents", len(gaps), 0, chunk, len(u), used, gaps + data)])
+
+    chunked = codes.select("row_id", F.col("u").cast("int").alias("u"), "codes", F.floor(F.col("row_id") / chunk_rows).alias("chunk_id"))
+    coded = chunked.groupBy("u", "chunk_id").applyInArrow(code_group, SEGMENTS)
+    coded = coded.unionByName(chunked.select("row_id", "u", "chunk_id").groupBy("chunk_id").applyInArrow(code_labels, SEGMENTS))
+    spark = codes.sparkSession
+    coded = kept(coded, "segments")
+    if fallback and k_r * k_c > 1:
+        total = (coded.agg(F.sum("n_bits")).first()[0] or 0) + sum(r[5] for r in fixed)
+        if total > m * n * max(card - 1, 0).bit_length():
+            return compress(codes.withColumn("u", F.lit(0)), cards, np.zeros(n, int), "raw", "raw", order, pack, chunk_rows)
+    lengths = {(r.u, r.v): r.b for r in coded.where("segment = 'blocks'").groupBy("u", "v").agg(F.sum("n_bits").alias("b")).collect()}
+    labels = coded.where("segment = 'row_latents'").agg(F.sum("n_bits")).first()[0] or 0
+    parts = [labels, sum(r[5] for r in fixed if r[0] == "col_latents"), *(lengths.get((u, v), 0) for u in range(k_r) for v in range(k_c))]
+    width = max(math.ceil(math.log2(m * n + 1)), max(parts).bit_length())
+    packed = plain_encode(np.array(parts, np.int64), 1 << width) if k_r * k_c > 1 else b""
+    head = HEADER.pack(MAGIC, m, n, k_r, k_c, chunk_rows, CODERS.index(coder), CODERS.index(coder_labels), pack.encode().ljust(4), order.encode(), coder == "raw")
+    fixed.append(_row("header", 0, 0, 0, len(parts), "raw", head + packed))
+    whole = kept(spark.createDataFrame(_segment_table(fixed)).select(*NAMES).coalesce(1), "fixed-segments")
+    return Container(coded.unionByName(whole), list(cards))
 
 
 def compress_reordered(codes: DataFrame, cards: list[int], columns: np.ndarray, coder: str = "zstd", pack: str = "byte") -> Container:
@@ -147,38 +244,149 @@ def compress_reordered(codes: DataFrame, cards: list[int], columns: np.ndarray,
     return compress(flat, [cards[j] for j in order], np.zeros(len(cards), int), coder, pack=pack)
 
 
-def decompress(box: Container, chunk_rows: int = CHUNK_ROWS, only: list[int] | None = None) -> DataFrame:
-    """``row_id, codes`` again. ``only`` names columns: blocks of other labels are not read."""
-    n, card, columns = len(box.cards), max(box.cards), box.columns
-    members = [np.flatnonzero(columns == v) for v in range(int(columns.max()) + 1)]
+def decompress(box: Container, chunk_rows: int | None = None, only: list[int] | None = None, only_u: list[int] | None = None) -> DataFrame:
+    """``row_id, codes`` again, from the segments alone. ``only`` names columns: blocks of other labels are not read; ``only_u`` row labels likewise.
+
+    Chunk by chunk: a chunk's coded labels tell which row each block's cells belong to. ``chunk_rows``, where
+    given, must be the container's.
+    """
+    if chunk_rows is not None and chunk_rows != box.chunk_rows:
+        raise ValueError(f"the container has chunks of {box.chunk_rows} rows")
+    n, card, columns, k_r = box.n, max(box.cards), box.columns, box.k_r
+    members = [np.flatnonzero(columns == v) for v in range(box.k_c)]
     wanted = sorted({int(columns[j]) for j in only}) if only is not None else list(range(len(members)))
     show = np.array(only if only is not None else range(n))
     blocks = box.blocks.where(F.col("v").isin(wanted)) if only is not None else box.blocks
-    labels = box.labels.select("row_id", F.col("u").cast("int").alias("u"), F.floor(F.col("row_id") / chunk_rows).alias("chunk_id"))
-    coder, pack, order, freq = box.coder, box.pack, box.order, box.freq
-
-    def decode_group(key, rows, parts):
-        row_id = np.sort(rows.column("row_id").to_numpy())
-        cells = np.zeros((len(row_id), n), np.int16)
-        for b in parts.to_pylist():
-            seq = _decode(b["payload"], b["n_symbols"], coder, pack, card, freq.get((b["u"], b["v"])))
-            own = members[b["v"]]
-            cells[:, own] = seq.reshape(-1, len(own)) if order == "row" else seq.reshape(len(own), -1).T
-        shown = cells[:, show]
-        at = np.arange(len(row_id) + 1, dtype=np.int32) * shown.shape[1]
-        return pa.table({"row_id": row_id, "codes": pa.ListArray.from_arrays(pa.array(at), pa.array(shown.ravel()))})
+    blocks = blocks.where(F.col("u").isin(only_u)) if only_u is not None else blocks
+    rows = box.segments.where("segment = 'row_latents'").unionByName(blocks)
+    pack, order, freq, step = box.pack, box.order, box.freq, box.chunk_rows
+
+    def decode_chunk(key, parts):
+        held = parts.to_pylist()
+        if any(zlib.crc32(p["payload"]) != p["crc"] for p in held):
+            raise ValueError(f"chunk {key[0].as_py()} is damaged")
+        head = next(p for p in held if p["segment"] == "row_latents")
+        m, gaps = head["n_symbols"], head["u"]
+        first = key[0].as_py() * step
+        row_id = np.arange(first, first + m)
+        if gaps:
+            row_id = first + np.cumsum(np.frombuffer(zstd.zstandard.ZstdDecompressor().decompress(head["payload"][:gaps]), "<i8"))
+        u = label_decode(head["payload"][gaps:], m, k_r, head["coder"], pack) if k_r > 1 else np.zeros(m, np.int64)
+        cells, there = np.zeros((m, n), np.int16), np.zeros(m, bool)
+        for b in held:
+            if b["segment"] != "blocks":
+                continue
+            seq = _decode(b["payload"], b["n_symbols"], b["coder"], pack, card, freq.get((b["u"], b["v"])))
+            own, mine = members[b["v"]], np.flatnonzero(u == b["u"])
+            cells[np.ix_(mine, own)] = seq.reshape(-1, len(own)) if order == "row" else seq.reshape(len(own), -1).T
+            there[mine] = True
+        shown = cells[there][:, show]
+        at = np.arange(len(shown) + 1, dtype=np.int32) * shown.shape[1]
+        return pa.table({"row_id": row_id[there], "codes": pa.ListArray.from_arrays(pa.array(at), pa.array(shown.ravel()))})
 
-    pair = labels.groupBy("u", "chunk_id").cogroup(blocks.groupBy("u", "chunk_id"))
-    return pair.applyInArrow(decode_group, "row_id long, codes array<smallint>")
+    return rows.groupBy("chunk_id").applyInArrow(decode_chunk, "row_id long, codes array<smallint>")
 
 
 def size_breakdown(box: Container) -> DataFrame:
     """``segment, n_bits`` and their total."""
-    spark = box.blocks.sparkSession
+    spark = box.segments.sparkSession
     rows = [(k, v) for k, v in box.bits.items()] + [("total", box.coded_bits)]
     return spark.createDataFrame(rows, "segment string, n_bits double")
 
 
+@dataclass(frozen=True)
+class Coding:
+    """One way to code a table: a coder, a scan order, column labels, and which of a row's labels it takes (-1: none)."""
+
+    name: str
+    coder: str
+    columns: tuple[int, ...]
+    which: int = -1
+    order: str = "row"
+
+
+SIZES = "coding int, u int, n_bits double"
+
+
+def coded_sizes(codes: DataFrame, cards: list[int], codings: list[Coding], pack: str = "byte") -> list[dict[str, float]]:
+    """Size by segment of ``codes(row_id, us, codes)`` under each coding, as ``compress`` would make it: all in one shuffle.
+
+    Symbol counts of all codings come from one scan; then each row goes once for each coding to its (coding, row
+    label, chunk) group, and its label to a (coding, chunk) group. Nothing but sizes is kept.
+    """
+    n, card = len(cards), max(cards)
+    chunk_rows = max(1, min(CHUNK_ROWS, CHUNK_CELLS // n))
+    cols = [np.array(c.columns) for c in codings]
+    k_c = [int(v.max()) + 1 for v in cols]
+    spark = codes.sparkSession
+    us = F.array(*[F.get("us", F.lit(c.which)) if c.which >= 0 else F.lit(0) for c in codings]).alias("us")
+    table = codes.select("row_id", us, "codes")
+    counted = [i for i, c in enumerate(codings) if c.coder == "rans"]
+
+    def count(batches):
+        totals: dict[tuple[int, int], np.ndarray] = {}
+        for batch in batches:
+            if not batch.num_rows:
+                continue
+            cells = batch.column("codes").flatten().to_numpy(zero_copy_only=False).astype(np.int64).reshape(batch.num_rows, n)
+            own = batch.column("us").flatten().to_numpy(zero_copy_only=False).reshape(batch.num_rows, -1)
+            for i in counted:
+                for u in np.unique(own[:, i]).tolist():
+                    flat = cells[own[:, i] == u] + cols[i] * card
+                    add = np.bincount(flat.ravel(), minlength=k_c[i] * card)
+                    totals[i, u] = totals.get((i, u), 0) + add
+        rows = [(i, u, j, int(t[j])) for (i, u), t in totals.items() for j in np.flatnonzero(t).tolist()]
+        columns = list(zip(*rows, strict=True)) or [()] * 4
+        yield pa.record_batch([pa.array(c, t) for c, t in zip(columns, (pa.int32(), pa.int32(), pa.int32(), pa.int64()), strict=True)], names=["i", "u", "j", "c"])
+
+    freq: dict[tuple[int, int, int], tuple[np.ndarray, int]] = {}
+    out = [{"header": 0.0, "row_latents": 0.0, "col_latents": 0.0, "counts": 0.0, "blocks": 0.0} for _ in codings]
+    if counted:
+        found = table.select("us", "codes").mapInArrow(count, "i int, u int, j int, c long").groupBy("i", "u", "j").agg(F.sum("c").alias("c")).collect()  # codings x labels x symbols
+        sums: dict[tuple[int, int, int], np.ndarray] = {}
+        for r in found:
+            sums.setdefault((r.i, r.u, r.j // card), np.zeros(card, np.int64))[r.j % card] = r.c
+        for (i, u, v), c in sums.items():
+            freq[i, u, v] = rans.scaled(c)
+            out[i]["counts"] += 8 * len(write_counts(c))
+
+    def code_group(key, part):
+        i, u = key[0].as_py(), key[1].as_py()
+        part = part.sort_by("row_id").combine_chunks()
+        cells = part.column("codes").combine_chunks().flatten().to_numpy(zero_copy_only=False).reshape(-1, n)
+        total, c = 0, codings[i]
+        for v in range(k_c[i]):
+            block = cells[:, cols[i] == v]
+            seq = (block if c.order == "row" else block.T).ravel().astype(np.int64)
+            total += 8 * len(_encode(seq, c.coder, pack, card, freq.get((i, u, v))))
+        return pa.table({"coding": pa.array([i], pa.int32()), "u": pa.array([u], pa.int32()), "n_bits": pa.array([float(total)])})
+
+    each = table.select("row_id", "codes", F.posexplode("us").alias("coding", "u"), F.floor(F.col("row_id") / chunk_rows).alias("chunk"))
+    sizes = each.groupBy("coding", "u", "chunk").applyInArrow(code_group, SIZES).groupBy("coding", "u").agg(F.sum("n_bits").alias("b")).collect()  # codings x labels
+    k_r = [1 + max([r.u for r in sizes if r.coding == i], default=0) for i in range(len(codings))]
+    for r in sizes:
+        out[r.coding]["blocks"] += r.b
+    labelled = [i for i, k in enumerate(k_r) if k > 1]
+
+    def code_labels(key, part):
+        i = key[0].as_py()
+        u = part.sort_by("row_id").column("u").to_numpy().astype(np.int64)
+        return pa.table({"coding": pa.array([i], pa.int32()), "u": pa.array([0], pa.int32()), "n_bits": pa.array([8.0 * len(label_encode(u, k_r[i], codings[i].coder, pack))])})
+
+    if labelled:
+        rows = table.select("row_id", F.posexplode("us").alias("coding", "u"), F.floor(F.col("row_id") / chunk_rows).alias("chunk")).where(F.col("coding").isin(labelled))
+        for r in rows.groupBy("coding", "chunk").applyInArrow(code_labels, SIZES).groupBy("coding").agg(F.sum("n_bits").alias("b")).collect():
+            out[r.coding]["row_latents"] = r.b
+    m = codes.count()
+    width = math.ceil(math.log2(m * n + 1)) if m else 1
+    for i, c in enumerate(codings):
+        if k_c[i] not in (1, n):
+            out[i]["col_latents"] = 8.0 * len(label_encode(cols[i], k_c[i], c.coder, pack))
+        pairs = k_r[i] * k_c[i]
+        out[i]["header"] = 8.0 * (HEADER.size + (-(-(pairs + 2) * width // 8) if pairs > 1 else 0))
+    return out
+
+
 def row_scores(codes: DataFrame, logq: np.ndarray, log_row: np.ndarray, columns: np.ndarray) -> DataFrame:
     """``row_id, u, entropy``: likeliest label of each row under a block model, and the labels' posterior entropy in bits."""
     k_r = len(log_row)

@@ -60,6 +60,15 @@ def ideal_sizes(hist: DataFrame, by: list[str], counts_as: str = "long") -> Data
     return rows.groupBy(*by).agg(F.sum("c").alias("n"), F.sum("code_bits").alias("code_bits"), F.sum("count_bits").alias("count_bits"))
 
 
+def tv_distances(hist: DataFrame) -> DataFrame:
+    """``u, v, u2, v2, tv``: total variation between the laws of each two blocks of a histogram, over any symbols."""
+    law = hist.withColumn("p", F.col("cnt") / F.sum("cnt").over(Window.partitionBy("u", "v"))).select("u", "v", "code", "p")
+    sides = [law.groupBy("u", "v").agg(F.map_from_entries(F.collect_list(F.struct("code", "p"))).alias("p")).select(F.col("u").alias(f"u{e}"), F.col("v").alias(f"v{e}"), F.col("p").alias(f"p{e}")) for e in ("", "2")]
+    pairs = sides[0].join(sides[1], (F.col("u") < F.col("u2")) | ((F.col("u") == F.col("u2")) & (F.col("v") < F.col("v2"))))  # a row for each block
+    each = F.map_zip_with("p", "p2", lambda k, a, b: F.abs(F.coalesce(a, F.lit(0.0)) - F.coalesce(b, F.lit(0.0))))
+    return pairs.select("u", "v", "u2", "v2", (F.aggregate(F.map_values(each), F.lit(0.0), lambda s, x: s + x) / 2).alias("tv"))
+
+
 def label_sizes(labels: DataFrame, label: str) -> DataFrame:
     """One row: ideal bits of the labels and of their counts."""
     hist = labels.groupBy(F.col(label).alias("code")).agg(F.count("*").alias("cnt")).withColumn("side", F.lit(label))

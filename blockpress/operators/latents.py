@@ -93,7 +93,7 @@ def project(x: DataFrame, basis: np.ndarray) -> DataFrame:
 
 
 def transposed_product(x: DataFrame, basis: np.ndarray) -> np.ndarray:
-    """X'(X basis) in one scan."""
+    """X'(X basis) in one scan. A task gives one product; groups of tasks add up before the driver."""
     n, d = basis.shape
 
     def part(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
@@ -104,8 +104,17 @@ def transposed_product(x: DataFrame, basis: np.ndarray) -> np.ndarray:
                 total += m.T @ (m @ basis)
         yield pa.record_batch([pa.array([total.tobytes()], pa.binary())], names=["t"])
 
+    def add(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+        total = np.zeros(n * d)
+        for batch in batches:
+            for t in batch.column("t").to_pylist():
+                total += np.frombuffer(t)
+        yield pa.record_batch([pa.array([total.tobytes()], pa.binary())], names=["t"])
+
     out = np.zeros((n, d))
-    for r in x.select("x").mapInArrow(part, "t binary").toLocalIterator():
+    parts = x.select("x").mapInArrow(part, "t binary")
+    groups = max(1, int(parts.rdd.getNumPartitions() ** 0.5))
+    for r in parts.repartition(groups).mapInArrow(add, "t binary").toLocalIterator():
         out += np.frombuffer(bytes(r.t)).reshape(n, d)
     return out
 
@@ -197,6 +206,78 @@ def kmeans_rows(rows: DataFrame, k: int, seed: int = 42, init: str = "random", u
     return found.select("row_id", rank[F.col("p")].cast("int").alias("u"))
 
 
+def kmeans_many(rows: DataFrame, specs: list[tuple[int, int, int]], iterations: int = 40) -> DataFrame:
+    """``row_id, us ARRAY<INT>``: one plain start of k-means for each ``(k, width, seed)``, all in the same scans.
+
+    Centres begin at different points drawn by hash. A scan adds up each cluster's points in its tasks; what
+    reaches the driver is a sum for each start and cluster. A centre without points stays. Labels go by size.
+    """
+    points = kept(rows.select("row_id", "a"), "points")
+    most = max((k for k, _, _ in specs), default=1)
+    distinct = points.groupBy("a").agg(F.min("row_id").alias("r"))
+    centres: list[np.ndarray] = []
+    for k, width, seed in specs:
+        cut = F.slice("a", 1, width).alias("a")
+        first = distinct.select("r", cut).orderBy(F.xxhash64("r", F.lit(seed)), "r").limit(4 * most).collect() if k > 1 else []  # a few points
+        seen: list[list[float]] = []
+        for r in first:
+            if list(r.a) not in seen and len(seen) < k:
+                seen.append(list(r.a))
+        centres.append(np.array(seen or [[0.0] * width]))
+
+    def nearest(a: np.ndarray, now: list[np.ndarray]) -> np.ndarray:
+        out = np.zeros((len(a), len(specs)), np.int32)
+        for s, ((k, width, _), c) in enumerate(zip(specs, now, strict=True)):
+            if k > 1:
+                out[:, s] = ((c**2).sum(axis=1) - 2 * a[:, :width] @ c.T).argmin(axis=1)
+        return out
+
+    live = [s for s, (k, _, _) in enumerate(specs) if k > 1]
+    for _ in range(iterations if live else 0):
+        now = list(centres)
+
+        def part(batches: Iterator[pa.RecordBatch], now=now) -> Iterator[pa.RecordBatch]:
+            total = {s: np.zeros((len(now[s]), specs[s][1] + 1)) for s in live}
+            for batch in batches:
+                if not batch.num_rows:
+                    continue
+                a = _matrix(batch.column("a"))
+                own = nearest(a, now)
+                for s in live:
+                    for c in range(len(now[s])):
+                        mine = a[own[:, s] == c, : specs[s][1]]
+                        total[s][c, :-1] += mine.sum(axis=0)
+                        total[s][c, -1] += len(mine)
+            yield pa.record_batch([pa.array(live, pa.int32()), pa.array([total[s].ravel().tolist() for s in live], pa.list_(pa.float64()))], names=["s", "t"])
+
+        sums = points.select("a").mapInArrow(part, "s int, t array<double>")
+        cells = sums.select("s", F.posexplode("t").alias("j", "x")).groupBy("s", "j").agg(F.sum("x").alias("x")).collect()  # starts x clusters x widths
+        moved = False
+        flat = {s: np.zeros(len(centres[s]) * (specs[s][1] + 1)) for s in live}
+        for r in cells:
+            flat[r.s][r.j] = r.x
+        for s in live:
+            t = flat[s].reshape(len(centres[s]), -1)
+            new = np.where(t[:, -1:] > 0, t[:, :-1] / np.maximum(t[:, -1:], 1), centres[s])
+            moved |= not np.allclose(new, centres[s], atol=1e-12)
+            centres[s] = new
+        if not moved:
+            break
+
+    def label(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+        for batch in batches:
+            if batch.num_rows:
+                own = nearest(_matrix(batch.column("a")), centres)
+                at = np.arange(len(own) + 1, dtype=np.int32) * len(specs)
+                yield pa.record_batch([batch.column("row_id"), pa.ListArray.from_arrays(pa.array(at), pa.array(own.ravel()))], names=["row_id", "us"])
+
+    found = kept(points.mapInArrow(label, "row_id long, us array<int>"), "starts")
+    sizes = found.select(F.posexplode("us").alias("s", "u")).groupBy("s", "u").agg(F.count("*").alias("c")).collect()  # starts x clusters
+    rank = [{u: i for i, (_, u) in enumerate(sorted((-r.c, r.u) for r in sizes if r.s == s))} for s in range(len(specs))]
+    names = F.array(*[F.array(*[F.lit(rank[s].get(u, 0)) for u in range(most)]) for s in range(len(specs))])
+    return found.select("row_id", F.zip_with("us", names, lambda u, n: F.element_at(n, u + 1)).alias("us"))
+
+
 def threshold_labels(points: np.ndarray, theta: float) -> np.ndarray:
     """Components of the graph that joins points no farther apart than ``theta`` times their mean norm."""
     n, norm = len(points), np.linalg.norm(points, axis=1)

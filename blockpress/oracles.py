@@ -153,4 +153,6 @@ ORACLES: dict[str, str] = {
 
 
 def oracle_sql() -> dict[str, str]:
-    return dict(ORACLES)
+    from blockpress import oracles_measures
+
+    return ORACLES | oracles_measures.ORACLES

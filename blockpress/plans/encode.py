@@ -1,9 +1,9 @@
 """From a raw table to a table of categorical codes.
 
 Columns with at most ``max_card`` values become dictionary codes, numeric ones with more become
-quantile codes, others are dropped. The codebook is fitted once and small (``max_card`` rows a column
-at most), so it goes to the driver and into the plan as constants; encoding is one narrow projection.
-NULL is a symbol of its own, coded behind the values.
+quantile codes, others are dropped. The codebook is fitted once, in two scans, and small (``max_card``
+rows a column at most), so it goes to the driver and into the plan as constants; encoding is one narrow
+projection. NULL is a symbol of its own, coded behind the values.
 """
 
 from __future__ import annotations
@@ -96,25 +96,33 @@ class Codebook:
 
 
 def fit_codebook(df: DataFrame, max_card: int = MAX_CARD, bins: int = BINS, exact: bool = True) -> Codebook:
-    """Fit codes to ``df``. ``exact`` quantiles for tests and small data, sketches (``exact=False``) at scale."""
-    kinds = {r.col_name: r.kind for r in profile_columns(df, max_card).collect()}
-    nulls = df.agg(*[F.count_if(F.col(c).isNull()).alias(c) for c in df.columns]).first()
-    fitted = {}
-    named = [c for c in df.columns if kinds[c] == "C"]
-    if named:
-        # distinct (column, value) pairs: max_card rows a column at most, combined before the shuffle
-        sets = df.agg(*[F.array_sort(F.collect_set(F.col(c))).alias(c) for c in named]).first()
-        fitted |= {c: ColumnCodes(c, "C", list(sets[c])) for c in named}
-    ranged = [c for c in df.columns if kinds[c] == "Q"]
-    if ranged:
-        at = [k / bins for k in range(1, bins)]
-        asked = F.array(*[F.lit(a) for a in at])
-        cut = (lambda c: F.percentile(numeric(df, c), asked)) if exact else (lambda c: F.percentile_approx(numeric(df, c), asked, 10000))
-        cuts = df.agg(*[cut(c).alias(c) for c in ranged]).first()
-        fitted |= {c: ColumnCodes(c, "Q", cuts=[float(x) for x in cuts[c]]) for c in ranged}
-    for c, codes in fitted.items():
-        codes.has_null = nulls[c] > 0
-    return Codebook([fitted[c] for c in df.columns if c in fitted], [c for c in df.columns if c not in fitted])
+    """Fit codes to ``df``: one scan of sketches and null counts, one of value sets and quantiles.
+
+    ``exact`` quantiles hold a column's different values in one task; ``exact=False`` takes mergeable sketches
+    with a rank error of one in 10,000 and is for columns of unbounded variety.
+    """
+    names = df.columns
+    rough = df.agg(*[F.approx_count_distinct(F.col(c), 0.05).alias(f"d{j}") for j, c in enumerate(names)], *[F.count_if(F.col(c).isNull()).alias(f"n{j}") for j, c in enumerate(names)]).first()
+    asked = F.array(*[F.lit(k / bins) for k in range(1, bins)])
+    cut = (lambda c: F.percentile(numeric(df, c), asked)) if exact else (lambda c: F.percentile_approx(numeric(df, c), asked, 10000))
+    wanted = []
+    for j, c in enumerate(names):
+        if rough[f"d{j}"] <= 2 * max_card:  # by the sketch's error, no column within the limit is beyond this
+            wanted.append(F.array_sort(F.collect_set(F.col(c))).alias(f"v{j}"))
+        if rough[f"d{j}"] > max_card // 2 and is_numeric(df.schema[c].dataType):
+            wanted.append(cut(c).alias(f"q{j}"))
+    found = df.agg(*wanted).first() if wanted else None
+    fields = set(found.__fields__) if found else set()
+    columns, dropped = [], []
+    for j, c in enumerate(names):
+        has_null = rough[f"n{j}"] > 0
+        if f"v{j}" in fields and len(found[f"v{j}"]) <= max_card:
+            columns.append(ColumnCodes(c, "C", list(found[f"v{j}"]), has_null=has_null))
+        elif f"q{j}" in fields:
+            columns.append(ColumnCodes(c, "Q", cuts=[float(x) for x in found[f"q{j}"] or []], has_null=has_null))
+        else:
+            dropped.append(c)
+    return Codebook(columns, dropped)
 
 
 def code_of(df: DataFrame, codes: ColumnCodes) -> Column:
@@ -137,6 +145,30 @@ def encode_table(df: DataFrame, book: Codebook, keep: list[str] | None = None) -
     return df.select(*(keep or []), F.array(*[code_of(df, c) for c in book.columns]).alias("codes"))
 
 
+def code_counts(codes: DataFrame) -> DataFrame:
+    """``col_id, code, cnt`` of ``codes(codes)``: a task adds its cells up in arrays, so that only counts are shuffled."""
+    import numpy as np
+    import pyarrow as pa
+
+    def emit(batches):
+        total = None
+        for batch in batches:
+            if not batch.num_rows:
+                continue
+            cells = batch.column("codes").flatten().to_numpy(zero_copy_only=False).astype(np.int64).reshape(batch.num_rows, -1) + 1
+            n = cells.shape[1]
+            wide = max(int(cells.max()) + 1, 0 if total is None else total.shape[1])
+            own = np.bincount((cells + np.arange(n) * wide).ravel(), minlength=n * wide).reshape(n, wide)
+            if total is not None:
+                own[:, : total.shape[1]] += total
+            total = own
+        if total is not None:
+            col, code = np.nonzero(total)
+            yield pa.record_batch([pa.array(col.astype(np.int32)), pa.array((code - 1).astype(np.int32)), pa.array(total[col, code])], names=["col_id", "code", "cnt"])
+
+    return codes.select("codes").mapInArrow(emit, "col_id int, code int, cnt long").groupBy("col_id", "code").agg(F.sum("cnt").alias("cnt"))
+
+
 def assign_row_ids(df: DataFrame, order: list[str | Column]) -> DataFrame:
     """A dense ``row_id`` from 0 in the order given; no task sees more than its range.
 
@@ -159,9 +191,9 @@ def assign_row_ids(df: DataFrame, order: list[str | Column]) -> DataFrame:
 
 
 def shuffle_rows(codes: DataFrame, seed: int = 42) -> DataFrame:
-    """Permute rows: by a hash of their number and the seed, the same in any SQL engine."""
-    key = F.md5(F.concat_ws("|", F.lit(seed).cast("string"), F.col("row_id").cast("string")))
-    return assign_row_ids(codes.withColumn("_k", key), ["_k"]).drop("_k") if "row_id" not in codes.columns else assign_row_ids(codes.withColumnRenamed("row_id", "_r").withColumn("_k", F.md5(F.concat_ws("|", F.lit(str(seed)), F.col("_r").cast("string")))), ["_k"]).drop("_k", "_r")
+    """Permute the rows of ``codes(row_id, ...)``: by a hash of their number and the seed, the same in any SQL engine."""
+    key = F.md5(F.concat_ws("|", F.lit(str(seed)), F.col("_r").cast("string")))
+    return assign_row_ids(codes.withColumnRenamed("row_id", "_r").withColumn("_k", key), ["_k"]).drop("_k", "_r")
 
 
 def to_long(codes: DataFrame) -> DataFrame:
@@ -169,18 +201,29 @@ def to_long(codes: DataFrame) -> DataFrame:
     return codes.select("row_id", F.posexplode("codes").alias("col_id", "code"))
 
 
-def image(codes: DataFrame, cards: list[int], psi: str = "index") -> DataFrame:
-    """Numeric image of the codes: the codes themselves, or scaled to 0..1 by column."""
+def image(codes: DataFrame, cards: list[int], psi: str = "index", values: list[list[float]] | None = None) -> DataFrame:
+    """Numeric image of the codes: ``index`` (the codes), ``scaled`` (to 0..1 by column), ``onehot`` (an indicator for each symbol, columns side by side) or ``mapping`` (``values`` by column and code)."""
     if psi == "index":
         made = F.transform("codes", lambda x: x.cast("double"))
     elif psi == "scaled":
         top = F.array(*[F.lit(float(max(k - 1, 1))) for k in cards])
         made = F.zip_with("codes", top, lambda x, t: x / t)
+    elif psi == "onehot":
+        width = F.array(*[F.lit(int(k)) for k in cards])
+        made = F.flatten(F.zip_with("codes", width, lambda x, k: F.transform(F.sequence(F.lit(0), k - 1), lambda s: (s == x).cast("double"))))
+    elif psi == "mapping":
+        table = F.array(*[F.array(*[F.lit(float(x)) for x in v]) for v in values])
+        made = F.zip_with("codes", table, lambda x, v: F.element_at(v, x.cast("int") + 1))
     else:
         raise ValueError(psi)
     return codes.select("row_id", made.alias("x"))
 
 
+def raw_size(cards: list[int], m: int, unit: str = "KB") -> float:
+    """Uncoded size in kilobytes or megabytes of 1,024."""
+    return raw_bits(cards, m) / 8 / 1024 ** {"B": 0, "KB": 1, "MB": 2}[unit]
+
+
 def raw_bits(cards: list[int], m: int, alphabet: str = "per_column") -> float:
     """Bits of the uncoded table: log2 of each column's alphabet, or of the largest one for all."""
     import math

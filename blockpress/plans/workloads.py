@@ -10,6 +10,7 @@ import pyarrow as pa
 from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 
+from blockpress.operators import codec as C
 from blockpress.operators import latents as L
 from blockpress.operators.codec import compress
 from blockpress.plans.encode import assign_row_ids, encode_table, fit_codebook, image, raw_bits, shuffle_rows
@@ -277,7 +278,7 @@ def code_with(w: Workload, method: str, lat: L.Latents | None = None):
     return compress(labelled, w.cards, lat.columns, "zstd" if method == "latent_lz" else "rans", pack=w.pack)
 
 
-REPORT = "workload string, method string, k_r int, k_c int, shuffled boolean, pack string, raw_bits double, coded_bits double, rate double, drr double, runs int"
+REPORT = "workload string, method string, k_r int, k_c int, shuffled boolean, pack string, raw_bits double, coded_bits double, rate double, drr double, runs int, drr_sd double"
 
 
 def report(spark: SparkSession, sf_dir: str, names: list[str], methods=METHODS, runs: int = 5, shuffled: bool = False, fraction: float = 1.0, **spectral) -> DataFrame:
@@ -289,24 +290,54 @@ def report(spark: SparkSession, sf_dir: str, names: list[str], methods=METHODS,
     return spark.createDataFrame(rows, REPORT)
 
 
-def measure(w: Workload, methods=METHODS, runs: int = 5, shuffled: bool = False, fraction: float = 1.0, **spectral) -> list[tuple]:
-    m, out = w.codes.count(), []
-    raw, x, factors = raw_bits(w.cards, m), None, None
-    for method in methods:
-        sizes, k = [], (1, 1)
-        if method.startswith("latent"):
-            k = w.k_lz if method == "latent_lz" else w.k_ans
-            if x is None:
-                x = kept(image(w.codes, w.cards), "image")
-                extra = 0 if spectral.get("n_components", "k-1") == "k-1" else 1
-                d = max(1, max(w.k_lz[0], w.k_ans[0], *(c for c in (w.k_lz[1], w.k_ans[1]) if c < w.n)) - 1 + extra) if w.n > 1 else 1
-                factors = L.spectral_factors(x, w.n, d, fraction=fraction)
-                factors.rows = kept(factors.rows, "factors")
-            for s in range(runs):
-                lat = L.spectral_latents(x, w.n, *k, seed=100 + s, factors=factors, **spectral)
-                sizes.append(code_with(w, method, lat).coded_bits)
+def labels_of_runs(w: Workload, wanted: list[tuple[int, int]], runs: int, fraction: float = 1.0, n_components: str = "k-1", unit: bool = False, psi: str = "index", init: str = "random", solver: str = "gram") -> tuple[DataFrame, list[list[np.ndarray]]]:
+    """``row_id, us, codes`` and, for each pair of label sizes and each run, the column labels. One plain start a run on both sides."""
+    x = kept(image(w.codes, w.cards, psi), "image")
+    extra = 0 if n_components == "k-1" else 1
+    width = lambda k: max(1, k - 1 + extra)
+    d = min(w.n, max(width(k) for pair in wanted for k in pair if k < w.n or k == pair[0]))
+    factors = L.spectral_factors(x, w.n, d, solver=solver, fraction=fraction)
+    a = F.col("a")
+    if unit:
+        norm = F.sqrt(F.aggregate("a", F.lit(0.0), lambda s, v: s + v * v))
+        a = F.transform("a", lambda v: v / F.greatest(norm, F.lit(1e-300)))
+    specs = [(k_r, min(width(k_r), d), 100 + s) for k_r, _ in wanted for s in range(runs)]
+    if init == "random":
+        found = L.kmeans_many(factors.rows.select("row_id", a.alias("a")), specs)
+    else:
+        rows, found = kept(factors.rows.select("row_id", a.alias("a")), "factors"), None
+        for j, (k, size, seed) in enumerate(specs):
+            one = L.kmeans_rows(rows.select("row_id", F.slice("a", 1, size).alias("a")), k, seed, init).withColumnRenamed("u", f"u{j}")
+            found = one if found is None else found.join(one, "row_id")
+        found = found.select("row_id", F.array(*[F.col(f"u{j}").cast("int") for j in range(len(specs))]).alias("us"))
+    columns = []
+    for _, k_c in wanted:
+        if k_c >= w.n or k_c <= 1:
+            columns.append([np.arange(w.n) if k_c >= w.n else np.zeros(w.n, int)] * runs)
         else:
-            sizes.append(code_with(w, method).coded_bits)
-        coded = min(sum(sizes) / len(sizes), 1e300)
-        out.append((w.name, method, k[0], k[1], shuffled, w.pack, raw, coded, coded / raw, 1 - coded / raw, len(sizes)))
+            columns.append([L.kmeans_small(factors.columns[:, : min(width(k_c), d)], k_c, 100 + s, starts=1) for s in range(runs)])
+    return kept(w.codes.join(found, "row_id").select("row_id", "us", "codes"), "labelled"), columns
+
+
+def measure(w: Workload, methods=METHODS, runs: int = 5, shuffled: bool = False, fraction: float = 1.0, **spectral) -> list[tuple]:
+    """``REPORT`` rows of one workload: all methods and all runs are coded in one pass."""
+    m = w.codes.count()
+    raw = raw_bits(w.cards, m)
+    none, each = (0,) * w.n, tuple(range(w.n))
+    flat = {"lz": C.Coding("lz", "zstd", none), "lz_c": C.Coding("lz_c", "zstd", none, order="col"), "ans_table": C.Coding("ans_table", "rans", none), "ans_column": C.Coding("ans_column", "rans", each)}
+    latent = [x for x in methods if x.startswith("latent")]
+    wanted = [w.k_lz if x == "latent_lz" else w.k_ans for x in latent]
+    codings = [flat[x] for x in methods if x in flat]
+    rows = w.codes.withColumn("us", F.array().cast("array<int>"))
+    if latent:
+        rows, columns = labels_of_runs(w, wanted, runs, fraction, **spectral)
+        for i, x in enumerate(latent):
+            codings += [C.Coding(x, "zstd" if x == "latent_lz" else "rans", tuple(columns[i][s].tolist()), i * runs + s) for s in range(runs)]
+    sizes = [sum(s.values()) for s in C.coded_sizes(rows, w.cards, codings, w.pack)]
+    out = []
+    for x in methods:
+        got = np.array([s for s, c in zip(sizes, codings, strict=True) if c.name == x])
+        k = wanted[latent.index(x)] if x in latent else (1, 1)
+        coded = float(got.mean())
+        out.append((w.name, x, int(k[0]), int(k[1]), shuffled, w.pack, raw, coded, coded / raw, 1 - coded / raw, len(got), float((1 - got / raw).std(ddof=1)) if len(got) > 1 else 0.0))
     return out
