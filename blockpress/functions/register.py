@@ -31,13 +31,16 @@ def rans_bits(codes: pd.Series) -> pd.Series:
     return codes.map(size)
 
 
-@pandas_udf("double")
-def entropy_bits(counts: pd.Series) -> float:
-    """Entropy in bits of a group's counts, as a grouped aggregate: groups are histograms, so they are small."""
+def _entropy_of(counts: pd.Series) -> float:
     c = counts[counts > 0].to_numpy(float)
     return float((c * np.log2(c.sum() / c)).sum() / c.sum()) if len(c) else 0.0
 
 
+def entropy_bits(counts):
+    """Entropy in bits of a group's counts, as a grouped aggregate: groups are histograms, so they are small."""
+    return pandas_udf(_entropy_of, "double")(counts)
+
+
 class Bits:
     """Rows ``place, bit`` of a binary value, the highest bit of the first byte first."""
 
@@ -60,7 +63,7 @@ def register_functions(spark: SparkSession) -> None:
     spark.udf.register("zstd_bits", pandas_udf(zstd_bits, "long"))
     spark.udf.register("lz_bits", pandas_udf(lz_bits, "long"))
     spark.udf.register("rans_bits", pandas_udf(rans_bits, "long"))
-    spark.udf.register("entropy_bits", entropy_bits)
+    spark.udf.register("entropy_bits", pandas_udf(_entropy_of, "double"))
     spark.udtf.register("bits", udtf(Bits, returnType="place int, bit int"))
     spark.udtf.register("lz_phrases", udtf(LzPhrases, returnType="phrase_no int, start long, length long, pointer long"))
     sql = {

@@ -206,11 +206,12 @@ def kmeans_rows(rows: DataFrame, k: int, seed: int = 42, init: str = "random", u
     return found.select("row_id", rank[F.col("p")].cast("int").alias("u"))
 
 
-def kmeans_many(rows: DataFrame, specs: list[tuple[int, int, int]], iterations: int = 40) -> DataFrame:
+def kmeans_many(rows: DataFrame, specs: list[tuple[int, int, int]], iterations: int = 30, tolerance: float = 1e-3) -> DataFrame:
     """``row_id, us ARRAY<INT>``: one plain start of k-means for each ``(k, width, seed)``, all in the same scans.
 
     Centres begin at different points drawn by hash. A scan adds up each cluster's points in its tasks; what
-    reaches the driver is a sum for each start and cluster. A centre without points stays. Labels go by size.
+    reaches the driver is a sum for each start and cluster. It ends when no centre moves by more than
+    ``tolerance`` of their spread. A centre without points stays. Labels go by size.
     """
     points = kept(rows.select("row_id", "a"), "points")
     most = max((k for k, _, _ in specs), default=1)
@@ -259,7 +260,7 @@ def kmeans_many(rows: DataFrame, specs: list[tuple[int, int, int]], iterations:
         for s in live:
             t = flat[s].reshape(len(centres[s]), -1)
             new = np.where(t[:, -1:] > 0, t[:, :-1] / np.maximum(t[:, -1:], 1), centres[s])
-            moved |= not np.allclose(new, centres[s], atol=1e-12)
+            moved |= np.abs(new - centres[s]).max(initial=0) > tolerance * max(np.abs(new - new.mean(axis=0)).max(initial=0), 1e-300)
             centres[s] = new
         if not moved:
             break

@@ -174,32 +174,131 @@ def word_presence(spark: SparkSession, sf_dir: str, n: int = 200) -> tuple[DataF
 PAIR_BLOCK = 1024
 
 
+#: Words of a block pair that one matrix product takes.
+WORD_SLICE = 8192
+
+
+def _block_pairs(rows: DataFrame, key: str) -> DataFrame:
+    """``rows`` dealt out as pairs of blocks: ``lo, hi`` and each row's ``own`` block. Every two rows meet in one pair of blocks."""
+    blocks = max(1, -(-rows.count() // PAIR_BLOCK))
+    dealt = rows.withColumn("own", F.pmod(F.xxhash64(key), F.lit(blocks)).cast("int"))
+    dealt = dealt.withColumn("other", F.explode(F.sequence(F.lit(0), F.lit(blocks - 1))))
+    return dealt.withColumn("lo", F.least("own", "other")).withColumn("hi", F.greatest("own", "other")).drop("other")
+
+
+def _sides(part: pa.Table) -> tuple[np.ndarray, np.ndarray]:
+    own = part.column("own").to_numpy()
+    return tuple(np.flatnonzero(own == part.column(c)[0].as_py()) for c in ("lo", "hi"))
+
+
+def _jaccard(part: pa.Table, first: np.ndarray, second: np.ndarray) -> tuple[np.ndarray, np.ndarray]:
+    """Common words and joint words of the sets of each two rows, as matrix products over slices of the words."""
+    lists = part.column("words").combine_chunks()
+    size = lists.value_lengths().to_numpy(zero_copy_only=False).astype(np.int64)
+    code = lists.flatten().dictionary_encode()
+    at, row = code.indices.to_numpy(zero_copy_only=False), np.repeat(np.arange(len(size)), size)
+    common = np.zeros((len(first), len(second)))
+    for lo in range(0, len(code.dictionary), WORD_SLICE):
+        here = (at >= lo) & (at < lo + WORD_SLICE)
+        cells = np.zeros((len(size), min(WORD_SLICE, len(code.dictionary) - lo)), np.float32)
+        cells[row[here], at[here] - lo] = 1
+        common += cells[first] @ cells[second].T
+    return common, size[first][:, None] + size[second][None, :] - common
+
+
 def jaccard_pairs(words: DataFrame, threshold: float) -> DataFrame:
-    """``src, dst`` with ``src < dst``: documents whose sets in ``words(doc_id, word)``, few different words, are that alike.
+    """``src, dst`` with ``src < dst``: documents whose sets in ``words(doc_id, word)`` are that alike.
 
-    Documents are dealt out as pairs of blocks, and a block pair's common words are one matrix product.
+    Documents are dealt out as pairs of blocks, and a block pair's common words are matrix products.
     """
     sets = kept(words.groupBy("doc_id").agg(F.collect_set("word").alias("words")), "words")
-    blocks = max(1, -(-sets.count() // PAIR_BLOCK))
-    dealt = sets.withColumn("own", F.pmod(F.xxhash64("doc_id"), F.lit(blocks)).cast("int"))
-    dealt = dealt.select("doc_id", "words", "own", F.explode(F.sequence(F.lit(0), F.lit(blocks - 1))).alias("other"))
-    dealt = dealt.select("doc_id", "words", "own", F.least("own", "other").alias("lo"), F.greatest("own", "other").alias("hi"))
 
     def alike(_, part):
-        ids, own = part.column("doc_id").to_numpy(), part.column("own").to_numpy()
-        lists = part.column("words").combine_chunks()
-        size = lists.value_lengths().to_numpy(zero_copy_only=False).astype(np.int64)
-        code = lists.flatten().dictionary_encode()
-        cells = np.zeros((len(ids), len(code.dictionary)), np.float32)
-        cells[np.repeat(np.arange(len(ids)), size), code.indices.to_numpy(zero_copy_only=False)] = 1
-        first, second = (np.flatnonzero(own == part.column(c)[0].as_py()) for c in ("lo", "hi"))
-        common = (cells[first] @ cells[second].T).astype(np.float64)
-        i, j = np.nonzero(common >= threshold * (size[first][:, None] + size[second][None, :] - common))
+        ids = part.column("doc_id").to_numpy()
+        first, second = _sides(part)
+        common, joint = _jaccard(part, first, second)
+        i, j = np.nonzero(common >= threshold * joint)
         a, b = ids[first[i]], ids[second[j]]
         once = a < b if part.column("lo")[0] == part.column("hi")[0] else a != b
         return pa.table({"src": np.minimum(a, b)[once], "dst": np.maximum(a, b)[once]})
 
-    return dealt.groupBy("lo", "hi").applyInArrow(alike, "src long, dst long")
+    return _block_pairs(sets, "doc_id").groupBy("lo", "hi").applyInArrow(alike, "src long, dst long")
+
+
+def _nearest(dealt: DataFrame, likeness: Callable, k: int) -> DataFrame:
+    """``src, dst``: the ``k`` likeliest others of each row, ties by id; a block pair gives ``k`` for each of its rows at most."""
+    from pyspark.sql.window import Window
+
+    def best(_, part):
+        ids, out = part.column("doc_id").to_numpy(), []
+        first, second = _sides(part)
+        like = likeness(part, first, second)
+        turns = [(first, second, like)] if part.column("lo")[0] == part.column("hi")[0] else [(first, second, like), (second, first, like.T)]
+        for mine, others, m in turns:
+            for i, row in zip(mine.tolist(), m, strict=True):
+                order = np.lexsort((ids[others], -row))
+                order = order[others[order] != i][:k]
+                out += [(int(ids[i]), int(ids[others[o]]), float(row[o])) for o in order.tolist()]
+        cols = list(zip(*out, strict=True)) or [()] * 3
+        return pa.table({"src": pa.array(cols[0], pa.int64()), "dst": pa.array(cols[1], pa.int64()), "s": pa.array(cols[2], pa.float64())})
+
+    found = dealt.groupBy("lo", "hi").applyInArrow(best, "src long, dst long, s double")
+    rank = F.row_number().over(Window.partitionBy("src").orderBy(F.desc("s"), "dst"))
+    return found.withColumn("n", rank).where(F.col("n") <= k).select("src", "dst")
+
+
+def word_sets(docs: DataFrame) -> DataFrame:
+    """``doc_id, words``: each document's different words; documents without any have an empty set."""
+    return docs.select("doc_id", F.array_distinct(F.regexp_extract_all(F.lower(F.coalesce("text", F.lit(""))), F.lit(WORD), 0)).alias("words"))
+
+
+def top_documents(docs: DataFrame, k: int = 10) -> DataFrame:
+    """Directed: the ``k`` documents whose whole word sets are likest, ties by id."""
+
+    def like(part, first, second):
+        common, joint = _jaccard(part, first, second)
+        return common / np.maximum(joint, 1)
+
+    return _nearest(_block_pairs(kept(word_sets(docs), "word-sets"), "doc_id"), like, k)
+
+
+def top_embeddings(vectors: DataFrame, k: int = 10) -> DataFrame:
+    """Directed: the ``k`` vectors of ``vectors(doc_id, vector)`` at the least angle, ties by id."""
+
+    def like(part, first, second):
+        x = part.column("vector").combine_chunks().flatten().to_numpy(zero_copy_only=False).astype(np.float64).reshape(part.num_rows, -1)
+        x /= np.maximum(np.linalg.norm(x, axis=1, keepdims=True), 1e-300)
+        return np.round(x[first] @ x[second].T, 9)
+
+    return _nearest(_block_pairs(vectors, "doc_id"), like, k)
+
+
+def adjacency(edges: DataFrame, ids: DataFrame) -> tuple[DataFrame, list[int]]:
+    """0/1 table of ``edges(src, dst)`` over ``ids(doc_id)``, rows and columns in id order."""
+    nodes = kept(assign_row_ids(ids.select("doc_id").distinct(), ["doc_id"]), "nodes")
+    n = nodes.count()
+    ends = edges.join(nodes.select(F.col("doc_id").alias("dst"), F.col("row_id").cast("int").alias("at")), "dst")
+    ones = nodes.join(ends.groupBy(F.col("src").alias("doc_id")).agg(F.collect_list("at").alias("at")), "doc_id", "left")
+    return kept(dense(ones.select("row_id", F.coalesce("at", F.array().cast("array<int>")).alias("at")), n), "codes"), [2] * n
+
+
+def document_network(spark: SparkSession, sf_dir: str, threshold: float = 0.3) -> tuple[DataFrame, list[int]]:
+    """Undirected network of all documents by their whole word sets."""
+    docs = read(spark, sf_dir, "documents").select("doc_id", "text")
+    edges = jaccard_pairs(document_words(docs), threshold)
+    return adjacency(edges.unionByName(edges.select(F.col("dst").alias("src"), F.col("src").alias("dst"))), docs)
+
+
+def directed_network(spark: SparkSession, sf_dir: str) -> tuple[DataFrame, list[int]]:
+    docs = read(spark, sf_dir, "documents").select("doc_id", "text")
+    return adjacency(top_documents(docs), docs)
+
+
+def embedding_network(spark: SparkSession, sf_dir: str) -> tuple[DataFrame, list[int]]:
+    """Directed network of the embeddings: they carry no clusters, so labels should gain nothing."""
+    table = read(spark, sf_dir, "embeddings")
+    vectors = table.select(F.col(table.columns[0]).alias("doc_id"), F.col(next(f.name for f in table.schema if f.dataType.typeName() == "array")).alias("vector"))
+    return adjacency(top_embeddings(kept(vectors, "vectors")), vectors)
 
 
 def network(spark: SparkSession, sf_dir: str, threshold: float = 0.3) -> tuple[DataFrame, list[int]]:
@@ -214,6 +313,18 @@ def network(spark: SparkSession, sf_dir: str, threshold: float = 0.3) -> tuple[D
     return kept(dense(ones.select("row_id", F.coalesce("at", F.array().cast("array<int>")).alias("at")), n), "codes"), [2] * n
 
 
+def supplier_threshold(spark: SparkSession, sf_dir: str) -> int:
+    """Common orders that about a tenth of the pairs of suppliers reach: mean and 1.3 standard deviations of a Poisson law."""
+    line, n = read(spark, sf_dir, "lineitem").select("l_orderkey", "l_suppkey").distinct(), read(spark, sf_dir, "supplier").count()
+    per = line.groupBy("l_orderkey").agg(F.count("*").alias("c")).agg(F.sum(F.col("c") * (F.col("c") - 1))).first()[0] or 0
+    mean = per / max(1, n * (n - 1))
+    return max(1, int(np.ceil(mean + 1.3 * mean**0.5)))
+
+
+def supplier_graph(spark: SparkSession, sf_dir: str) -> tuple[DataFrame, list[int]]:
+    return supplier_network(spark, sf_dir, supplier_threshold(spark, sf_dir))
+
+
 def supplier_network(spark: SparkSession, sf_dir: str, common: int) -> tuple[DataFrame, list[int]]:
     """Suppliers that share at least ``common`` orders."""
     line = kept(read(spark, sf_dir, "lineitem").select("l_orderkey", "l_suppkey").distinct(), "supply")
@@ -240,6 +351,11 @@ EXPERIMENTS: dict[str, tuple[Callable, tuple[int, int], tuple[int, int], str]] =
     "flat": (flat_table, (9, 9), (5, 8), "byte"),
     "flat18": (flat_table_18, (9, 15), (5, 14), "byte"),
     "network": (network, (5, 5), (5, 5), "byte"),
+    "network_words": (document_network, (5, 5), (5, 5), "byte"),
+    "network_dense": (lambda spark, sf_dir: document_network(spark, sf_dir, 0.2), (5, 5), (5, 5), "byte"),
+    "network_directed": (directed_network, (5, 5), (5, 5), "byte"),
+    "network_suppliers": (supplier_graph, (5, 5), (5, 5), "byte"),
+    "network_embeddings": (embedding_network, (5, 5), (5, 5), "byte"),
     "transactions": (transactions, (3, 0), (3, 0), "byte"),
     "neighbours": (neighbours, (6, 7), (2, 6), "byte"),
     "wide55": (wide_55, (6, 17), (6, 17), "byte"),

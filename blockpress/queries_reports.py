@@ -1,0 +1,157 @@
+"""The results table line by line, the simulations, and the networks."""
+
+from __future__ import annotations
+
+import numpy as np
+from pyspark.sql import DataFrame, SparkSession
+from pyspark.sql import functions as F
+
+from blockpress.operators import codec as C
+from blockpress.operators import joins as J
+from blockpress.plans import encode as P
+from blockpress.plans import workloads as W
+from blockpress.queries import query
+
+#: Registered line of the results table: experiment, and whether its rows are permuted first.
+LINES = (
+    ("flat", False), ("flat18", False), ("network_words", False), ("network_dense", False), ("network_directed", False), ("network_suppliers", False),
+    ("network_embeddings", False), ("wide55", True), ("transactions", True), ("wide68", False), ("ratings", False),
+)
+
+
+def _line(name: str, shuffled: bool):
+    def run(spark: SparkSession, sf_dir: str) -> DataFrame:
+        return W.report(spark, sf_dir, [name], runs=5, shuffled=shuffled)
+
+    run.__name__ = f"results_{name}" + ("_permuted" if shuffled else "")
+    run.__doc__ = f"All six methods on the {name} table, latent ones as the mean over five starts."
+    return query(run)
+
+
+for _name, _shuffled in LINES:
+    _line(_name, _shuffled)
+
+
+@query
+def ten_percent_rows(spark: SparkSession, sf_dir: str) -> DataFrame:
+    """Data reduction on the wide tables with all rows' factors and with those of a tenth."""
+    out = None
+    for name, shuffled in (("wide55", True), ("wide68", False)):
+        for fraction in (1.0, 0.1):
+            one = W.report(spark, sf_dir, [name], methods=["latent_ans"], runs=5, shuffled=shuffled, fraction=fraction).select("workload", F.lit(fraction).alias("fraction"), "drr", "drr_sd")
+            out = one if out is None else out.unionByName(one)
+    return out
+
+
+@query
+def doc_word_set_edges(spark: SparkSession, sf_dir: str) -> DataFrame:
+    """Edges of the undirected network: documents whose whole word sets are alike."""
+    return W.jaccard_pairs(W.document_words(W.read(spark, sf_dir, "documents").select("doc_id", "text")), 0.3)
+
+
+@query
+def doc_top10_edges(spark: SparkSession, sf_dir: str) -> DataFrame:
+    """Edges of the directed network: each document's ten likest by whole word sets."""
+    return W.top_documents(W.read(spark, sf_dir, "documents").select("doc_id", "text"))
+
+
+def _round_trip(coder: str):
+    def run(spark: SparkSession, sf_dir: str) -> DataFrame:
+        from blockpress.sources.container import read_container, write_container
+        from blockpress.sources.storage import new_path
+
+        codes, cards = W.word_presence(spark, sf_dir)
+        box = C.compress(codes.withColumn("u", F.pmod(F.xxhash64("row_id"), F.lit(4)).cast("int")), cards, np.arange(len(cards)) % 5, coder, pack="bits", fallback=True)
+        path = new_path(spark, "container")
+        write_container(box, path)
+        again = read_container(spark, path)
+        same = J.multiset_equal(codes.select("row_id", "codes"), C.decompress(again))
+        stored = again.segments.agg(F.sum(8 * F.length("payload"))).first()[0]
+        return spark.createDataFrame([(codes.count(), same, float(stored) == box.coded_bits, box.coded_bits <= P.raw_bits(cards, box.m) + 8 * (C.HEADER.size + 2 * 200))], "n long, same boolean, sized boolean, within_raw boolean")
+
+    run.__name__ = f"container_round_trip_{coder}"
+    run.__doc__ = "Write a container, decode it from its files alone, and hold its size against theirs."
+    return query(run)
+
+
+for _coder in ("rans", "zstd", "lz"):
+    _round_trip(_coder)
+
+
+@query
+def predicate_on_codes(spark: SparkSession, sf_dir: str) -> DataFrame:
+    """Orders found on the compressed table by predicates on values: equality, IN, LIKE and a range."""
+    from blockpress.sources.container import rows_where
+
+    df = W.read(spark, sf_dir, "orders").select("o_orderkey", "o_orderpriority", "o_orderstatus")
+    book = P.fit_codebook(df.drop("o_orderkey"))
+    codes = P.encode_table(P.assign_row_ids(df, ["o_orderkey"]), book, ["row_id"])
+    box = C.compress(codes.withColumn("u", F.pmod("row_id", F.lit(3)).cast("int")), book.cards, np.array([0, 1]))
+    asked = (("o_orderpriority", "o_orderpriority LIKE '%U%'"), ("o_orderstatus", "o_orderstatus IN ('F', 'P')"), ("o_orderstatus", "o_orderstatus = 'O'"), ("o_orderpriority", "o_orderpriority > '3'"))
+    out = None
+    for column, predicate in asked:
+        one = rows_where(box, book, column, predicate).agg(F.count("*").alias("n")).select(F.lit(predicate).alias("predicate"), "n")
+        out = one if out is None else out.unionByName(one)
+    return out
+
+
+#: Chances of a one off and on the diagonal blocks.
+SIMULATED = ((0.1, 0.9), (0.2, 0.7), (0.3, 0.5), (0.05, 0.5))
+SIMULATION = "p0 double, p1 double, k int, draw int, lz double, ans_table double, latent_lz double, latent_ans double, err_u double, err_v double, gap double"
+
+
+def simulate_one(p0: float, p1: float, k: int, draw: int, m: int, n: int) -> tuple:
+    """One drawn table in one task: labels by the exact factors and plain k-means, sizes by the engine's coders, as shares of the raw size."""
+    from blockpress.functions import theory as T
+    from blockpress.operators import latents as L
+    from blockpress.operators.entropy import assignment_error
+
+    rng = np.random.default_rng([draw, k, int(p0 * 1000), int(p1 * 1000)])
+    u, v = rng.integers(0, k, m), rng.integers(0, k, n)
+    x = (rng.random((m, n)) < np.where(u[:, None] == v[None, :], p1, p0)).astype(np.int64)
+    left, s, right = np.linalg.svd(x.astype(float), full_matrices=False)
+    a, b = left[:, :k], right[:k].T
+    est_u, est_v = L.kmeans_small(a, k, draw), L.kmeans_small(b, k, draw)
+    error = lambda t, e: assignment_error([(i, j, int(((t == i) & (e == j)).sum())) for i in range(k) for j in range(k)])
+
+    def size(coder: str, rows: np.ndarray, cols: np.ndarray) -> float:
+        bits = 0
+        for i in range(int(rows.max()) + 1):
+            for j in range(int(cols.max()) + 1):
+                seq = x[np.ix_(rows == i, cols == j)].ravel()
+                counts = np.bincount(seq, minlength=2)
+                bits += 8 * len(C._encode(seq, coder, "bits", 2, C.rans.scaled(counts))) + (8 * len(C.write_counts(counts)) if coder == "rans" else 0)
+        for labels in (rows, cols):
+            bits += 8 * len(C.label_encode(labels, k, coder, "bits")) if labels.max() else 0
+        return bits / (m * n)
+
+    one_r, one_c = np.zeros(m, int), np.zeros(n, int)
+    gap = T.subspace_gap(a, u)["two_to_infinity"] * np.sqrt(m / k)
+    return (p0, p1, k, draw, size("zstd", one_r, one_c), size("rans", one_r, one_c), size("zstd", est_u, est_v), size("rans", est_u, est_v), error(u, est_u), error(v, est_v), float(gap))
+
+
+def simulations(spark: SparkSession, m: int, n: int, ks=(3, 5, 7), points=SIMULATED, draws: int = 4) -> DataFrame:
+    """``SIMULATION`` rows of a grid of drawn tables, each a task of its own."""
+    import pandas as pd
+
+    grid = spark.createDataFrame([(p0, p1, k, d) for p0, p1 in points for k in ks for d in range(draws)], "p0 double, p1 double, k int, draw int")
+
+    def run(batches):
+        for b in batches:
+            rows = [simulate_one(r.p0, r.p1, int(r.k), int(r.draw), m, n) for r in b.itertuples()]
+            yield pd.DataFrame(rows, columns=[f.split()[0] for f in SIMULATION.split(", ")])
+
+    return grid.repartition(len(points) * len(ks) * draws, "p0", "p1", "k", "draw").mapInPandas(run, SIMULATION)
+
+
+@query
+def simulations_beside_theory(spark: SparkSession, sf_dir: str) -> DataFrame:
+    """Tables of 1000 x 1000, three, five and seven labels, four draws a point: mean rates beside the limits, label errors, failures of exact recovery."""
+    from blockpress.functions import theory as T
+
+    got = simulations(spark, 1000, 1000)
+    means = got.groupBy("p0", "p1", "k").agg(
+        *[F.avg(c).alias(c) for c in ("lz", "ans_table", "latent_lz", "latent_ans", "err_u", "err_v", "gap")], F.avg(((F.col("err_u") > 0) | (F.col("err_v") > 0)).cast("int")).alias("p_err"), F.count("*").alias("draws")
+    )
+    limits = spark.createDataFrame([(p0, p1, k, *T.sbm_rates(p0, p1, k, 1.0)) for p0, p1 in SIMULATED for k in (3, 5, 7)], "p0 double, p1 double, k int, best double, finite_state double, lz_limit double")
+    return means.join(limits, ["p0", "p1", "k"])
