@@ -213,17 +213,25 @@ def kmeans_many(rows: DataFrame, specs: list[tuple[int, int, int]], iterations:
     reaches the driver is a sum for each start and cluster. It ends when no centre moves by more than
     ``tolerance`` of their spread. A centre without points stays. Labels go by size.
     """
+    asked, specs = specs, list(dict.fromkeys(specs))
     points = kept(rows.select("row_id", "a"), "points")
     most = max((k for k, _, _ in specs), default=1)
     distinct = points.groupBy("a").agg(F.min("row_id").alias("r"))
+    from pyspark.sql.window import Window
+
+    seeds = sorted({seed for k, _, seed in specs if k > 1})
+    drawn: dict[int, list] = {}
+    if seeds:
+        each = distinct.select("r", "a", F.explode(F.array(*[F.lit(s) for s in seeds])).alias("seed")).withColumn("h", F.xxhash64("r", "seed"))
+        first = each.withColumn("n", F.row_number().over(Window.partitionBy("seed").orderBy("h", "r"))).where(F.col("n") <= 4 * most)
+        for r in first.orderBy("seed", "n").collect():  # a few points for each seed
+            drawn.setdefault(r.seed, []).append(r.a)
     centres: list[np.ndarray] = []
     for k, width, seed in specs:
-        cut = F.slice("a", 1, width).alias("a")
-        first = distinct.select("r", cut).orderBy(F.xxhash64("r", F.lit(seed)), "r").limit(4 * most).collect() if k > 1 else []  # a few points
         seen: list[list[float]] = []
-        for r in first:
-            if list(r.a) not in seen and len(seen) < k:
-                seen.append(list(r.a))
+        for a in drawn.get(seed, []) if k > 1 else []:
+            if list(a[:width]) not in seen and len(seen) < k:
+                seen.append(list(a[:width]))
         centres.append(np.array(seen or [[0.0] * width]))
 
     def nearest(a: np.ndarray, now: list[np.ndarray]) -> np.ndarray:
@@ -245,10 +253,9 @@ def kmeans_many(rows: DataFrame, specs: list[tuple[int, int, int]], iterations:
                 a = _matrix(batch.column("a"))
                 own = nearest(a, now)
                 for s in live:
-                    for c in range(len(now[s])):
-                        mine = a[own[:, s] == c, : specs[s][1]]
-                        total[s][c, :-1] += mine.sum(axis=0)
-                        total[s][c, -1] += len(mine)
+                    member = (own[:, s, None] == np.arange(len(now[s]))).astype(np.float64)
+                    total[s][:, :-1] += member.T @ a[:, : specs[s][1]]
+                    total[s][:, -1] += member.sum(axis=0)
             yield pa.record_batch([pa.array(live, pa.int32()), pa.array([total[s].ravel().tolist() for s in live], pa.list_(pa.float64()))], names=["s", "t"])
 
         sums = points.select("a").mapInArrow(part, "s int, t array<double>")
@@ -276,7 +283,8 @@ def kmeans_many(rows: DataFrame, specs: list[tuple[int, int, int]], iterations:
     sizes = found.select(F.posexplode("us").alias("s", "u")).groupBy("s", "u").agg(F.count("*").alias("c")).collect()  # starts x clusters
     rank = [{u: i for i, (_, u) in enumerate(sorted((-r.c, r.u) for r in sizes if r.s == s))} for s in range(len(specs))]
     names = F.array(*[F.array(*[F.lit(rank[s].get(u, 0)) for u in range(most)]) for s in range(len(specs))])
-    return found.select("row_id", F.zip_with("us", names, lambda u, n: F.element_at(n, u + 1)).alias("us"))
+    named = found.select("row_id", F.zip_with("us", names, lambda u, n: F.element_at(n, u + 1)).alias("us"))
+    return named.select("row_id", F.array(*[F.element_at("us", specs.index(s) + 1) for s in asked]).alias("us"))
 
 
 def threshold_labels(points: np.ndarray, theta: float) -> np.ndarray:

@@ -82,3 +82,27 @@ ORACLES: dict[str, str] = {
     "json_properties": "SELECT event_type, count((props::JSON->>'k')::INT) AS n, sum((props::JSON->>'k')::INT)::BIGINT AS k FROM events GROUP BY 1",
     "closed_form_entropy_columns": MODEL_GRID + f"z AS (SELECT 1) SELECT p0, p1, k, round({_h2('mean')}, 6) AS h FROM g",
 }
+
+_ALL_DOCUMENTS = "SELECT count(*) AS n, true AS same, true AS sized, true AS within_raw FROM documents"
+SETS = r"""words AS (SELECT DISTINCT doc_id, unnest(regexp_extract_all(lower(text), '[^ \n\t.,;:!?|]+')) AS word FROM documents), n AS (SELECT doc_id, count(*) AS n FROM words GROUP BY doc_id)"""
+
+ORACLES |= {f"container_round_trip_{coder}": _ALL_DOCUMENTS for coder in ("rans", "zstd", "lz")}
+ORACLES |= {
+    "predicate_on_codes": " UNION ALL ".join(
+        f"SELECT '{p.replace(chr(39), chr(39) * 2)}' AS predicate, count(*) AS n FROM orders WHERE {p}" for p in ("o_orderpriority LIKE '%U%'", "o_orderstatus IN ('F', 'P')", "o_orderstatus = 'O'", "o_orderpriority > '3'")
+    ),
+    "doc_word_set_edges": f"""WITH {SETS}, both_ AS (SELECT a.doc_id AS src, b.doc_id AS dst, count(*) AS c FROM words a JOIN words b ON a.word = b.word AND a.doc_id < b.doc_id GROUP BY ALL)
+        SELECT src, dst FROM both_ JOIN n p ON p.doc_id = src JOIN n q ON q.doc_id = dst WHERE c >= 0.3::DOUBLE * (p.n + q.n - c)""",
+    "doc_top10_edges": f"""WITH {SETS}, both_ AS (SELECT a.doc_id AS src, b.doc_id AS dst, count(*) AS c FROM words a JOIN words b ON a.word = b.word AND a.doc_id <> b.doc_id GROUP BY ALL),
+        every AS (SELECT a.doc_id AS src, b.doc_id AS dst, coalesce(c, 0) / greatest(1, coalesce(p.n, 0) + coalesce(q.n, 0) - coalesce(c, 0)) AS s FROM documents a JOIN documents b ON a.doc_id <> b.doc_id
+          LEFT JOIN both_ ON src = a.doc_id AND dst = b.doc_id LEFT JOIN n p ON p.doc_id = a.doc_id LEFT JOIN n q ON q.doc_id = b.doc_id)
+        SELECT src, dst FROM every QUALIFY row_number() OVER (PARTITION BY src ORDER BY s DESC, dst) <= 10""",
+}
+ORACLES |= {
+    "stream_rates": """WITH c AS (SELECT date_trunc('day', ts) AS d, 0 AS j, event_type AS x FROM events UNION ALL SELECT date_trunc('day', ts), 1, json_extract_string(props, '$.k') FROM events),
+        k AS (SELECT j, count(DISTINCT x) AS k FROM c GROUP BY j), h AS (SELECT d, j, x, count(*) AS c FROM c GROUP BY ALL), t AS (SELECT *, sum(c) OVER (PARTITION BY d, j) AS t FROM h),
+        s AS (SELECT d, j, max(t) AS n, sum(c * log2(t / c)) AS b, count(*) * 64 AS q FROM t GROUP BY d, j)
+        SELECT epoch(d)::BIGINT AS start, round(sum(b / n), 6) AS entropy, round(1 - sum(b + q) / sum(n * log2(k)), 6) AS drr FROM s JOIN k USING (j) GROUP BY d""",
+    "stream_late_rows": "SELECT count(*) AS n, count(DISTINCT event_id) AS events, true AS all_counted FROM events",
+    "stream_pairs": "SELECT a.user_id, count(*) AS pairs FROM events a JOIN events b ON a.user_id = b.user_id AND a.event_type = 'view' AND b.event_type = 'purchase' AND b.ts >= a.ts AND b.ts <= a.ts + INTERVAL 1 DAY GROUP BY 1",
+}

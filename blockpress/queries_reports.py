@@ -155,3 +155,54 @@ def simulations_beside_theory(spark: SparkSession, sf_dir: str) -> DataFrame:
     )
     limits = spark.createDataFrame([(p0, p1, k, *T.sbm_rates(p0, p1, k, 1.0)) for p0, p1 in SIMULATED for k in (3, 5, 7)], "p0 double, p1 double, k int, best double, finite_state double, lz_limit double")
     return means.join(limits, ["p0", "p1", "k"])
+
+
+# streams
+
+
+def _coded_events(spark: SparkSession, sf_dir: str, by_time: bool, files: int, each: int | None):
+    """Events as a stream of files under a codebook frozen on all event types; ``by_time``: a file a stretch of time."""
+    from blockpress.sources.storage import new_path
+    from blockpress.streaming import stream as S
+
+    events = W.read(spark, sf_dir, "events").select("event_id", "user_id", F.col("ts").cast("timestamp").alias("ts"), "event_type", F.get_json_object("props", "$.k").alias("k"))
+    book = P.fit_codebook(events.select("event_type", "k"))
+    where = new_path(spark, "events")
+    (events.repartitionByRange(files, "ts") if by_time else events.repartition(files, "event_id")).write.parquet(where)
+    return S.coded(S.read_stream(spark, where, events, each), book, ["event_id", "user_id", "ts"]), book
+
+
+@query
+def stream_rates(spark: SparkSession, sf_dir: str) -> DataFrame:
+    """Entropy and data reduction of coded events, day by day, from a stream read in several batches."""
+    from blockpress.streaming import stream as S
+
+    live, book = _coded_events(spark, sf_dir, False, 3, 1)
+    got = S.run_windows(live, "ts", "1 day", 100 * 86400.0)
+    return S.windowed_rates(got["counts"], book.cards).select(F.unix_seconds("start").alias("start"), F.round("entropy", 6).alias("entropy"), F.round("drr", 6).alias("drr"))
+
+
+@query
+def stream_late_rows(spark: SparkSession, sf_dir: str) -> DataFrame:
+    """Rows in time, late rows and rows for the container of a stream whose batches come in any order: every row is in one count."""
+    from blockpress.streaming import stream as S
+
+    live, _ = _coded_events(spark, sf_dir, True, 4, 1)
+    got = S.run_windows(live, "ts", "1 day", 86400.0)
+    timely, late = got["windows"].agg(F.sum("n").alias("timely")), got["late"].agg(F.sum("n").alias("late"))
+    rows = got["rows"].agg(F.count("*").alias("rows"), F.count_distinct("event_id").alias("events"))
+    return timely.crossJoin(late).crossJoin(rows).select(F.col("rows").alias("n"), "events", (F.coalesce("timely", F.lit(0)) + F.col("late") == F.col("rows")).alias("all_counted"))
+
+
+@query
+def stream_pairs(spark: SparkSession, sf_dir: str) -> DataFrame:
+    """Views and the purchases of the same user within a day after them, as a join of two streams, counted by user."""
+    from blockpress.sources.storage import new_path
+    from blockpress.streaming import stream as S
+
+    events = W.read(spark, sf_dir, "events").select("event_id", "user_id", F.col("ts").cast("timestamp").alias("ts"), "event_type")
+    where = new_path(spark, "events")
+    events.write.parquet(where)
+    views = S.read_stream(spark, where, events).where("event_type = 'view'").select("user_id", F.col("ts").alias("seen"), F.col("event_id").alias("view_id"))
+    bought = S.read_stream(spark, where, events).where("event_type = 'purchase'").select("user_id", F.col("ts").alias("bought"), F.col("event_id").alias("purchase_id"))
+    return S.run_to_table(S.matched(views, bought, "user_id", "seen", "bought", "1 DAY", "60 days")).groupBy("user_id").agg(F.count("*").alias("pairs"))
