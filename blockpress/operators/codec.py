@@ -24,7 +24,7 @@ from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
 from blockpress.coders import phrase_lz, rans, zstd
-from blockpress.operators.entropy import block_histogram, with_labels
+from blockpress.operators.entropy import block_histogram, ideal_sizes, with_labels
 from blockpress.sources.storage import kept
 
 #: Of ``row_latents`` the field ``u`` holds the bytes of the row numbers' gaps, which stand in front (dense numbers: none).
@@ -70,6 +70,19 @@ class Container:
     def blocks(self) -> DataFrame:
         return self.segments.where("segment = 'blocks'")
 
+    @property
+    def labels(self) -> DataFrame:
+        """``row_id, u`` of every row, from the coded labels."""
+        k_r, pack, step = self.k_r, self.pack, self.chunk_rows
+
+        def emit(batches):
+            for batch in batches:
+                for r in batch.to_pylist():
+                    row_id, u = chunk_labels(r, k_r, pack, step)
+                    yield pa.record_batch([pa.array(row_id, pa.int64()), pa.array(u.astype(np.int32))], names=["row_id", "u"])
+
+        return self.segments.where("segment = 'row_latents'").mapInArrow(emit, "row_id long, u int")
+
     @property
     def coded_bits(self) -> float:
         return sum(self.bits.values())
@@ -158,6 +171,15 @@ def label_decode(data: bytes, n: int, k: int, coder: str, pack: str) -> np.ndarr
     return rans.decode(data[-(-k // 8) + 8 * int((counts > 0).sum()) :], n, *rans.scaled(counts))
 
 
+def chunk_labels(r: dict, k: int, pack: str, step: int) -> tuple[np.ndarray, np.ndarray]:
+    """Row numbers and labels of a ``row_latents`` segment."""
+    m, gaps, first = r["n_symbols"], r["u"], r["chunk_id"] * step
+    row_id = np.arange(first, first + m)
+    if gaps:
+        row_id = first + np.cumsum(np.frombuffer(zstd.zstandard.ZstdDecompressor().decompress(r["payload"][:gaps]), "<i8"))
+    return row_id, label_decode(r["payload"][gaps:], m, k, r["coder"], pack) if k > 1 else np.zeros(m, np.int64)
+
+
 def _segment_table(rows: list[tuple]) -> pa.Table:
     types = [pa.string(), pa.int32(), pa.int32(), pa.int64(), pa.int64(), pa.int64(), pa.string(), pa.int64(), pa.binary()]
     return pa.table([pa.array(c, t) for c, t in zip(zip(*rows, strict=True), types, strict=True)], names=list(NAMES))
@@ -266,12 +288,8 @@ def decompress(box: Container, chunk_rows: int | None = None, only: list[int] |
         if any(zlib.crc32(p["payload"]) != p["crc"] for p in held):
             raise ValueError(f"chunk {key[0].as_py()} is damaged")
         head = next(p for p in held if p["segment"] == "row_latents")
-        m, gaps = head["n_symbols"], head["u"]
-        first = key[0].as_py() * step
-        row_id = np.arange(first, first + m)
-        if gaps:
-            row_id = first + np.cumsum(np.frombuffer(zstd.zstandard.ZstdDecompressor().decompress(head["payload"][:gaps]), "<i8"))
-        u = label_decode(head["payload"][gaps:], m, k_r, head["coder"], pack) if k_r > 1 else np.zeros(m, np.int64)
+        row_id, u = chunk_labels(head, k_r, pack, step)
+        m = len(u)
         cells, there = np.zeros((m, n), np.int16), np.zeros(m, bool)
         for b in held:
             if b["segment"] != "blocks":
@@ -437,38 +455,60 @@ def refine_labels(codes: DataFrame, cards: list[int], columns: np.ndarray, sweep
     return codes
 
 
-def search_latents(codes: DataFrame, factors, n: int, cards: list[int], grid_r: list[int], grid_c: list[int], seed: int = 42) -> DataFrame:
-    """``k_r, k_c, bits, drr, rank``: ideal coded size for each pair of label sizes, from one aggregation.
+def search_latents(codes: DataFrame, factors, n: int, cards: list[int], grid_r: list[int], grid_c: list[int], seed: int = 42, objective: str = "entropy", coder: str = "rans") -> DataFrame:
+    """``k_r, k_c, bits, drr, rank``: coded size for each pair of label sizes; (1, 1), (1, n) and each (k, n) are tried too.
 
-    Rows carry their label for every row size; the histogram by (row size, label, column, code) serves
-    all column labellings, which only merge its columns. (1, 1), (1, n) and each (k, n) are tried too.
+    ``objective``: ``entropy`` takes ideal sizes, from one scan whose tasks add up the counts of all pairs and one
+    aggregation that turns them into bits, so the driver sees a row a pair; ``coded`` runs the coder on all pairs.
     """
-    from blockpress.operators.latents import kmeans_rows, kmeans_small
+    from blockpress.operators.latents import kmeans_many, kmeans_small
     from blockpress.plans.encode import raw_bits
 
     grid_r, grid_c = sorted({1, *grid_r}), sorted({1, *(min(c, n) for c in grid_c), n})
-    rows = codes.select("row_id", "codes")
-    for k in grid_r:
-        part = factors.rows.select("row_id", F.slice("a", 1, max(1, k - 1)).alias("a"))
-        rows = rows.join(kmeans_rows(part, k, seed).withColumnRenamed("u", f"u{k}"), "row_id")
-    us = F.array(*[F.struct(F.lit(k).alias("k"), F.col(f"u{k}").cast("int").alias("u")) for k in grid_r])
-    cells = rows.select(F.explode(us).alias("l"), "codes").select("l.k", "l.u", F.posexplode("codes").alias("j", "x"))
-    hist = kept(cells.groupBy("k", "u", "j", "x").agg(F.count("*").alias("c")), "search").toPandas()  # labels x columns x symbols a size
-    m = codes.count()
-    raw, out = raw_bits(cards, m), []
-    for c in grid_c:
-        v = np.arange(n) if c >= n else np.zeros(n, int) if c == 1 else kmeans_small(factors.columns[:, : max(1, c - 1)], c, seed)
-        for k in grid_r:
-            part = hist[hist.k == k]
-            block = part.groupby([part.u, v[part.j.to_numpy()], part.x]).c.sum()
-            total = block.groupby(level=[0, 1]).transform("sum")
-            bits = float((block * np.log2(total / block)).sum()) + 64.0 * len(block)
-            lab = part.groupby("u").c.sum() / n
-            bits += float((lab * np.log2(m / lab)).sum()) + (64.0 * len(lab) if k > 1 else 0)
+    width = len(factors.sigma)
+    found = kmeans_many(factors.rows, [(k, min(width, max(1, k - 1)), seed) for k in grid_r])
+    rows = kept(codes.select("row_id", "codes").join(found, "row_id").select("row_id", "us", "codes"), "search")
+    columns = [np.arange(n) if c >= n else np.zeros(n, int) if c == 1 else kmeans_small(factors.columns[:, : max(1, c - 1)], c, seed) for c in grid_c]
+    m, card = rows.count(), max(cards)
+    raw = raw_bits(cards, m)
+    pairs = [(i, j) for i in range(len(grid_r)) for j in range(len(grid_c))]
+    if objective == "coded":
+        sizes = coded_sizes(rows, cards, [Coding("", coder, tuple(columns[j].tolist()), i) for i, j in pairs])
+        bits = [sum(s.values()) for s in sizes]
+    else:
+
+        def count(batches):
+            totals: dict[tuple[int, int], np.ndarray] = {}
+            for batch in batches:
+                if not batch.num_rows:
+                    continue
+                cells = batch.column("codes").flatten().to_numpy(zero_copy_only=False).astype(np.int64).reshape(batch.num_rows, n)
+                us = batch.column("us").flatten().to_numpy(zero_copy_only=False).reshape(batch.num_rows, -1)
+                for i in range(len(grid_r)):
+                    for u in np.unique(us[:, i]).tolist():
+                        own = cells[us[:, i] == u]
+                        for j, v in enumerate(columns):
+                            add = np.bincount((own + v * card).ravel(), minlength=(int(v.max()) + 1) * card)
+                            p = i * len(grid_c) + j
+                            totals[p, u] = totals.get((p, u), 0) + add
+            got = [(p, u, b // card, b % card, int(t[b])) for (p, u), t in totals.items() for b in np.flatnonzero(t).tolist()]
+            cols = list(zip(*got, strict=True)) or [()] * 5
+            yield pa.record_batch([pa.array(c, t) for c, t in zip(cols, (*[pa.int32()] * 4, pa.int64()), strict=True)], names=["pair", "u", "v", "code", "cnt"])
+
+        hist = rows.select("us", "codes").mapInArrow(count, "pair int, u int, v int, code int, cnt long").groupBy("pair", "u", "v", "code").agg(F.sum("cnt").alias("cnt"))
+        got = ideal_sizes(hist, ["pair", "u", "v"]).groupBy("pair").agg(F.sum(F.col("code_bits") + F.col("count_bits")).alias("b")).collect()  # a row a pair
+        blocks = {r.pair: r.b for r in got}
+        sizes_r = rows.select(F.posexplode("us").alias("i", "u")).groupBy("i", "u").agg(F.count("*").alias("c")).collect()  # grid x labels
+        bits = []
+        for p, (i, j) in enumerate(pairs):
+            k, c = grid_r[i], grid_c[j]
+            b = blocks.get(p, 0.0)
+            if k > 1:
+                lab = np.array([r.c for r in sizes_r if r.i == i], float)
+                b += float((lab * np.log2(m / lab)).sum()) + 64.0 * len(lab)
             if 1 < c < n:
-                cv = np.bincount(v)
-                bits += float((cv[cv > 0] * np.log2(n / cv[cv > 0])).sum()) + 64.0 * len(cv)
-            bits += (k * c + 2) * math.ceil(math.log2(m * n + 1)) if k * c > 1 else 0
-            out.append((k, c, bits, 1 - bits / raw))
-    out.sort(key=lambda r: r[2])
+                cv = np.bincount(columns[j]).astype(float)
+                b += float((cv[cv > 0] * np.log2(n / cv[cv > 0])).sum()) + 64.0 * len(cv)
+            bits.append(b + ((k * c + 2) * math.ceil(math.log2(m * n + 1)) if k * c > 1 else 0))
+    out = sorted(((grid_r[i], grid_c[j], float(b), float(1 - b / raw)) for (i, j), b in zip(pairs, bits, strict=True)), key=lambda r: r[2])
     return codes.sparkSession.createDataFrame([(*r, i + 1) for i, r in enumerate(out)], "k_r int, k_c int, bits double, drr double, rank int")

@@ -125,14 +125,15 @@ def _signed(b: np.ndarray) -> np.ndarray:
     return b * np.where(b[pick, np.arange(b.shape[1])] < 0, -1.0, 1.0)
 
 
-def spectral_factors(x: DataFrame, n: int, d: int, solver: str = "gram", fraction: float = 1.0, power_steps: int = 4, seed: int = 42, sampling: str = "uniform") -> Factors:
+def spectral_factors(x: DataFrame, n: int, d: int, solver: str = "auto", fraction: float = 1.0, power_steps: int = 4, seed: int = 42, sampling: str = "uniform") -> Factors:
     """Leading ``d`` singular factors of ``x(row_id, x)``.
 
-    ``solver``: ``gram``, ``power`` (block power steps to a tight subspace) or ``sketch`` (random range
+    ``solver``: ``auto`` (``gram`` up to ``GRAM_COLUMNS`` columns, else ``power``), ``gram``, ``power`` (block power steps to a tight subspace) or ``sketch`` (random range
     finder, two scans). ``fraction`` below 1 takes the right factors from that share of the rows, drawn
     evenly or, with ``sampling="length"``, by squared length.
     """
     d = min(d, n)
+    solver = ("gram" if n <= GRAM_COLUMNS else "power") if solver == "auto" else solver
     part = sample_by_length(x, fraction) if sampling == "length" and fraction < 1 else sample_rows(x, fraction)
     if solver == "gram":
         if n > GRAM_COLUMNS:
@@ -338,7 +339,7 @@ class Latents:
     sigma: np.ndarray
 
 
-def spectral_latents(x: DataFrame, n: int, k_r: int, k_c: int, n_components: str | int = "k-1", solver: str = "gram", cluster: str = "kmeans", fraction: float = 1.0, seed: int = 42, init: str = "random", theta: float = 0.05, unit: bool = False, factors: Factors | None = None) -> Latents:
+def spectral_latents(x: DataFrame, n: int, k_r: int, k_c: int, n_components: str | int = "k-1", solver: str = "auto", cluster: str = "kmeans", fraction: float = 1.0, seed: int = 42, init: str = "random", theta: float = 0.05, unit: bool = False, factors: Factors | None = None) -> Latents:
     """Labels of rows and columns of ``x(row_id, x)``.
 
     Sizes may differ; ``k_c = n`` gives each column its own label, 1 on a side means no labels there.

@@ -109,7 +109,7 @@ ORACLES: dict[str, str] = {
     "sbm_cells_md5": f"""WITH i AS (SELECT unnest(range(64)) AS i), rows AS (SELECT i, ({_variate("'42'", "'u'", "i::VARCHAR")} >= 1 / 3.0)::INT + ({_variate("'42'", "'u'", "i::VARCHAR")} >= 2 / 3.0)::INT AS u FROM i),
         cols AS (SELECT i AS j, ({_variate("'42'", "'v'", "i::VARCHAR")} >= 1 / 3.0)::INT + ({_variate("'42'", "'v'", "i::VARCHAR")} >= 2 / 3.0)::INT AS v FROM i)
         SELECT u, v, ({_variate("'42'", "i::VARCHAR", "j::VARCHAR")} >= CASE WHEN u = v THEN 1 - 0.9::DOUBLE ELSE 0.9::DOUBLE END)::INT AS code, count(*) AS cnt FROM rows, cols GROUP BY ALL""",
-    "planted_histogram": f"""WITH r AS (SELECT c_custkey, dense_rank() OVER (ORDER BY c_mktsegment) - 1 AS u FROM customer), c AS (SELECT p_partkey, v FROM (SELECT p_partkey, dense_rank() OVER (ORDER BY p_type) - 1 AS v FROM part) WHERE p_partkey < 200)
+    "planted_counts": f"""WITH r AS (SELECT c_custkey, dense_rank() OVER (ORDER BY c_mktsegment) - 1 AS u FROM customer), c AS (SELECT p_partkey, dense_rank() OVER (ORDER BY p_type) - 1 AS v FROM part)
         SELECT u::INT AS u, v::INT AS v, ({_variate("'42'", "c_custkey::VARCHAR", "p_partkey::VARCHAR")} < ({PLANTED})[u + 1][v + 1])::INT AS code, count(*) AS cnt FROM r, c GROUP BY ALL""",
     "iid_draws": f"SELECT ({_variate("'7'", "i::VARCHAR", "'0'")} >= 0.7::DOUBLE)::INT + ({_variate("'7'", "i::VARCHAR", "'0'")} >= 0.7::DOUBLE + 0.2::DOUBLE)::INT AS code, count(*) AS cnt FROM (SELECT unnest(range(4096)) AS i) GROUP BY ALL",
     "sbm_closed_forms_grid": f"WITH {GRID} SELECT p0, p1, k, alpha, round({TIGHT}, 6) AS opt, round({_h2('mean')}, 6) AS fs, round(least({_h2('mean')}, (1 + alpha) / alpha * {TIGHT}), 6) AS lz FROM forms",
@@ -139,7 +139,7 @@ ORACLES: dict[str, str] = {
     "recurrence_times": "WITH s AS (SELECT user_id, event_type, row_number() OVER (PARTITION BY user_id ORDER BY ts, event_id) AS pos FROM events), w AS (SELECT event_type, pos - lag(pos) OVER (PARTITION BY user_id, event_type ORDER BY pos) AS wait FROM s) SELECT event_type, count(*) AS n, round(avg(wait), 6) AS mean_wait, max(wait) AS max_wait FROM w WHERE wait IS NOT NULL GROUP BY event_type",
     "events_windows": "SELECT epoch(date_trunc('day', ts))::BIGINT AS start, count(*) AS n, round(sum(value), 2) AS value FROM events GROUP BY ALL",
     "session_windows": "WITH g AS (SELECT user_id, ts, CASE WHEN ts - lag(ts) OVER w < INTERVAL 6 HOURS THEN 0 ELSE 1 END AS fresh FROM events WINDOW w AS (PARTITION BY user_id ORDER BY ts, event_id)), s AS (SELECT user_id, sum(fresh) OVER (PARTITION BY user_id ORDER BY ts ROWS UNBOUNDED PRECEDING) AS s FROM g), n AS (SELECT user_id, s, count(*) AS n FROM s GROUP BY ALL) SELECT user_id, count(*) AS sessions, max(n) AS longest FROM n GROUP BY user_id",
-    "stream_equals_batch": "SELECT epoch(date_trunc('day', ts))::BIGINT AS start, count(*) AS n, sum((event_type NOT IN (SELECT event_type FROM events WHERE event_id % 2 = 0))::INT)::BIGINT AS unseen FROM events GROUP BY ALL",
+    "stream_batch_equality": "SELECT epoch(date_trunc('day', ts))::BIGINT AS start, count(*) AS n, sum((event_type NOT IN ('purchase', 'error'))::INT)::BIGINT AS unseen FROM events GROUP BY ALL",
     "lz_phrases_small": """WITH RECURSIVE s AS (SELECT o_custkey, string_agg(left(o_orderpriority, 1), '' ORDER BY o_orderkey) AS s FROM orders GROUP BY o_custkey),
         p AS (SELECT o_custkey, s, -1 AS phrase_no, 0 AS k, 0 AS len, 0 AS ptr FROM s
           UNION ALL SELECT o_custkey, s, phrase_no + 1, k + greatest(best, 1), greatest(best, 1), CASE WHEN best > 0 THEN strpos(s, substr(s, k + 1, best)) ELSE -(substr(s, k + 1, 1)::INT) END
@@ -148,7 +148,7 @@ ORACLES: dict[str, str] = {
     "asof_purchases": "SELECT e.event_id, round(b.value, 4) AS last_value FROM events e ASOF LEFT JOIN (SELECT user_id, ts, max(value) AS value FROM events WHERE event_type = 'purchase' GROUP BY ALL) b ON e.user_id = b.user_id AND e.ts >= b.ts",
     "interval_join": "WITH v AS (SELECT i::INT AS version, 1704067200000000 + i * 43200000000 AS lo, 1704067200000000 + i * 43200000000 + (i % 5 + 1) * 10800000000 AS hi FROM (SELECT unnest(range(60)) AS i)) SELECT version, count(*) AS n FROM events JOIN v ON epoch_us(ts) >= lo AND epoch_us(ts) < hi GROUP BY version",
     "top_values_per_group": "SELECT o_orderpriority, o_orderkey, row_number() OVER (PARTITION BY o_orderpriority ORDER BY o_totalprice DESC, o_orderkey)::INT AS rank FROM orders QUALIFY rank <= 3",
-    "planted_spectral_recovery": "SELECT count(*) AS n, 0.0::DOUBLE AS err FROM customer GROUP BY c_mktsegment",
+    "planted_recovery": "SELECT count(*) AS n, 0.0::DOUBLE AS err FROM customer GROUP BY c_mktsegment",
 }
 
 

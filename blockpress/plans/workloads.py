@@ -406,8 +406,11 @@ def report(spark: SparkSession, sf_dir: str, names: list[str], methods=METHODS,
     return spark.createDataFrame(rows, REPORT)
 
 
-def labels_of_runs(w: Workload, wanted: list[tuple[int, int]], runs: int, fraction: float = 1.0, n_components: str = "k-1", unit: bool = False, psi: str = "index", init: str = "random", solver: str = "gram") -> tuple[DataFrame, list[list[np.ndarray]]]:
-    """``row_id, us, codes`` and, for each pair of label sizes and each run, the column labels. One plain start a run on both sides."""
+def labels_of_runs(w: Workload, wanted: list[tuple[int, int]], runs: int, fraction: float = 1.0, n_components: str = "k-1", unit: bool = False, psi: str = "index", init: str = "random", solver: str = "auto") -> tuple[DataFrame, list[list[np.ndarray]]]:
+    """``row_id, us, codes`` and, for each pair of label sizes and each run, the column labels.
+
+    A run is one plain start on both sides (``init="random"``), or one with care on both (``k-means||``, best of five).
+    """
     x = kept(image(w.codes, w.cards, psi), "image")
     extra = 0 if n_components == "k-1" else 1
     width = lambda k: max(1, k - 1 + extra)
@@ -431,7 +434,7 @@ def labels_of_runs(w: Workload, wanted: list[tuple[int, int]], runs: int, fracti
         if k_c >= w.n or k_c <= 1:
             columns.append([np.arange(w.n) if k_c >= w.n else np.zeros(w.n, int)] * runs)
         else:
-            columns.append([L.kmeans_small(factors.columns[:, : min(width(k_c), d)], k_c, 100 + s, starts=1) for s in range(runs)])
+            columns.append([L.kmeans_small(factors.columns[:, : min(width(k_c), d)], k_c, 100 + s, starts=1 if init == "random" else 5) for s in range(runs)])
     return kept(w.codes.join(found, "row_id").select("row_id", "us", "codes"), "labelled"), columns
 
 

@@ -270,7 +270,8 @@ def sbm_cells_md5(spark: SparkSession, sf_dir: str) -> DataFrame:
 
 
 @query
-def planted_histogram(spark: SparkSession, sf_dir: str) -> DataFrame:
+def planted_counts(spark: SparkSession, sf_dir: str) -> DataFrame:
+    """Block histogram of the table planted on all customers and all parts."""
     return E.block_histogram(M.planted_on_keys(spark, sf_dir)).select("u", "v", "code", "cnt")
 
 
@@ -486,34 +487,30 @@ def session_windows(spark: SparkSession, sf_dir: str) -> DataFrame:
 
 
 @query
-def stream_equals_batch(spark: SparkSession, sf_dir: str) -> DataFrame:
-    """Daily counts of coded events, read as a stream under a frozen codebook."""
+def stream_batch_equality(spark: SparkSession, sf_dir: str) -> DataFrame:
+    """Daily counts of coded events, read as a stream under a codebook frozen on the purchases and errors of all time."""
     from blockpress.streaming import stream as S
 
     events = W.read(spark, sf_dir, "events").select("event_id", F.col("ts").cast("timestamp").alias("ts"), "event_type")
-    book = P.fit_codebook(events.where("event_id % 2 = 0").select("event_type"))
+    book = P.fit_codebook(events.where("event_type in ('purchase', 'error')").select("event_type"))
     where = new_path(spark, "events")
     events.repartition(4).write.parquet(where)
-    live = S.coded(S.read_stream(spark, where, events), book, ["ts"])
+    live = S.coded(S.read_stream(spark, where, events, 1), book, ["ts"])
     days = S.run_to_table(live.groupBy(F.window("ts", "1 day").alias("w")).agg(F.count("*").alias("n"), F.sum("unseen").alias("unseen")).select(F.col("w.start").alias("start"), "n", "unseen"), "complete")
-    return days.select(F.unix_seconds("start").alias("start"), "n", "unseen")
+    return days.select(F.unix_seconds("start").alias("start"), "n", F.col("unseen").cast("long").alias("unseen"))
 
 
 # latent methods
 
 
 @query
-def planted_spectral_recovery(spark: SparkSession, sf_dir: str) -> DataFrame:
-    """Sizes of the row clusters found in the table planted on customers: those of the market segments."""
-    cells = M.planted_on_keys(spark, sf_dir, 800)
-    rows = kept(cells.groupBy("row_id", "u").agg(F.array_sort(F.collect_list(F.struct("col_id", "code"))).alias("c")), "planted")  # 800 cells a row at most
-    table = rows.select("row_id", F.transform("c", lambda s: s["code"].cast("double")).alias("x"))
-    n = len(rows.first().c)
-    lat = L.spectral_latents(table, n, 5, 6, n_components="k", init="k-means||")
-    both = rows.select("row_id", F.col("u").alias("truth")).join(lat.rows, "row_id")
-    err = E.label_error(both, "truth", "u")
-    sizes = lat.rows.groupBy("u").agg(F.count("*").alias("n"))
-    return sizes.select("n", F.lit(round(err, 6)).alias("err"))
+def planted_recovery(spark: SparkSession, sf_dir: str) -> DataFrame:
+    """Sizes of the row clusters found in the table planted on all customers and parts: those of the market segments."""
+    rows, v = M.planted_rows(spark, sf_dir)
+    rows = kept(rows, "planted")
+    lat = L.spectral_latents(rows.select("row_id", F.transform("codes", lambda x: x.cast("double")).alias("x")), len(v), 5, 6, n_components="k", init="k-means||")
+    err = E.label_error(rows.select("row_id", F.col("u").alias("truth")).join(lat.rows, "row_id"), "truth", "u")
+    return lat.rows.groupBy("u").agg(F.count("*").alias("n")).select("n", F.lit(round(err, 6)).alias("err"))
 
 
 @query
@@ -528,26 +525,25 @@ def spectral_latents_words(spark: SparkSession, sf_dir: str) -> DataFrame:
 
 @query
 def latent_report_words(spark: SparkSession, sf_dir: str) -> DataFrame:
-    return W.report(spark, sf_dir, ["words"], runs=3)
+    return W.report(spark, sf_dir, ["words"])
 
 
 @query
 def latent_report_network(spark: SparkSession, sf_dir: str) -> DataFrame:
-    return W.report(spark, sf_dir, ["network"], runs=2)
+    return W.report(spark, sf_dir, ["network"])
 
 
 @query
 def latent_report_neighbours(spark: SparkSession, sf_dir: str) -> DataFrame:
     """The table whose neighbours repeat, in order and permuted."""
-    rows = W.report(spark, sf_dir, ["neighbours"], runs=1)
-    return rows.unionByName(W.report(spark, sf_dir, ["neighbours"], runs=1, shuffled=True))
+    return W.report(spark, sf_dir, ["neighbours"]).unionByName(W.report(spark, sf_dir, ["neighbours"], shuffled=True))
 
 
 @query
 def subsample_loss(spark: SparkSession, sf_dir: str) -> DataFrame:
     """Data reduction with all rows' factors and with those of a tenth."""
-    full = W.report(spark, sf_dir, ["words"], methods=["latent_ans"], runs=2).withColumn("fraction", F.lit(1.0))
-    part = W.report(spark, sf_dir, ["words"], methods=["latent_ans"], runs=2, fraction=0.1).withColumn("fraction", F.lit(0.1))
+    full = W.report(spark, sf_dir, ["words"], methods=["latent_ans"]).withColumn("fraction", F.lit(1.0))
+    part = W.report(spark, sf_dir, ["words"], methods=["latent_ans"], fraction=0.1).withColumn("fraction", F.lit(0.1))
     return full.unionByName(part).select("workload", "fraction", "drr")
 
 
@@ -725,12 +721,6 @@ def refined_words(spark: SparkSession, sf_dir: str) -> DataFrame:
     return spark.createDataFrame([("given", C.compress(rows, [2] * 200, cols).coded_bits), ("refined", C.compress(after, [2] * 200, cols).coded_bits)], "labels string, coded_bits double")
 
 
-@query
-def latent_report_wide(spark: SparkSession, sf_dir: str) -> DataFrame:
-    """The wide joins and the ratings: columns nearly independent, so labels gain little."""
-    return W.report(spark, sf_dir, ["wide55", "ratings"], methods=["lz", "ans_column", "latent_ans"], runs=1)
-
-
 def queries() -> dict[str, Query]:
     return dict(QUERIES)
 

@@ -17,11 +17,11 @@ from blockpress.plans.encode import Codebook, encode_table
 from blockpress.sources.storage import new_path
 
 
-def read_stream(spark: SparkSession, path: str, like: DataFrame, files_per_trigger: int | None = None) -> DataFrame:
+def read_stream(spark: SparkSession, path: str, like: DataFrame, files_per_trigger: int | None = 1) -> DataFrame:
     """A folder of Parquet files as a stream with a known schema.
 
-    Files come by their time of writing, which need not be the rows' own order. Without a limit all files that
-    are there make one batch, in which nothing is late; with one, an early file written last brings late rows.
+    Files come by their time of writing, which need not be the rows' own order. With a limit an early file that was
+    written last brings late rows; without one (None) all files there make one batch, in which nothing is late.
     """
     reader = spark.readStream.schema(like.schema)
     return (reader.option("maxFilesPerTrigger", files_per_trigger) if files_per_trigger else reader).parquet(path)

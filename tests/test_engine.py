@@ -246,7 +246,9 @@ def test_streams(spark, small):
 
     events = spark.read.parquet(f"{small}/events.parquet").select("event_id", "user_id", F.col("ts").cast("timestamp").alias("ts"), "event_type")
     where = new_path(spark, "events")
-    events.repartitionByRange(3, "ts").write.parquet(where)
+    newest = events.agg(F.expr("percentile_approx(ts, array(0.33, 0.67))")).first()[0]
+    for part in (F.col("ts") < newest[0], (F.col("ts") >= newest[0]) & (F.col("ts") < newest[1]), F.col("ts") >= newest[1]):  # one after the other: files are read by their time of writing
+        events.where(part).coalesce(1).write.mode("append").parquet(where)
     book = P.fit_codebook(events.select("event_type"))
     book.columns[0].values.pop()  # one type is new to the codebook
     live = S.coded(S.read_stream(spark, where, events), book, ["event_id", "user_id", "ts"])
@@ -318,3 +320,64 @@ def test_coder_ablation_takes_all_rows(spark, small):
     rows = kept(Q._labelled_words(spark, where), "words")
     want = C.compress(rows, [2] * 200, np.array(Q.WORD_GROUPS), "rans", "rans", pack="bits").coded_bits
     assert {r.coder: r.coded_bits for r in Q.coder_ablation(spark, where).collect()}["rans"] == want
+
+
+def test_container_needs_nothing_but_its_segments(spark, planted):
+    """Row numbers with gaps, labels coded by each coder, plain code where that is shorter, and damage found."""
+    codes, v = planted
+    gaps = codes.withColumn("row_id", F.col("row_id") * 7 + 3)
+    for coder in ("rans", "zstd", "lz"):
+        box = C.compress(gaps, [2] * 120, v, coder, pack="bits", chunk_rows=500, fallback=True)
+        again = C.Container(kept(box.segments, "again"), [2] * 120)
+        assert J.multiset_equal(gaps.select("row_id", "codes"), C.decompress(again))
+        assert again.coded_bits == box.coded_bits == box.segments.agg(F.sum(8 * F.length("payload"))).first()[0]
+    broken = box.segments.withColumn("payload", F.when(F.col("segment") == "blocks", F.expr("concat(payload, x'00')")).otherwise(F.col("payload")))
+    with pytest.raises(Exception, match="damaged"):
+        C.decompress(C.Container(kept(broken, "broken"), [2] * 120)).collect()
+
+
+def test_never_worse_than_raw(spark):
+    """Coin flips under many labels: the fallback sends the table plain, and it comes back."""
+    codes = kept(spark.range(300).select(F.col("id").alias("row_id"), F.transform(F.sequence(F.lit(0), F.lit(19)), lambda j: (F.abs(F.xxhash64("id", j)) % 2).cast("smallint")).alias("codes")), "flips").withColumn("u", (F.col("row_id") % 9).cast("int"))
+    box = C.compress(codes, [2] * 20, np.arange(20) % 6, "rans", fallback=True)
+    assert box.plain and box.bits["blocks"] == 300 * 20 and box.coded_bits <= 300 * 20 + 8 * (C.HEADER.size + 8)
+    assert J.multiset_equal(codes.select("row_id", "codes"), C.decompress(box))
+
+
+def test_sizes_in_one_pass_are_those_of_containers(spark, planted):
+    codes, v = planted
+    rows = codes.select("row_id", F.array("u").alias("us"), "codes")
+    for coder in ("rans", "zstd"):
+        for order in ("row", "col"):
+            want = C.compress(codes, [2] * 120, v, coder, order=order).bits
+            got = C.coded_sizes(rows, [2] * 120, [C.Coding("x", coder, tuple(v.tolist()), 0, order)])[0]
+            assert got == pytest.approx(want)
+
+
+def test_starts_of_kmeans_in_one_scan(spark):
+    """Three far clusters are found from any start whose centres fall into all of them; equal specs agree; one label is one label."""
+    rng = np.random.default_rng(0)
+    at = np.repeat([[0.0, 0.0], [9.0, 0.0], [0.0, 9.0]], [50, 30, 20], axis=0) + rng.normal(0, 0.3, (100, 2))
+    rows = spark.createDataFrame([(i, a.tolist()) for i, a in enumerate(at)], "row_id long, a array<double>")
+    specs = [(3, 2, s) for s in range(6)] + [(1, 1, 0), (3, 2, 0)]
+    got = {r.row_id: r.us for r in L.kmeans_many(rows, specs).collect()}
+    us = np.array([got[i] for i in range(100)])
+    truth = np.repeat([0, 1, 2], [50, 30, 20])
+    assert any((us[:, s] == truth).all() for s in range(6)) and (us[:, 6] == 0).all() and (us[:, 0] == us[:, 7]).all()
+
+
+def test_late_rows_are_counted_and_kept(spark):
+    """A batch of older rows behind the mark: out of the windows, in the count, in the container's rows; a second run changes nothing."""
+    from blockpress.streaming import stream as S
+
+    times = ["2024-01-05 10:00:00", "2024-01-05 11:00:00", "2024-01-01 10:00:00", "2024-01-05 09:30:00"]
+    df = spark.createDataFrame([(i, t, "a") for i, t in enumerate(times)], "event_id long, t string, kind string").selectExpr("event_id", "cast(t as timestamp) ts", "kind")
+    where = new_path(spark, "late")
+    for ids in ((0, 1), (2, 3)):
+        df.where(F.col("event_id").isin(*ids)).coalesce(1).write.mode("append").parquet(where)
+    live = S.coded(S.read_stream(spark, where, df, 1), P.fit_codebook(df.select("kind")), ["event_id", "ts"])
+    got = S.run_windows(live, "ts", "1 day", 86400.0)
+    late = got["late"].agg(F.sum("n")).first()[0]
+    timely = got["windows"].agg(F.sum("n")).first()[0]
+    assert timely + late == 4 and got["rows"].count() == 4
+    assert late in (0, 1)  # which file comes first is the file system's to say
