@@ -95,6 +95,36 @@ def test_suffix_dedup_texts(docs):
     assert all(len(r.text) == r.n_chars for r in out.collect())
 
 
+def test_full_suffix_array_order(spark):
+    """Ranks against a plain sort, by the bytes that the last level's names stand for."""
+    from blockpress.llm import suffix_array as A
+
+    rng = np.random.default_rng(5)
+    texts = sorted({"".join(rng.choice(list("ab"), rng.integers(0, 40))) for _ in range(25)})
+    df = spark.createDataFrame([(t,) for t in texts], "text string")
+    name = {r.sid: r.text for r in A._texts(df).collect()}
+    got = sorted((r["rank"], name[r.sid][r.i :]) for r in A.suffix_array(df, 27).collect())
+    assert len(got) == sum(map(len, texts))
+    assert all(x[1][:27] <= y[1][:27] for x, y in zip(got, got[1:], strict=False))
+
+
+def test_full_suffix_array_repeats(spark, docs, empty, monkeypatch):
+    """The full difference cover against brute force; short blocks and few hot names, so that both ways are taken."""
+    from blockpress.llm import suffix_array as A
+
+    monkeypatch.setattr(A, "BLOCK", 64)
+    monkeypatch.setattr(A, "HOT", 8)
+    rows = awkward()
+    want = Counter((r[0], *x) for r, x in zip(rows, removed([r[1] for r in rows]), strict=True))
+    assert digests(A.removal_digests(docs)) == want
+    rng = np.random.default_rng(3)
+    pool = ["".join(rng.choice(list("ab"), rng.integers(20, 260))) for _ in range(12)]
+    texts = ["".join(pool[j] for j in rng.integers(0, 12, rng.integers(1, 8))) for _ in range(20)] + ["a" * 500, "ab" * 300, "a" * 199, "a" * 200]
+    df = spark.createDataFrame([(k, t) for k, t in enumerate(texts)], "doc_id long, text string")
+    assert digests(A.removal_digests(df)) == Counter((k, *x) for k, x in enumerate(removed(texts)))
+    assert A.removal_digests(empty).count() == 0
+
+
 # 2: fingerprints
 
 
