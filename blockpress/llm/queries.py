@@ -41,6 +41,13 @@ def op2_minhash_fingerprints(spark: SparkSession, sf_dir: str) -> DataFrame:
     return edited_fingerprints(table(spark, sf_dir, "documents"))
 
 
+def minhash_similar_documents(spark: SparkSession, sf_dir: str) -> DataFrame:
+    """The other half of operator 2: bands joined, pairs verified by exact Jaccard similarity."""
+    from blockpress.llm.minhash import similar_documents
+
+    return similar_documents(table(spark, sf_dir, "documents"))
+
+
 def op3_token_counts(spark: SparkSession, sf_dir: str) -> DataFrame:
     from blockpress.llm.token_count import count_tokens
 
@@ -91,11 +98,11 @@ def op10_chat_format(spark: SparkSession, sf_dir: str) -> DataFrame:
 
 
 def queries() -> dict[str, Callable[[SparkSession, str], DataFrame]]:
-    made = (op1_suffix_dedup, op2_minhash_fingerprints, op3_token_counts, op4_simhash_near_dedup, op5_token_binary, op6_url_filter, op7_language_id, op8_best_fit_packing, op9_decontamination, op10_chat_format)
+    made = (op1_suffix_dedup, op2_minhash_fingerprints, op3_token_counts, op4_simhash_near_dedup, op5_token_binary, op6_url_filter, op7_language_id, op8_best_fit_packing, op9_decontamination, op10_chat_format, minhash_similar_documents)
     return {f.__name__: f for f in made}
 
 
 def oracle_sql() -> dict[str, str]:
-    from blockpress.llm.sql import OP6, OP10
+    from blockpress.llm.sql import OP1, OP6, OP10, SIMILAR
 
-    return {"op6_url_filter": OP6, "op10_chat_format": OP10}
+    return {"op1_suffix_dedup": OP1, "op6_url_filter": OP6, "op10_chat_format": OP10, "minhash_similar_documents": SIMILAR}

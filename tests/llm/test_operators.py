@@ -162,7 +162,7 @@ def test_minhash_estimates(spark, small):
 
 
 def test_minhash_links(spark, empty):
-    from blockpress.llm.minhash import similar_links
+    from blockpress.llm.minhash import similar_documents, similar_links
 
     words = [f"w{k}" for k in range(120)]
     near = words.copy()
@@ -172,6 +172,34 @@ def test_minhash_links(spark, empty):
     assert {(r.doc_id, r.class_id) for r in members.collect()} == {(0, 0), (2, 0), (1, 1), (3, 3), (4, 4)}
     assert [(r.a, r.b) for r in links.collect()] == [(0, 1)]
     assert similar_links(empty)[0].count() == 0
+    assert similar_documents(empty).count() == 0
+    got = similar_documents(spark.createDataFrame([*rows, (5, "")], "doc_id long, text string"))
+    assert sorted(map(tuple, got.collect())) == [(0, 0, 1), (1, 1, 1), (2, 0, 1), (3, 3, 0), (4, 4, 0), (5, 4, 0)]
+
+
+@pytest.mark.parametrize("block", [3, 256])
+def test_minhash_links_brute_force(spark, monkeypatch, block):
+    """Every pair at 0.8 or more, and none below, in one block and in several; a hot template shared by all."""
+    from blockpress.llm import minhash
+
+    monkeypatch.setattr(minhash, "BLOCK", block)
+    rng = np.random.default_rng(11)
+    base = [f"w{k}" for k in range(150)]
+    texts = []
+    for _ in range(40):
+        words = base.copy()
+        for at in rng.choice(150, rng.integers(0, 7), replace=False):
+            words[at] = f"x{rng.integers(1000)}"
+        texts.append(" ".join(words))
+    texts += [" ".join(base[:3]), "", " ".join(base).upper()]
+    sets = [{tuple(w[i : i + 5]) for i in range(max(1, len(w) - 4))} if w else set() for w in (t.lower().split() for t in texts)]
+    names = [next(i for i, s in enumerate(sets) if s == mine) for mine in sets]
+    classes = sorted(set(names))
+    want = {(a, b) for a in classes for b in classes if a < b and sets[a] and sets[b] and len(sets[a] & sets[b]) / len(sets[a] | sets[b]) >= 0.8}
+    members, links = minhash.similar_links(spark.createDataFrame(list(enumerate(texts)), "doc_id long, text string"))
+    assert {r.doc_id: r.class_id for r in members.collect()} == dict(enumerate(names))
+    got = [(r.a, r.b) for r in links.collect()]
+    assert len(got) == len(set(got)) and set(got) == want and 20 < len(want) < len(classes) * (len(classes) - 1) // 2
 
 
 def test_minhash_empty(empty):
