@@ -35,3 +35,21 @@ def test_filters_reach_the_scan(spark, small):
 def test_row_numbers_need_no_single_task(spark):
     text = plan(P.assign_row_ids(spark.range(100).select(F.col("id").alias("k")), ["k"]))
     assert "Window" not in text and "SinglePartition" not in text
+
+
+def test_exact_quantiles_by_counts_near_the_sketches(spark, monkeypatch):
+    """Ties, nulls, few values, NaN and stretches that miss: the same as percentile."""
+    from pyspark.sql import functions as F
+
+    from blockpress.plans import encode as P
+
+    x = F.xxhash64("id")
+    df = spark.range(4001).select((x % 100_000 / 7).alias("a"), F.when(F.col("id") % 5 > 0, F.col("id") % 300 * 0.1).alias("b"), F.when(F.col("id") % 3 == 0, float("nan")).otherwise(x % 1000 * 1.0).alias("c"), (F.col("id") * F.col("id")).alias("d"), F.lit(None).cast("double").alias("e"))
+    shares = [0.25, 0.5, 0.75]
+    want = [df.agg(F.percentile(F.col(c), F.array(*[F.lit(q) for q in shares]))).first()[0] for c in df.columns]
+    around = [df.agg(F.percentile_approx(F.col(c).cast("double"), F.array(*[F.lit(q + e) for q in shares for e in (-0.01, 0.01)]), 10000)).first()[0] for c in df.columns]
+    around[3] = [0.0, 1.0] * 3
+    assert str(P.exact_quantiles(df, df.columns, shares, around)) == str(want)
+    calls = []
+    monkeypatch.setattr(F, "percentile", lambda *a: calls.append(a))
+    assert [c.kind for c in P.fit_codebook(df.select("a", "b", "d")).columns] == ["Q", "C", "Q"] and not calls
